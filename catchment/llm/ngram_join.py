@@ -40,10 +40,8 @@ _ROLL = [U(0x9FB21C651E98DF25), U(0xD6E8FEB86659FD93), U(0xA0761D6478BD642F), U(
 
 def shingle_sets(texts: list, width: int = 5):
     """Sorted distinct shingle hashes of each text (None for null, empty for no words)."""
-    words = [None if t is None else t.lower().split() for t in texts]
-    sizes = [0 if w is None else sum(map(len, w)) + len(w) for w in words]
-    for lo, hi in slices(sizes, 1 << 22):
-        part = words[lo:hi]
+    for lo, hi in slices([len(t or b"") for t in texts], 1 << 20):
+        part = [None if t is None else t.lower().split() for t in texts[lo:hi]]
         hashes = word_hashes(b" ".join(b" ".join(w) for w in part if w))
         at = 0
         rolled = None
@@ -263,7 +261,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     order gives the same links). ``cell`` is the block of a long list that one join key holds.
     """
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 22, 8), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
+    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 21, 8), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
     marks = signed_rows.filter("token is null").select("doc_id", "n", "ckey")
     top = signed_rows.filter("token is not null").groupBy("token").agg(F.sum("cnt").alias("cnt")).orderBy(F.desc("cnt"), "token").limit(frequent_tokens).collect()
     frequent = np.array([(r[0] & 0xFFFFFFFFFFFFFFFF, r[1]) for r in top], dtype=[("token", np.uint64), ("cnt", np.int64)])
@@ -321,9 +319,9 @@ grams AS (
   SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
     ELSE list_transform(range(1, len(w) - 3), i -> array_to_string(w[i:i + 4], ' ')) END) AS g FROM words),
 sizes AS (SELECT doc_id, count(*) AS n FROM grams GROUP BY doc_id),
-overlaps AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS o FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
+shared AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS o FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
 links AS (
-  SELECT x, y FROM overlaps JOIN sizes s ON s.doc_id = x JOIN sizes t ON t.doc_id = y WHERE 100 * o >= 80 * (s.n + t.n - o)),
+  SELECT x, y FROM shared JOIN sizes s ON s.doc_id = x JOIN sizes t ON t.doc_id = y WHERE 100 * o >= 80 * (s.n + t.n - o)),
 both_ways AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
 reach AS (SELECT doc_id AS x, doc_id AS y FROM documents UNION SELECT r.x, b.y FROM reach r JOIN both_ways b ON r.y = b.x),
 least AS (SELECT x, min(y) AS component_id FROM reach GROUP BY x)
