@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import ngram_join
+from . import ngram_join, packing
 
-MODULES = (ngram_join,)
+MODULES = (ngram_join, packing)
 
 
 def queries() -> dict:
