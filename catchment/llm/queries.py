@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import ngram_join, packing
+from . import ngram_join, packing, token_store
 
-MODULES = (ngram_join, packing)
+MODULES = (ngram_join, packing, token_store)
 
 
 def queries() -> dict:
