@@ -9,6 +9,7 @@ import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 U = np.uint64
 _MIX1, _MIX2 = U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB)
@@ -55,6 +56,26 @@ def release(*tables: DataFrame) -> None:
             p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def id_slots(ids: DataFrame, bits: int, column: str = "doc_id") -> DataFrame:
+    """A bitmap of the ids' hashes as rows (w, bitmap): at most bits / 64 rows of 16 bytes, so it can be broadcast."""
+    return ids.select(F.pmod(F.xxhash64(column), F.lit(bits)).alias("s")).groupBy(F.expr("s div 64").alias("_w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(s % 64 as int))")).alias("_bitmap"))
+
+
+def slot_hit(rows: DataFrame, slots: DataFrame, bits: int, column: str = "doc_id") -> DataFrame:
+    """The rows with _hit: false where the id is surely not among the ids of ``slots``. No row moves."""
+    at = F.pmod(F.xxhash64(column), F.lit(bits))
+    marked = rows.withColumn("_s", at).withColumn("_w", F.expr("_s div 64"))
+    return marked.join(F.broadcast(slots), "_w", "left").withColumn("_hit", F.coalesce(F.expr("_bitmap & shiftleft(1L, cast(_s % 64 as int))") != 0, F.lit(False))).drop("_w", "_s", "_bitmap")
+
+
+def without_ids(rows: DataFrame, gone: DataFrame, bits: int = 1 << 24, column: str = "doc_id") -> DataFrame:
+    """The rows whose id is not in ``gone``; only rows that a broadcast bitmap cannot clear meet the exact anti-join."""
+    slots = id_slots(gone, bits, column)
+    marked = slot_hit(rows, slots, bits, column)
+    maybe = marked.filter("_hit").drop("_hit").join(gone.select(column), column, "left_anti")
+    return marked.filter("not _hit").drop("_hit").unionByName(maybe)
+
+
 def worker_store(name: str) -> dict:
     """A dictionary that lives as long as the Python worker, across tasks."""
     holder = sys.modules.setdefault("_catchment_worker_store", types.ModuleType("_catchment_worker_store"))

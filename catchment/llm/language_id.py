@@ -172,8 +172,8 @@ def fit_languages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     return OutputCodes.fit(sample.column(1).to_pylist(), sample.column(0).to_pylist(), ambiguity)
 
 
-def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text") -> DataFrame:
-    """The rows with lang_pred, score and ambiguous."""
+def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text", prefix: str = "") -> DataFrame:
+    """The rows with lang_pred, score and ambiguous, each name after ``prefix``."""
 
     @F.arrow_udf(RESULT)
     def judge(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
@@ -182,7 +182,14 @@ def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text") -> Dat
             yield pa.StructArray.from_arrays([pa.array(pred, pa.string()), pa.array(score), pa.array(close)], ["lang_pred", "score", "ambiguous"])
 
     told = docs.withColumn("_told", judge(F.col(text_col).cast("string")))
-    return told.withColumns({c: F.col(f"_told.{c}") for c in ("lang_pred", "score", "ambiguous")}).drop("_told")
+    return told.withColumns({prefix + c: F.col(f"_told.{c}") for c in ("lang_pred", "score", "ambiguous")}).drop("_told")
+
+
+def drop_unidentified(docs: DataFrame, least: float = 0.5, **options) -> DataFrame:
+    """The documents with a language: those without a letter go, and those that stay ambiguous at a score below ``least``."""
+    told = identify(docs, fit_languages(docs, **options), prefix="_lid_")
+    kept = told.filter("_lid_lang_pred != 'und' and not (_lid_ambiguous and _lid_score < %r)" % least)
+    return kept.drop("_lid_lang_pred", "_lid_score", "_lid_ambiguous")
 
 
 def op8_language_id(spark, sf_dir: str) -> DataFrame:

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, column_bytes, materialize, mix, release, signed, slices, word_hashes
+from .common import U, column_bytes, id_slots, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
 
 _ROLL = [U(0x9FB21C651E98DF25), U(0xD6E8FEB86659FD93), U(0xA0761D6478BD642F), U(0xE7037ED1A0B428DB), U(0x8EBC6AF09C88C6E3)]
 
@@ -197,10 +197,7 @@ def _near(texts: DataFrame, ids: DataFrame, bits: int) -> DataFrame:
     A bitmap of the ids' hashes is broadcast; it has at most bits / 64 rows of 16 bytes whatever
     the number of ids. With very many ids it lets more rows through; the join after it decides.
     """
-    slot = F.pmod(F.xxhash64("doc_id"), F.lit(bits))
-    words = ids.select(slot.alias("s")).groupBy(F.expr("s div 64").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(s % 64 as int))")).alias("bitmap"))
-    marked = texts.withColumn("s", slot).withColumn("w", F.expr("s div 64"))
-    return marked.join(F.broadcast(words), "w").filter(F.expr("bitmap & shiftleft(1L, cast(s % 64 as int))") != 0).select("doc_id", "text")
+    return slot_hit(texts, id_slots(ids, bits), bits).filter("_hit").select("doc_id", "text")
 
 
 def _overlap_bound(num: int, den: int):
@@ -306,6 +303,12 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"), F.when(F.col("doc_id").isNotNull(), F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"), F.col("n").between(1, light).alias("is_light"))
 
 
+def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
+    """The documents with the least id of their component, all columns as they were; rows with a null id stay."""
+    found = materialize(jaccard_join(docs, id_col=id_col, **options).filter("doc_id != component_id").select(F.col("doc_id").alias(id_col)).distinct(), "copies")
+    return without_ids(docs, found, column=id_col)
+
+
 def op2_ngram_jaccard_join(spark, sf_dir: str) -> DataFrame:
     """doc_id, n_shingles, component_id of every document."""
     return jaccard_join(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")).select("doc_id", "n_shingles", "component_id")

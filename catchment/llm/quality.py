@@ -112,16 +112,22 @@ def fit_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text
     return SubwordModel.fit([t.encode() if t else b"" for t in sample.column(0).to_pylist()], sample.column(1).to_numpy().astype(np.int64), float(share))
 
 
-def judge_quality(docs: DataFrame, model: SubwordModel, text_col: str = "text", least: float = 0.7) -> DataFrame:
-    """The rows with score and predicted."""
+def judge_quality(docs: DataFrame, model: SubwordModel, text_col: str = "text", least: float = 0.7, prefix: str = "") -> DataFrame:
+    """The rows with score and predicted, each name after ``prefix``."""
 
     @F.arrow_udf("double")
     def judge(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in texts:
             yield pa.array(model.score([t or b"" for t in array.cast(pa.binary()).to_pylist()]), pa.float64())
 
-    told = docs.withColumn("score", judge(F.col(text_col).cast("string")))
-    return told.withColumn("predicted", F.when(F.col("score") >= least, 1).otherwise(0))
+    told = docs.withColumn(prefix + "score", judge(F.col(text_col).cast("string")))
+    return told.withColumn(prefix + "predicted", F.when(F.col(prefix + "score") >= least, 1).otherwise(0))
+
+
+def drop_poor(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
+    """The documents predicted as class 1."""
+    told = judge_quality(docs, fit_quality(docs, labels, **options), prefix="_quality_")
+    return told.filter("_quality_predicted = 1").drop("_quality_score", "_quality_predicted")
 
 
 def op9_quality(spark, sf_dir: str) -> DataFrame:

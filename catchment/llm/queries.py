@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import language_id, ngram_join, packing, quality, token_store
+from . import decontaminate, language_id, ngram_join, packing, quality, token_store
 
-MODULES = (ngram_join, packing, language_id, quality, token_store)
+MODULES = (decontaminate, ngram_join, packing, language_id, quality, token_store)
 
 
 def queries() -> dict:
