@@ -124,13 +124,12 @@ def _signatures(width: int, chunk: int, least: int):
     return run
 
 
-def _entries(width: int, num: int, den: int, light: int, frequent: np.ndarray):
+def _entries(width: int, num: int, den: int, light: int, frequent: tuple[np.ndarray, np.ndarray]):
     """List entries (kind 0) and subsets (kind = their size) of each class, once for each partition."""
     names = ("kind", "key", "ckey", "n", "doc_id", "pos")
     schema = pa.schema([(x, pa.int32() if x in ("kind", "n", "pos") else pa.int64()) for x in names])
-    order = np.argsort(frequent["token"]) if len(frequent) else np.empty(0, np.int64)
-    tokens = frequent["token"][order] if len(frequent) else np.empty(0, np.uint64)
-    weight = frequent["cnt"][order] if len(frequent) else np.empty(0, np.int64)
+    order = np.argsort(frequent[0])
+    tokens, weight = frequent[0][order], frequent[1][order]
 
     def run(batches):
         seen = set()
@@ -250,18 +249,18 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     return now.select(F.col("u").alias("node"), F.col("v").alias("label")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("label")).distinct())
 
 
-def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100, entry_cost: float = 12.0, largest_light: int = 12, frequent_tokens: int = 1 << 16, bitmap_bits: int = 1 << 24, cell: int = 2048) -> DataFrame:
+def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100, entry_cost: float = 12.0, largest_light: int = 12, frequent_tokens: int = 1 << 20, bitmap_bits: int = 1 << 24, cell: int = 2048) -> DataFrame:
     """One row a document: doc_id, n_shingles, component_id, n_links, is_light.
 
     Two texts link when den * overlap >= num * union. ``frequent_tokens`` bounds the table of the
-    most frequent shingles that goes to every task; it only steers the order of a set's elements (any
+    most frequent shingles (12 bytes each) that goes to every task; it only steers the order of a set's elements (any
     order gives the same links). ``cell`` is the block of a long list that one join key holds.
     """
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 21, 8), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
+    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 21, 2), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
     marks = signed_rows.filter("token is null").select("doc_id", "n", "ckey")
-    top = signed_rows.filter("token is not null").groupBy("token").agg(F.sum("cnt").alias("cnt")).orderBy(F.desc("cnt"), "token").limit(frequent_tokens).collect()
-    frequent = np.array([(r[0] & 0xFFFFFFFFFFFFFFFF, r[1]) for r in top], dtype=[("token", np.uint64), ("cnt", np.int64)])
+    top = signed_rows.filter("token is not null").groupBy("token").agg(F.sum("cnt").alias("cnt")).orderBy(F.desc("cnt"), "token").limit(frequent_tokens).toArrow()
+    frequent = (top.column(0).to_numpy().view(np.uint64), top.column(1).to_numpy())
     near_light = -(-den * (largest_light + 1) // num)
     histogram = {r[0]: r[1] for r in marks.filter(f"n between 1 and {near_light}").groupBy("n").agg(F.countDistinct("ckey")).collect()}
     light = boundary(histogram, num, den, entry_cost, largest_light)

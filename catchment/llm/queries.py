@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import decontaminate, language_id, licenses, ngram_join, packing, quality, token_store, warc
+from . import decontaminate, hamming_search, html_text, language_id, licenses, ngram_join, packing, quality, token_store, warc
 
-MODULES = (decontaminate, ngram_join, warc, licenses, packing, language_id, quality, token_store)
+MODULES = (decontaminate, ngram_join, warc, licenses, hamming_search, html_text, packing, language_id, quality, token_store)
 
 
 def queries() -> dict:
