@@ -5,6 +5,7 @@ Every measure has a value on the empty set: 0, or for capacity the total served
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -54,8 +55,6 @@ def by_expression(labels: DataFrame, expression: str) -> DataFrame:
 
 def by_function(labels: DataFrame, fn) -> tuple[DataFrame, object]:
     """Any Python function of the set, as heat, once a label; with an accumulator of its calls."""
-    import pandas as pd
-
     calls = labels.sparkSession.sparkContext.accumulator(0)
 
     @F.pandas_udf("double")

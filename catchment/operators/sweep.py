@@ -110,13 +110,18 @@ def _plus(tiles, extra, squares, strips):
 
 def initial_intervals(squares: DataFrame) -> DataFrame:
     """(x, lo, hi): two rows a square, at its left and right side."""
-    return squares.select(F.explode(F.array("xl", "xh")).alias("x"), F.col("yl").alias("lo"), F.col("yh").alias("hi"))
+    own = ["tile"] if "tile" in squares.columns else []
+    return squares.select(*own, F.explode(F.array("xl", "xh")).alias("x"), F.col("yl").alias("lo"), F.col("yh").alias("hi"))
 
 
 def changed_intervals(squares: DataFrame, cuts: list[int] | None = None) -> DataFrame:
-    """(tile, x, iv_id, lo, hi): merged closed intervals of each event; touching ones merge. An event lies in one strip."""
+    """(tile, x, iv_id, lo, hi): merged closed intervals of each event; touching ones merge. An event lies in one strip.
+
+    Squares that carry a ``tile`` of their own (a run, a window) keep it.
+    """
     tile = F.size(F.filter(F.array(*[F.lit(c).cast("long") for c in cuts]), lambda c: c <= F.col("x"))) if cuts else F.lit(0)
-    rows = initial_intervals(squares).withColumn("tile", tile)
+    rows = initial_intervals(squares)
+    rows = rows if "tile" in squares.columns else rows.withColumn("tile", tile)
     before = Window.partitionBy("tile", "x").orderBy("lo", "hi")
     reach = F.max("hi").over(before.rowsBetween(Window.unboundedPreceding, -1))
     rows = rows.withColumn("opens", F.when(reach.isNull() | (F.col("lo") > reach), 1).otherwise(0))

@@ -1,9 +1,327 @@
-"""Queries of the influence-map engine and their SQL."""
+"""Queries of the influence-map engine and their SQL.
+
+Method queries run on the whole market tables (every customer a client, every supplier a facility). Experiment
+queries run on the uniform samples that their sweeps are made of.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from ..functions import influence
+from ..operators import arcs, circles, gadgets, grid, prune, regions, stateful, surface, sweep
+from ..plans import workloads
+from ..sources import points
+from ..streaming import influence_stream as stream
+
+NEW_CAP = 20
+BOX = (100_000, 700_000, 200_000, 800_000)
+PIXELS = 64
+
+
+def market(spark, sf_dir, metric="linf"):
+    clients, facilities = points.market_clients(spark, sf_dir), points.market_facilities(spark, sf_dir)
+    return clients, facilities, circles.nn_circles(clients, facilities, metric)
+
+
+def market_squares(spark, sf_dir, metric="linf"):
+    return circles.canonical(market(spark, sf_dir, metric)[2])
+
+
+def sampled(spark, sf_dir, name="ord", n=128, ratio=8, metric="linf"):
+    clients, facilities = points.sample(points.point_set(spark, sf_dir, name), n, max(1, n // ratio))
+    return circles.canonical(circles.nn_circles(clients, facilities, metric))
+
+
+def _nn(metric, **options):
+    def run(spark, sf_dir):
+        c, f = points.market_clients(spark, sf_dir), points.market_facilities(spark, sf_dir)
+        return circles.nn_circles(c, f, metric, **options).select("oid", "r", "nn_fid")
+
+    return run
+
+
+def _mono(name):
+    def run(spark, sf_dir):
+        p = points.point_set(spark, sf_dir, name).select(F.col("id").alias("oid"), "x", "y", F.lit(1).cast("long").alias("weight"), F.lit("0").alias("grp"))
+        return circles.nn_circles_mono(p).select("oid", "r")
+
+    return run
+
+
+def _text(df, *keys, column="rnn"):
+    return df.select(*keys, F.size(column).cast("long").alias("n_rnn"), circles.set_text(column).alias("rnn_txt"))
+
+
+def rnn_of_facilities(spark, sf_dir):
+    c, f, k = market(spark, sf_dir)
+    return _text(circles.rnn_of_facilities(c, f, k, "linf"), "fid")
+
+
+def rnn_of_points(spark, sf_dir):
+    return _text(circles.rnn_of_points(market(spark, sf_dir)[2], points.part_queries(spark, sf_dir)), "qid")
+
+
+def rnn_by_definition(spark, sf_dir):
+    c, _, k = market(spark, sf_dir)
+    return _text(circles.rnn_by_definition(c, k, points.part_queries(spark, sf_dir), "linf", most=1 << 20), "qid")
+
+
+def event_queue(spark, sf_dir):
+    return sweep.event_queue(market_squares(spark, sf_dir))
+
+
+def line_status(spark, sf_dir):
+    s = sweep.line_status(market_squares(spark, sf_dir))
+    return s.groupBy("slab").agg(F.count("*").alias("elements"), F.min("y").alias("lowest"), F.max("y").alias("highest"), F.sum(F.col("pos") * F.when(F.col("role") == "lower", 1).otherwise(-1)).alias("signed_pos"))
+
+
+def full_slab_labels(spark, sf_dir):
+    return sweep.label_all_pairs(market_squares(spark, sf_dir), ("n", "weight")).select("x0", "x1", "y0", "y1", F.col("n").alias("heat_size"), F.col("weight").alias("heat_weight"))
+
+
+def full_slab_sets(spark, sf_dir):
+    return _text(sweep.label_all_sets(sampled(spark, sf_dir)), "x0", "x1", "y0", "y1")
+
+
+def changed_intervals(spark, sf_dir):
+    return sweep.changed_intervals(market_squares(spark, sf_dir)).select("x", "iv_id", "lo", "hi")
+
+
+def base_sets(spark, sf_dir):
+    return sweep.base_sets(market_squares(spark, sf_dir)).select("x", "lo", "hi", F.size("base").cast("long").alias("n_base"), circles.set_text("base").alias("base_txt"))
+
+
+def _changed(metric, strips=1):
+    def run(spark, sf_dir):
+        found = sweep.label_changed(market_squares(spark, sf_dir, metric), ("n", "weight"), strips)
+        return found.select("x0", "x1", "y0", "y1", F.col("n").alias("heat_size"), F.col("weight").alias("heat_weight"))
+
+    return run
+
+
+def changed_labels_strips(spark, sf_dir):
+    """Counts and heat must not depend on strips; only slab borders at cuts do."""
+    found = sweep.label_changed(market_squares(spark, sf_dir), ("n", "weight"), 4)
+    return found.groupBy(F.col("n").alias("heat_size")).agg(F.count("*").alias("labels"), F.sum("weight").alias("weight"))
+
+
+def changed_labels_sets(spark, sf_dir):
+    return _text(sweep.label_changed_sets(market_squares(spark, sf_dir)), "x0", "y0", "y1")
+
+
+def changed_labels_pairs(spark, sf_dir):
+    c, _, k = market(spark, sf_dir)
+    a = c.select(F.col("oid").alias("a"), F.col("grp"), F.col("weight").alias("w"))
+    edges = a.join(a.select(F.col("a").alias("b"), "grp", "w"), ["grp", "w"]).filter("a < b")
+    squares = circles.canonical(k).withColumn("pairs", F.lit(0).cast("long"))
+    extra = influence.edge_boxes(k, edges)
+    return sweep.label_changed(squares, ("n", "pairs"), extra=extra).select("x0", "x1", "y0", "y1", F.col("pairs").alias("heat"))
+
+
+def changed_labels_capacity(spark, sf_dir):
+    _, f, k = market(spark, sf_dir)
+    labels = sweep.label_changed_sets(circles.canonical(k))
+    return influence.capacity_served(labels, k, f, NEW_CAP).select("x0", "y0", "y1", "heat")
+
+
+def changed_labels_groups(spark, sf_dir):
+    c, _, k = market(spark, sf_dir)
+    return influence.group_measures(sweep.label_changed_sets(circles.canonical(k)), c).select("x0", "y0", "y1", "same_group_pairs", "distinct_groups")
+
+
+def custom_influence(spark, sf_dir):
+    labels = sweep.label_changed_sets(market_squares(spark, sf_dir))
+    by_sql = influence.by_expression(labels, "size(rnn) * 2 + if(size(rnn) > 0, array_min(rnn), 0)").withColumnRenamed("heat", "heat_sql")
+    both, _ = influence.by_function(by_sql, lambda s: len(s) * 2 + (min(s) if s else 0))
+    return both.select("x0", "y0", "y1", "heat_sql", F.col("heat").alias("heat_python"))
+
+
+def stateful_labels(spark, sf_dir):
+    return stateful.label_changed_stateful(sampled(spark, sf_dir)).select("x0", "x1", "y0", "y1", "n")
+
+
+def stateful_counters(spark, sf_dir):
+    return stateful.label_changed_stateful(sampled(spark, sf_dir)).agg(F.count("*").alias("k"), F.first("retrievals").alias("retrievals"), F.first("copied").alias("copied"), F.first("updates").alias("updates"))
+
+
+def side_grid(spark, sf_dir):
+    return grid.label_side_grid(sampled(spark, sf_dir)).select("x0", "x1", "y0", "y1", F.col("n").alias("heat"))
+
+
+def superimpose(spark, sf_dir):
+    return grid.superimpose(sampled(spark, sf_dir)).select("x0", "x1", "y0", "y1", F.col("n").alias("heat"))
+
+
+def faces(spark, sf_dir):
+    found = regions.label_by_faces(market_squares(spark, sf_dir))
+    return found.groupBy(F.col("n").alias("heat")).agg(F.count("*").alias("regions"))
+
+
+def regular_grid_error(spark, sf_dir):
+    cells = grid.regular_grid(market_squares(spark, sf_dir), BOX, PIXELS)
+    return cells.agg(F.count("*").alias("cells"), F.sum(F.when(F.col("crossing") > 0, 1).otherwise(0)).alias("mixed_cells"), F.sum("heat").alias("heat"))
+
+
+def region_count(spark, sf_dir):
+    return regions.euler_region_count(sampled(spark, sf_dir))
+
+
+def region_count_sweep(spark, sf_dir):
+    return regions.region_table(regions.subregions(sampled(spark, sf_dir))).agg(F.count("*").alias("r"))
+
+
+def cost_measures(spark, sf_dir):
+    return regions.cost_measures(sampled(spark, sf_dir)).withColumn("bound_holds", F.expr("r - 1 <= k and k <= 14 * r")).drop("sum_rnn")
+
+
+def cost_measures_market(spark, sf_dir):
+    return regions.cost_measures(market_squares(spark, sf_dir)).select("n", "events", "m", "k_all", "k", "r", "lambda_max", "sum_rnn")
+
+
+def top_regions(spark, sf_dir):
+    return surface.top_labels(sweep.label_changed(market_squares(spark, sf_dir)), 4)
+
+
+def zoom_box(spark, sf_dir):
+    return surface.zoom(sweep.label_all_pairs(market_squares(spark, sf_dir)), BOX).select("x0", "x1", "y0", "y1", F.col("n").alias("heat"))
+
+
+def heat_classes(spark, sf_dir):
+    return surface.heat_classes(sweep.label_changed(market_squares(spark, sf_dir)))
+
+
+def heat_at(spark, sf_dir):
+    return surface.heat_at(sweep.label_all_pairs(market_squares(spark, sf_dir)), points.part_queries(spark, sf_dir))
+
+
+def _raster(metric):
+    def run(spark, sf_dir):
+        return surface.raster(sweep.label_all_pairs(market_squares(spark, sf_dir, metric)), BOX, PIXELS, PIXELS)
+
+    return run
+
+
+def label_set_diff(spark, sf_dir):
+    """Labels that the changed-interval sweep saves, by heat: full-slab labels less its own."""
+    keys = ["x0", "x1", "y0", "y1", "n"]
+    squares = market_squares(spark, sf_dir)
+    saved = sweep.label_all_pairs(squares).select(keys).exceptAll(sweep.label_changed(squares).select(keys))
+    return saved.groupBy(F.col("n").alias("heat")).agg(F.count("*").alias("saved"))
+
+
+def _discs(spark, sf_dir, n=48, ratio=8, name="ord"):
+    clients, facilities = points.sample(points.point_set(spark, sf_dir, name), n, max(1, n // ratio))
+    both = clients.select("x", "y").unionByName(facilities.select(F.col("fx").alias("x"), F.col("fy").alias("y")))
+    x0, x1, y0, y1 = both.agg(F.min("x"), F.max("x"), F.min("y"), F.max("y")).first()
+    extent = max(x1 - x0, y1 - y0)
+    c, f = arcs.rescaled(clients, "x", "y", extent, x0, y0), arcs.rescaled(facilities, "fx", "fy", extent, x0, y0)
+    return arcs.discs(circles.nn_circles(c, f, "l2"), f)
+
+
+def arc_crossings(spark, sf_dir):
+    return arcs.crossing_pairs(_discs(spark, sf_dir)).agg(F.count("*").alias("crossing_pairs"))
+
+
+def arc_counts(spark, sf_dir):
+    """Closed-form counts beside those of the sweep, with and without centre events."""
+    d = _discs(spark, sf_dir).persist()
+    counts = arcs.arc_region_count(d)
+    swept = arcs.label_arcs(d).agg(F.count("*").alias("k"), F.max("n").alias("max_heat"))
+    plain = arcs.label_arcs(d, centre_events=False).agg(F.count("*").alias("k_without_centres"))
+    return counts.join(F.broadcast(swept)).join(F.broadcast(plain))
+
+
+def max_region_l2(spark, sf_dir):
+    d = _discs(spark, sf_dir).persist()
+    by_sweep = arcs.label_arcs(d).agg(F.max("n")).first()[0]
+    rows = [("arc_sweep", by_sweep, 0, 0, "done")]
+    for name, on in (("combination_pruning", True), ("combination_enumeration", False)):
+        r = prune.max_region_pruned(d, prune=on)
+        rows.append((name, r["max_heat"], r["enumerated"], r["pruned"], r["status"]))
+    return spark.createDataFrame(rows, "algo string, max_heat long, enumerated long, pruned long, status string")
+
+
+def raster_heat_l2(spark, sf_dir):
+    return arcs.raster_l2(_discs(spark, sf_dir), (0, 20_000, 0, 20_000), PIXELS, PIXELS)
+
+
+def _gadget(make):
+    def run(spark, sf_dir):
+        squares = circles.canonical(make(spark))
+        return regions.cost_measures(squares).select("n", "m", "k_all", "k", "r", "sum_rnn")
+
+    return run
+
+
+def ratio_sweep_l1(spark, sf_dir):
+    return workloads.sweep_table(spark, sf_dir, [(s, 128, r) for s in workloads.SETS for r in (2, 8, 32)], "l1")
+
+
+def size_sweep_l1(spark, sf_dir):
+    return workloads.sweep_table(spark, sf_dir, [(s, n, 128) for s in workloads.SETS for n in (128, 256)], "l1")
+
+
+def ratio_sweep_linf(spark, sf_dir):
+    return workloads.sweep_table(spark, sf_dir, [(s, 128, r) for s in ("ord", "evt", "emb", "part") for r in (2, 8, 32)], "linf")
+
+
+def experiment_rollup(spark, sf_dir):
+    return ratio_sweep_l1(spark, sf_dir).rollup("dataset", "ratio").agg(F.sum("k").alias("k"), F.sum("k_all").alias("k_all"), F.sum("m").alias("m"))
+
+
+def ratio_sweep_l2(spark, sf_dir):
+    out = None
+    for name in workloads.SETS:
+        for ratio in (2, 8):
+            found = arcs.label_arcs(_discs(spark, sf_dir, 48, ratio, name)).agg(F.count("*").alias("k"), F.max("n").alias("max_heat")).select(F.lit(name).alias("dataset"), F.lit(ratio).alias("ratio"), "k", "max_heat")
+            out = found if out is None else out.unionByName(found)
+    return out
+
+
+def _showcase(name):
+    def run(spark, sf_dir):
+        return workloads.showcase(spark, sf_dir, name, 600, 180, PIXELS)[0]
+
+    return run
+
+
+def _windows(size, slide=None, session=False):
+    def run(spark, sf_dir):
+        events = points.table(spark, sf_dir, "events")
+        _, f = points.sample(points.point_set(spark, sf_dir, "evt"), 0, 16)
+        return stream.windowed_heat(stream.with_windows(stream.arrivals(events, f), size, slide, session))
+
+    return run
 
 
 def queries() -> dict:
-    return {}
+    return {
+        "nn_circles_linf": _nn("linf"), "nn_circles_l1": _nn("l1"), "nn_circles_l2": _nn("l2"),
+        "nn_circles_lattice_linf": _nn("linf", strategy="lattice"), "nn_circles_lattice_l1": _nn("l1", strategy="lattice"), "nn_circles_lattice_l2": _nn("l2", strategy="lattice"),
+        "nn_circles_mono_linf": _mono("emb"), "nn_circles_mono_ties": _mono("part"),
+        "rnn_of_facilities": rnn_of_facilities, "rnn_of_points": rnn_of_points, "rnn_by_definition": rnn_by_definition,
+        "event_queue": event_queue, "line_status": line_status,
+        "full_slab_labels": full_slab_labels, "full_slab_sets": full_slab_sets,
+        "changed_intervals": changed_intervals, "base_sets": base_sets,
+        "changed_labels_size": _changed("linf"), "changed_labels_l1": _changed("l1"), "changed_labels_strips": changed_labels_strips,
+        "changed_labels_sets": changed_labels_sets, "changed_labels_pairs": changed_labels_pairs, "changed_labels_capacity": changed_labels_capacity,
+        "changed_labels_groups": changed_labels_groups, "custom_influence": custom_influence,
+        "stateful_labels": stateful_labels, "stateful_counters": stateful_counters,
+        "side_grid_size": side_grid, "superimpose_size": superimpose, "faces_baseline": faces, "regular_grid_error": regular_grid_error,
+        "region_count_euler": region_count, "region_count_sweep": region_count_sweep, "cost_measures": cost_measures, "cost_measures_market": cost_measures_market,
+        "top_regions_size": top_regions, "zoom_box": zoom_box, "heat_classes": heat_classes, "heat_at_points": heat_at,
+        "raster_heat_linf": _raster("linf"), "raster_heat_l1": _raster("l1"), "raster_heat_l2": raster_heat_l2, "label_set_diff": label_set_diff,
+        "arc_crossings": arc_crossings, "arc_counts": arc_counts, "max_region_l2": max_region_l2,
+        "diagonal_gadget": _gadget(lambda s: gadgets.diagonal_squares(s, 8)), "disjoint_gadget": _gadget(lambda s: gadgets.disjoint_squares(s, 5)),
+        "distinctness_gadget": _gadget(lambda s: gadgets.distinctness_squares(s, [5, 1, 9, 3, 7])), "comb_gadget": _gadget(lambda s: gadgets.comb_squares(s, 5)),
+        "ratio_sweep_l1": ratio_sweep_l1, "size_sweep_l1": size_sweep_l1, "ratio_sweep_linf": ratio_sweep_linf, "experiment_rollup": experiment_rollup, "ratio_sweep_l2": ratio_sweep_l2,
+        "showcase_city_a": _showcase("ord"), "showcase_city_b": _showcase("evt"),
+        "windowed_heat_tumbling": _windows("1 day"), "windowed_heat_sliding": _windows("1 day", "6 hours"), "windowed_heat_session": _windows("30 minutes", session=True),
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from .oracle import statements
+
+    return statements()
