@@ -151,7 +151,7 @@ result AS (SELECT s AS dataset, ratio, nq.n AS n, events, (events - 1) * (ys - 1
 def windowed(placing: str) -> str:
     return f"""WITH points AS ({SETS['evt']}),
 facilities AS (SELECT x AS fx, y AS fy FROM points ORDER BY {hexed('id', 1, 8)}, id LIMIT 16),
-arrived AS (SELECT event_id AS oid, epoch(ts)::BIGINT AS at, x, y, min(greatest(abs(x - fx), abs(y - fy))) AS r FROM events JOIN points ON id = event_id, facilities GROUP BY ALL),
+arrived AS (SELECT event_id AS oid, floor(epoch(ts))::BIGINT AS sec, x, y, min(greatest(abs(x - fx), abs(y - fy))) AS r FROM events JOIN points ON id = event_id, facilities GROUP BY ALL),
 {placing},
 counts AS (SELECT w, count(*) AS clients FROM placed GROUP BY 1),
 sq AS (SELECT w, x - r AS xl, x + r AS xh, y - r AS yl, y + r AS yh, count(*) AS n FROM placed WHERE r > 0 GROUP BY ALL),
@@ -249,10 +249,10 @@ SELECT px, py, coalesce(sum(n), 0)::BIGINT AS heat FROM px LEFT JOIN d ON (qx -
     out["ratio_sweep_l1"] = f"{sweeps(ratios, 'l1')} SELECT * FROM result"
     out["size_sweep_l1"] = f"{sweeps([(s, n, 128) for s in ('ord', 'evt', 'uni', 'zip') for n in (128, 256)], 'l1')} SELECT * FROM result"
     out["ratio_sweep_linf"] = f"{sweeps([(s, 128, r) for s in ('ord', 'evt', 'emb', 'part') for r in (2, 8, 32)], 'linf')} SELECT * FROM result"
-    out["experiment_rollup"] = f"{sweeps(ratios, 'l1')} SELECT dataset, ratio, sum(k)::BIGINT AS k, sum(k_all)::BIGINT AS k_all, sum(m)::BIGINT AS m FROM result GROUP BY ROLLUP (dataset, ratio)"
-    out["windowed_heat_tumbling"] = windowed("placed AS (SELECT *, at - at % 86400 AS w FROM arrived)")
-    out["windowed_heat_sliding"] = windowed("placed AS (SELECT a.*, at - at % 21600 - i * 21600 AS w FROM arrived a, range(4) t(i))")
-    out["windowed_heat_session"] = windowed("""gaps AS (SELECT *, CASE WHEN at - lag(at) OVER (ORDER BY at, oid) < 1800 THEN 0 ELSE 1 END AS opens FROM arrived),
-numbered AS (SELECT *, sum(opens) OVER (ORDER BY at, oid ROWS UNBOUNDED PRECEDING) AS s FROM gaps),
-placed AS (SELECT *, min(at) OVER (PARTITION BY s) AS w FROM numbered)""")
+    out["experiment_rollup"] = f"{sweeps(ratios, 'l1')} SELECT dataset, ratio::VARCHAR AS ratio, sum(k)::BIGINT AS k, sum(k_all)::BIGINT AS k_all, sum(m)::BIGINT AS m FROM result GROUP BY ROLLUP (dataset, ratio::VARCHAR)"
+    out["windowed_heat_tumbling"] = windowed("placed AS (SELECT *, sec - sec % 86400 AS w FROM arrived)")
+    out["windowed_heat_sliding"] = windowed("placed AS (SELECT a.*, sec - sec % 21600 - i * 21600 AS w FROM arrived a, range(4) t(i))")
+    out["windowed_heat_session"] = windowed("""gaps AS (SELECT *, CASE WHEN sec - lag(sec) OVER (ORDER BY sec, oid) < 1800 THEN 0 ELSE 1 END AS opens FROM arrived),
+numbered AS (SELECT *, sum(opens) OVER (ORDER BY sec, oid ROWS UNBOUNDED PRECEDING) AS s FROM gaps),
+placed AS (SELECT *, min(sec) OVER (PARTITION BY s) AS w FROM numbered)""")
     return out

@@ -233,7 +233,8 @@ def arc_counts(spark, sf_dir):
 
 
 def max_region_l2(spark, sf_dir):
-    d = _discs(spark, sf_dir).persist()
+    """The maximum by all three ways on a sample that the enumeration can finish."""
+    d = _discs(spark, sf_dir, 24, 4).persist()
     by_sweep = arcs.label_arcs(d).agg(F.max("n")).first()[0]
     rows = [("arc_sweep", by_sweep, 0, 0, "done")]
     for name, on in (("combination_pruning", True), ("combination_enumeration", False)):
@@ -267,7 +268,8 @@ def ratio_sweep_linf(spark, sf_dir):
 
 
 def experiment_rollup(spark, sf_dir):
-    return ratio_sweep_l1(spark, sf_dir).rollup("dataset", "ratio").agg(F.sum("k").alias("k"), F.sum("k_all").alias("k_all"), F.sum("m").alias("m"))
+    rows = ratio_sweep_l1(spark, sf_dir).withColumn("ratio", F.col("ratio").cast("string"))
+    return rows.rollup("dataset", "ratio").agg(F.sum("k").alias("k"), F.sum("k_all").alias("k_all"), F.sum("m").alias("m"))
 
 
 def ratio_sweep_l2(spark, sf_dir):
