@@ -124,19 +124,33 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return store["p"], store["q"]
 
 
-def word_hashes(joined: bytes) -> np.ndarray:
-    """64-bit hashes of the words of a text whose words stand between single spaces."""
-    if not joined:
-        return np.empty(0, np.uint64)
-    b = np.frombuffer(joined, np.uint8)
+def hashed_words(text: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Where the words between spaces begin, and their 64-bit hashes; runs of spaces count as one."""
+    b = np.frombuffer(text, np.uint8)
+    gaps = np.flatnonzero(b == 32)
+    starts = np.concatenate(([0], gaps + 1))
+    ends = np.concatenate((gaps, [len(b)]))
+    real = ends > starts
+    starts, ends = starts[real], ends[real]
+    if not len(starts):
+        return starts, np.empty(0, np.uint64)
     p, q = _powers(len(b) + 1)
     sums = np.empty(len(b) + 1, np.uint64)
     sums[0] = 0
     np.cumsum((b.astype(np.uint64) + U(1)) * p[: len(b)], out=sums[1:])
-    gaps = np.flatnonzero(b == 32)
-    starts = np.concatenate(([0], gaps + 1))
-    ends = np.concatenate((gaps, [len(b)]))
-    return mix((sums[ends] - sums[starts]) * q[starts] + (ends - starts).astype(np.uint64))
+    return starts, mix((sums[ends] - sums[starts]) * q[starts] + (ends - starts).astype(np.uint64))
+
+
+def hashed_texts(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Word hashes of texts in a row, and where each text's words begin among them (one more entry at the end)."""
+    starts, hashes = hashed_words(b" ".join(texts))
+    begins = np.cumsum([0] + [len(t) + 1 for t in texts])
+    return hashes, np.searchsorted(starts, begins)
+
+
+def word_hashes(joined: bytes) -> np.ndarray:
+    """64-bit hashes of the words of a text."""
+    return hashed_words(joined)[1]
 
 
 def signed(x: np.ndarray) -> np.ndarray:

@@ -1,11 +1,12 @@
 """Benchmark decontamination by latent semantic retrieval.
 
 1. Inverse document frequencies of the benchmark's vocabulary are counted over every document.
-2. TF-IDF rows of all benchmark passages get a randomised SVD: Gaussian test vectors, a few power rounds of
+2. TF-IDF rows of all benchmark passages (long ones in segments) get a randomised SVD: Gaussian test vectors, a few power rounds of
    distributed partial products (each task multiplies its rows both ways and returns one small matrix),
    and a thin decomposition of the last one on the driver. Its size is vocabulary x rank.
-3. Every document is read as overlapping word windows. A window's latent vector is a difference of running
-   sums over its words; its cosine with each passage (window norm in the full space) gives the candidates.
+3. Every document is read as overlapping word windows. Where the benchmark's vocabulary makes up enough of a
+   window's norm for the cosine threshold, its latent vector is a difference of running sums over its words; its
+   cosine with each passage (window norm in the full space) gives the candidates.
 4. A candidate's region goes through longest-common-subsequence: the share of the passage's words found in
    order, in a stretch not much longer than the passage. ``strict`` alone decides; between ``loose`` and
    ``strict`` (a paraphrase) the answer, the passage's last words, must stand there too.
@@ -28,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, slices, word_hashes
+from .common import U, hashed_texts, slices, word_hashes
 
 _WORDS = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or 48 <= b <= 57 or b >= 128 else 32 for b in range(256))
 
@@ -81,6 +82,19 @@ def _hash_words(words: list[bytes]) -> np.ndarray:
     return word_hashes(b" ".join(words))
 
 
+def in_vocabulary(hashes: np.ndarray, vocabulary: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which hashes are in the sorted vocabulary, and their places there; a table of leading bits clears most others."""
+    if not len(hashes) or not len(vocabulary):
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    table = np.zeros(1 << 20, bool)
+    table[(vocabulary >> U(44)).astype(np.int64)] = True
+    places = np.flatnonzero(table[(hashes >> U(44)).astype(np.int64)])
+    some = hashes[places]
+    at = np.minimum(np.searchsorted(vocabulary, some), len(vocabulary) - 1)
+    ok = vocabulary[at] == some
+    return places[ok], at[ok]
+
+
 def document_frequency(docs: DataFrame, vocabulary: np.ndarray, text_col: str = "text") -> tuple[np.ndarray, int]:
     """How many documents hold each word of the sorted vocabulary, and how many documents there are, over all rows."""
 
@@ -90,15 +104,10 @@ def document_frequency(docs: DataFrame, vocabulary: np.ndarray, text_col: str =
             texts = batch.column(0).cast(pa.binary()).to_pylist()
             total += len(texts)
             for lo, hi in slices([len(t or b"") for t in texts], 1 << 19):
-                parts = [split_words(t or b"") for t in texts[lo:hi]]
-                sizes = [len(p) for p in parts]
-                h = _hash_words([w for p in parts for w in p])
-                if not len(h):
-                    continue
-                at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
-                ok = vocabulary[at] == h
-                doc = np.repeat(np.arange(len(parts)), sizes)[ok]
-                pairs = np.unique(doc * len(vocabulary) + at[ok])
+                h, begins = hashed_texts([(t or b"").translate(_WORDS) for t in texts[lo:hi]])
+                places, known = in_vocabulary(h, vocabulary)
+                doc = np.searchsorted(begins, places, side="right")
+                pairs = np.unique(doc * len(vocabulary) + known)
                 seen += np.bincount(pairs % len(vocabulary), minlength=len(vocabulary))
         yield pa.RecordBatch.from_arrays([pa.array([total]), pa.array([seen.tobytes()], pa.binary())], names=["total", "seen"])
 
@@ -171,13 +180,15 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
     vocabulary = np.unique(_hash_words([w for ws in words for w in ws]))
     seen, total = document_frequency(docs, vocabulary, text_col)
     idf = np.log((total + 1) / (seen + 1)) + 0.1
-    basis = randomised_basis(rows, vocabulary, idf, min(rank, len(items), len(vocabulary)))
+    starts = lambda n: range(0, n - window // 2, window) if n > window else (0,)
+    cuts = F.expr(f"if(size(words) > {window}, transform(sequence(0, size(words) - {window // 2} - 1, {window}), i -> slice(words, i + 1, {window})), array(words))")
+    segments = sum(len(starts(len(ws))) for ws in words)
+    basis = randomised_basis(rows.select(F.explode(cuts).alias("words")), vocabulary, idf, min(rank, segments, len(vocabulary)))
     out = []
     for lo in range(0, len(items), block):
         vectors, owner = [], []
         for k, ws in enumerate(words[lo : lo + block]):
-            starts = range(0, max(1, len(ws) - window // 2), window) if len(ws) > window else (0,)
-            for s in starts:
+            for s in starts(len(ws)):
                 at, w = weigh(_hash_words(ws[s : s + window]), vocabulary, idf)
                 vectors.append(w @ basis[at])
                 owner.append(k)
@@ -189,39 +200,44 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
 def search(index: LatentIndex, texts: list, window: int, cosine: float, loose: float, strict: float, answer: int):
     """For each text its matches: (item, cosine, common share, answer found, first word)."""
     stride = window // 2
-    for lo, hi in slices([len(t or b"") for t in texts], 1 << 19):
-        parts = [split_words(t or b"") for t in texts[lo:hi]]
-        h = _hash_words([w for p in parts for w in p])
-        begins = np.cumsum([0] + [len(p) for p in parts])
-        if len(h):
-            at = np.minimum(np.searchsorted(index.vocabulary, h), len(index.vocabulary) - 1)
-            places = np.flatnonzero(index.vocabulary[at] == h)
-            known = at[places]
-        for i, words in enumerate(parts):
-            if not words:
+    mean = float(index.idf.mean())
+    for lo, hi in slices([len(t or b"") for t in texts], 1 << 20):
+        clean = [(t or b"").translate(_WORDS) for t in texts[lo:hi]]
+        h, begins = hashed_texts(clean)
+        places, known = in_vocabulary(h, index.vocabulary)
+        # all windows of all texts: first word, end, and what share of the norm lies in the vocabulary
+        sizes = np.diff(begins)
+        counts = np.where(sizes > 0, np.maximum(1, -(-(sizes - stride) // stride)), 0)
+        owner = np.repeat(np.arange(len(clean)), counts)
+        turn = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
+        firsts = begins[:-1][owner] + turn * stride
+        ends = np.minimum(firsts + window, begins[1:][owner])
+        wide = np.searchsorted(places, np.stack((firsts, ends)))
+        weight = index.idf[known]
+        inside = np.concatenate(([0.0], np.cumsum(weight.astype(np.float64) ** 2)))
+        own = inside[wide[1]] - inside[wide[0]]
+        norm = np.sqrt(own + ((ends - firsts) - (wide[1] - wide[0])) * mean**2) + 1e-9
+        rich = np.flatnonzero(np.sqrt(own) >= cosine * norm)
+        cuts = np.searchsorted(owner[rich], np.arange(len(clean) + 1))
+        for i, text in enumerate(clean):
+            mine = rich[cuts[i] : cuts[i + 1]]
+            if not len(mine):
                 yield []
                 continue
-            a, b = np.searchsorted(places, begins[i : i + 2])
-            if b == a:
+            a, b = wide[0][mine[0]], wide[1][mine[-1]]
+            vectors = np.concatenate((np.zeros((1, index.rank), np.float32), np.cumsum(weight[a:b, None] * index.basis[known[a:b]], axis=0)))
+            cos = ((vectors[wide[1][mine] - a] - vectors[wide[0][mine] - a]) @ index.segments.T) / norm[mine][:, None]
+            if not (cos >= cosine).any():
                 yield []
                 continue
-            where, what = places[a:b] - begins[i], known[a:b]
-            firsts = np.arange(0, max(1, len(words) - stride), stride)
-            wide = np.searchsorted(where, np.stack((firsts, firsts + window)))
-            weight = index.idf[what]
-            vectors = np.concatenate((np.zeros((1, index.rank), np.float32), np.cumsum(weight[:, None] * index.basis[what], axis=0)))
-            # a window's own words outside the vocabulary are in its norm too, at the vocabulary's mean weight
-            inside = np.concatenate(([0], np.cumsum(weight * weight)))
-            known_words = wide[1] - wide[0]
-            lengths = np.minimum(firsts + window, len(words)) - firsts
-            norm = np.sqrt(inside[wide[1]] - inside[wide[0]] + (lengths - known_words) * float(index.idf.mean()) ** 2) + 1e-9
-            cos = ((vectors[wide[1]] - vectors[wide[0]]) @ index.segments.T) / norm[:, None]
+            words = text.split()
+            firsts_here = firsts[mine] - begins[i]
             near_w, near_s = np.nonzero(cos >= cosine)
             best: dict = {}
             for k in np.unique(index.owner[near_s]).tolist():
                 of = index.owner[near_s] == k
                 item = index.words[k]
-                marks = sorted({int(f) for f in firsts[near_w[of]]})
+                marks = sorted({int(f) for f in firsts_here[near_w[of]]})
                 top = min(1.0, float(cos[near_w[of], near_s[of]].max()))
                 regions: list[list[int]] = []
                 for f in marks:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, word_hashes
+from .common import hashed_texts, slices, word_hashes
 from .decontaminate import _WORDS, document_frequency
 
 #: Phrases and their labels.
@@ -140,10 +140,8 @@ def scan(docs: DataFrame, text_col: str = "text", templates=TEMPLATES, threshold
             out = []
             for lo, hi in slices([len(t) for t in texts], 1 << 19):
                 parts = [license_words(t) for t in texts[lo:hi]]
-                h = word_hashes(b" ".join(w for p in parts for w in p))
-                hot = np.isin(h, join.keys)
-                sums = np.concatenate(([0], np.cumsum(hot)))
-                ends = np.cumsum([0] + [len(p) for p in parts])
+                h, ends = hashed_texts([b" ".join(p) for p in parts])
+                sums = np.concatenate(([0], np.cumsum(np.isin(h, join.keys))))
                 out += [one(t, p, sums[b] > sums[a]) for t, p, a, b in zip(texts[lo:hi], parts, ends, ends[1:])]
             yield pa.array(out, kind)
 
