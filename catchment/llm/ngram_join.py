@@ -13,7 +13,7 @@ Equal sets form one class; links are sought between classes, so copies cost one
   entries, summed over the size histogram of the corpus.
 
 Long lists are never paired out. First each list is checked against one pivot for each size
-band; components of those links are formed, and only pairs of list members that still lie in
+band, the member with the fewest rare elements (in a group of near copies, what they are copies of); components of those links are formed, and only pairs of list members that still lie in
 different components are checked after that, cell by cell. Links between two members of one
 component that the pivots have joined already are not listed again: ``n_links`` counts the checked links of a
 text's class and its copies, ``component_id`` loses none.
@@ -126,8 +126,8 @@ def _signatures(width: int, chunk: int, least: int):
 
 def _entries(width: int, num: int, den: int, light: int, frequent: tuple[np.ndarray, np.ndarray]):
     """List entries (kind 0) and subsets (kind = their size) of each class, once for each partition."""
-    names = ("kind", "key", "ckey", "n", "doc_id", "pos")
-    schema = pa.schema([(x, pa.int32() if x in ("kind", "n", "pos") else pa.int64()) for x in names])
+    names = ("kind", "key", "ckey", "n", "doc_id", "pos", "odd")
+    schema = pa.schema([(x, pa.int64() if x in ("key", "ckey", "doc_id") else pa.int32()) for x in names])
     order = np.argsort(frequent[0])
     tokens, weight = frequent[0][order], frequent[1][order]
 
@@ -151,22 +151,22 @@ def _entries(width: int, num: int, den: int, light: int, frequent: tuple[np.ndar
                         kinds.append(np.full(len(found), c, np.int32))
                         keys.append(found)
                         poss.append(np.zeros(len(found), np.int32))
-                        heads.append((ckey, n, doc, len(found)))
+                        heads.append((ckey, n, doc, len(found), 0))
                 if n * den >= num * (light + 1):
-                    rare = s
+                    rare, odd = s, n
                     if len(tokens):
                         at = np.minimum(np.searchsorted(tokens, s), len(tokens) - 1)
                         load = np.where(tokens[at] == s, weight[at], 0)
-                        rare = s[np.lexsort((s, load))]
+                        rare, odd = s[np.lexsort((s, load))], int((load == 0).sum())
                     k = n - -(-num * n // den) + 1
                     kinds.append(np.zeros(k, np.int32))
                     keys.append(rare[:k])
                     poss.append(np.arange(k, dtype=np.int32))
-                    heads.append((ckey, n, doc, k))
+                    heads.append((ckey, n, doc, k, odd))
             if kinds:
                 reps = np.array([h[3] for h in heads])
                 spread = lambda i, t: pa.array(np.repeat(np.array([h[i] for h in heads], t), reps))
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(kinds)), pa.array(signed(np.concatenate(keys))), spread(0, np.int64), spread(1, np.int32), spread(2, np.int64), pa.array(np.concatenate(poss))], schema=schema)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(kinds)), pa.array(signed(np.concatenate(keys))), spread(0, np.int64), spread(1, np.int32), spread(2, np.int64), pa.array(np.concatenate(poss)), spread(4, np.int32)], schema=schema)
 
     return run
 
@@ -265,12 +265,12 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     histogram = {r[0]: r[1] for r in marks.filter(f"n between 1 and {near_light}").groupBy("n").agg(F.countDistinct("ckey")).collect()}
     light = boundary(histogram, num, den, entry_cost, largest_light)
 
-    rows = texts.mapInArrow(_entries(width, num, den, light, frequent), "kind int, key long, ckey long, n int, doc_id long, pos int").repartition("kind", "key")
-    rows = rows.groupBy("kind", "key", "ckey").agg(F.min("n").alias("n"), F.min("doc_id").alias("doc"), F.min("pos").alias("pos"))
+    rows = texts.mapInArrow(_entries(width, num, den, light, frequent), "kind int, key long, ckey long, n int, doc_id long, pos int, odd int").repartition("kind", "key")
+    rows = rows.groupBy("kind", "key", "ckey").agg(F.min("n").alias("n"), F.min("doc_id").alias("doc"), F.min("pos").alias("pos"), F.min("odd").alias("odd"))
     lists, bands = Window.partitionBy("kind", "key"), Window.partitionBy("kind", "key", "band")
     rows = rows.withColumn("cnt", F.count("*").over(lists)).filter("cnt > 1")
     rows = rows.withColumn("band", F.when(F.col("kind") > 0, 0).otherwise(F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(den / num)))))
-    rows = materialize(rows.withColumn("pivot", F.min(F.struct("n", "ckey", "doc", "pos")).over(bands)), "lists")
+    rows = materialize(rows.withColumn("pivot", F.min(F.struct("odd", "n", "ckey", "doc", "pos")).over(bands)).drop("odd"), "lists")
 
     required, sizes, places = _overlap_bound(num, den)
     stars = rows.filter("ckey != pivot.ckey").select("kind", F.col("ckey").alias("a"), F.col("n").alias("a_n"), F.col("doc").alias("a_doc"), F.col("pos").alias("a_pos"), F.col("pivot.ckey").alias("b"), F.col("pivot.n").alias("b_n"), F.col("pivot.doc").alias("b_doc"), F.col("pivot.pos").alias("b_pos"))
