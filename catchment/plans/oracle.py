@@ -28,11 +28,11 @@ facilities AS (SELECT s_suppkey AS fid, round(s_acctbal * 100)::BIGINT AS fx, {h
 QUERIES = "queries AS (SELECT p_partkey AS qid, p_size * 20000 - 50000 AS x, round(p_retailprice * 100)::BIGINT * 5 AS y FROM part)"
 
 
-def sampled(name: str, n: int, ratio: int) -> str:
+def sampled(name: str, n: int, ratio: int, n_f: int | None = None) -> str:
     return f"""points AS ({SETS[name]}),
 numbered AS (SELECT *, row_number() OVER (ORDER BY {hexed('id', 1, 8)}, id) AS k FROM points),
 clients AS (SELECT id AS oid, x, y, 1 AS weight FROM numbered WHERE k <= {n}),
-facilities AS (SELECT id AS fid, x AS fx, y AS fy FROM numbered WHERE k > {n} AND k <= {n + max(1, n // ratio)})"""
+facilities AS (SELECT id AS fid, x AS fx, y AS fy FROM numbered WHERE k > {n} AND k <= {n + (n_f or max(1, n // ratio))})"""
 
 
 def near(metric: str) -> str:
@@ -107,6 +107,14 @@ sq AS (SELECT ({u} - r) * {k} AS xl, ({u} + r) * {k} AS xh, ({v} - r) * {k} AS y
 SELECT px, py, count(xl) AS heat FROM px LEFT JOIN sq ON xl <= qx AND qx < xh AND yl <= qy AND qy < yh GROUP BY 1, 2"""
 
 
+def showcase(name: str) -> str:
+    k = 2 * PIXELS
+    return f"""WITH {sampled(name, 600, 1, 180)}, {squares('linf')},
+box AS (SELECT min(xl) AS x0, max(xh) AS x1, min(yl) AS y0, max(yh) AS y1 FROM sq),
+px AS (SELECT p.i AS px, q.i AS py, x0 * {k} + (2 * p.i + 1) * (x1 - x0) AS qx, y0 * {k} + (2 * q.i + 1) * (y1 - y0) AS qy FROM box, range({PIXELS}) p(i), range({PIXELS}) q(i))
+SELECT px, py, coalesce(sum(n), 0)::BIGINT AS heat FROM px LEFT JOIN sq ON xl * {k} <= qx AND qx < xh * {k} AND yl * {k} <= qy AND qy < yh * {k} GROUP BY 1, 2"""
+
+
 def discs(n: int = 48, ratio: int = 8, name: str = "ord") -> str:
     return f"""{sampled(name, n, ratio)},
 every AS (SELECT x, y FROM clients UNION ALL SELECT fx, fy FROM facilities),
@@ -239,6 +247,7 @@ SELECT heat, labels, (((sum(labels) OVER (ORDER BY heat) - 1) * 10) // (SELECT s
     out["heat_at_points"] = f"{market}, {QUERIES} SELECT qid, coalesce(sum(n), 0)::BIGINT AS heat FROM queries LEFT JOIN sq ON xl <= x AND x < xh AND yl <= y AND y < yh GROUP BY 1"
     out |= {"raster_heat_linf": raster("linf"), "raster_heat_l1": raster("l1")}
     out["label_set_diff"] = f"{market}, {CHANGED} SELECT n AS heat, count(*) AS saved FROM (SELECT x0, x1, y0, y1, n FROM pairs EXCEPT ALL SELECT x0, x1, y0, y1, n FROM changed) GROUP BY 1"
+    out |= {"showcase_city_a": showcase("ord"), "showcase_city_b": showcase("evt")}
     out["arc_crossings"] = f"""WITH {discs()} SELECT count(*) AS crossing_pairs FROM (SELECT a.r2 AS p, b.r2 AS q, (a.cx - b.cx) * (a.cx - b.cx) + (a.cy - b.cy) * (a.cy - b.cy) AS d FROM d a JOIN d b ON a.oid < b.oid)
 WHERE d > 0 AND (d - p - q)::HUGEINT * (d - p - q) < 4 * p::HUGEINT * q"""
     out["raster_heat_l2"] = f"""WITH {discs()}, px AS (SELECT p.i AS px, q.i AS py, (2 * p.i + 1) * 20000 AS qx, (2 * q.i + 1) * 20000 AS qy FROM range({PIXELS}) p(i), range({PIXELS}) q(i))
