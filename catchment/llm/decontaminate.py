@@ -247,6 +247,9 @@ def search(index: LatentIndex, texts: list, window: int, cosine: float, loose: f
                     else:
                         regions.append([a0, b0])
                 for a0, b0 in regions:
+                    # no subsequence is longer than the number of passage words that occur here at all
+                    if sum(map(set(words[a0:b0]).__contains__, item)) < loose * len(item):
+                        continue
                     n, off = best_region(item, words[a0:b0])
                     share = n / len(item)
                     tail = item[-answer:]
