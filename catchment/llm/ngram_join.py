@@ -257,7 +257,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     order gives the same links). ``cell`` is the block of a long list that one join key holds.
     """
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 21, 2), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
+    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 22, 2), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
     marks = signed_rows.filter("token is null").select("doc_id", "n", "ckey")
     top = signed_rows.filter("token is not null").groupBy("token").agg(F.sum("cnt").alias("cnt")).orderBy(F.desc("cnt"), "token").limit(frequent_tokens).toArrow()
     frequent = (top.column(0).to_numpy().view(np.uint64), top.column(1).to_numpy())
