@@ -23,7 +23,7 @@ _BLANK = bytes.maketrans(b"\t\n\r", b"   ")
 class WordEncoder:
     """Encodes batches of UTF-8 texts; ``slots`` bounds the table (a power of two), ``parts`` the dictionary of word parts."""
 
-    def __init__(self, path: str, slots: int = 1 << 21, parts: int = 400_000):
+    def __init__(self, path: str, slots: int = 1 << 20, parts: int = 150_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -123,7 +123,7 @@ class WordEncoder:
     def encode(self, texts: list, end_id: int | None = None) -> tuple[np.ndarray, np.ndarray]:
         """All ids of the texts in a row (null as empty), and how many each has, an end id included."""
         all_ids, all_sizes = [], []
-        for lo, hi in slices([len(t or b"") + 1 for t in texts], 1 << 21):
+        for lo, hi in slices([len(t or b"") + 1 for t in texts], 1 << 20):
             ids, sizes = self._some([t or b"" for t in texts[lo:hi]], end_id)
             all_ids.append(ids)
             all_sizes.append(sizes)
