@@ -1,19 +1,21 @@
 """Benchmark decontamination by latent semantic retrieval.
 
 1. Inverse document frequencies of the benchmark's vocabulary are counted over every document.
-2. TF-IDF rows of all benchmark passages (long ones in segments) get a randomised SVD: Gaussian test vectors, a few power rounds of
-   distributed partial products (each task multiplies its rows both ways and returns one small matrix),
-   and a thin decomposition of the last one on the driver. Its size is vocabulary x rank.
+2. TF-IDF rows of the benchmark passages (long ones in segments) get a randomised SVD for each block of segments: Gaussian
+   test vectors, a few power rounds of distributed partial products (each task multiplies its rows both ways and returns
+   one small matrix), and a thin decomposition of the last one on the driver. A block's basis has as many directions as
+   leave every segment all but a small part of its norm; its size is the block's vocabulary x rank.
 3. Every document is read as overlapping word windows. Where the benchmark's vocabulary makes up enough of a
    window's norm for the cosine threshold, its latent vector is a difference of running sums over its words; its
-   cosine with each passage (window norm in the full space) gives the candidates.
+   cosine with each passage (window norm in the full space) gives the candidates. The threshold is lowered by the norm
+   that a segment has lost in the basis, so no pair at the threshold in the full space is lost.
 4. A candidate's region goes through longest-common-subsequence: the share of the passage's words found in
    order, in a stretch not much longer than the passage. ``strict`` alone decides; between ``loose`` and
    ``strict`` (a paraphrase) the answer, the passage's last words, must stand there too.
 
 Long passages are covered by segments of at most one window, so dilution is bounded. Words are runs of
-letters and digits, lower-cased. Benchmarks larger than ``block`` passages are searched block by block, so
-what goes to each task is bounded.
+letters and digits, lower-cased. Benchmarks of more than ``block`` segments are searched block by block, each with a
+vocabulary and a basis of its own.
 
 Odd input: null or word-less text matches nothing; null or word-less passages are ignored; repeated passages
 each report; a null document id is reported as null; an empty table on either side gives no matches. Other columns pass through
@@ -31,6 +33,8 @@ from pyspark.sql import functions as F
 
 from .common import U, hashed_texts, slices, word_hashes
 
+#: The least share of its squared norm that a segment keeps in its block's basis.
+KEPT = 0.998
 _WORDS = bytes(b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or 48 <= b <= 57 or b >= 128 else 32 for b in range(256))
 
 
@@ -72,10 +76,13 @@ def best_region(item: list, words: list, slack: float = 1.5) -> tuple[int, int]:
 
 
 class LatentIndex:
-    """Benchmark passages in latent space: vocabulary hashes, idf, basis rows, passage vectors and words."""
+    """A block of segments in latent space: vocabulary hashes, idf, basis rows, segment vectors, the norm each has lost,
+    and the places of their passages in ``items`` and ``words``, which all blocks share."""
 
-    def __init__(self, items, words, vocabulary, idf, basis, segments, owner, rank):
-        self.items, self.words, self.vocabulary, self.idf, self.basis, self.segments, self.owner, self.rank = items, words, vocabulary, idf, basis, segments, owner, rank
+    def __init__(self, items, words, vocabulary, idf, mean, basis, segments, owner):
+        self.items, self.words, self.vocabulary, self.idf, self.mean, self.basis, self.segments, self.owner = items, words, vocabulary, idf, mean, basis, segments, owner
+        self.rank = basis.shape[1]
+        self.lost = np.sqrt(np.maximum(0, 1 - (segments.astype(np.float64) ** 2).sum(axis=1)))
 
 
 def _hash_words(words: list[bytes]) -> np.ndarray:
@@ -163,8 +170,8 @@ def weigh(hashes: np.ndarray, vocabulary: np.ndarray, idf: np.ndarray) -> tuple[
     return at, w / max(float(np.linalg.norm(w)), 1e-12)
 
 
-def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", rank: int = 128, window: int = 48, block: int = 2048) -> list[LatentIndex]:
-    """Latent indexes of all passages, one a block of ``block`` passages."""
+def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", rank: int = 128, window: int = 48, block: int = 256) -> list[LatentIndex]:
+    """Latent indexes of all passages, one a block of ``block`` segments: ``rank`` directions, and more until each segment keeps ``KEPT``."""
     passages = benchmark.filter(F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("item"), F.col(item_text_col).cast("string").alias("text"))
 
     @F.arrow_udf("array<binary>")
@@ -181,64 +188,72 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
     seen, total = document_frequency(docs, vocabulary, text_col)
     idf = np.log((total + 1) / (seen + 1)) + 0.1
     starts = lambda n: range(0, n - window // 2, window) if n > window else (0,)
-    cuts = F.expr(f"if(size(words) > {window}, transform(sequence(0, size(words) - {window // 2} - 1, {window}), i -> slice(words, i + 1, {window})), array(words))")
-    segments = sum(len(starts(len(ws))) for ws in words)
-    basis = randomised_basis(rows.select(F.explode(cuts).alias("words")), vocabulary, idf, min(rank, segments, len(vocabulary)))
+    segments = [(k, ws[s : s + window]) for k, ws in enumerate(words) for s in starts(len(ws))]
     out = []
-    for lo in range(0, len(items), block):
-        vectors, owner = [], []
-        for k, ws in enumerate(words[lo : lo + block]):
-            for s in starts(len(ws)):
-                at, w = weigh(_hash_words(ws[s : s + window]), vocabulary, idf)
-                vectors.append(w @ basis[at])
-                owner.append(k)
-        v = np.array(vectors, np.float32)
-        out.append(LatentIndex(items[lo : lo + block], words[lo : lo + block], vocabulary, idf.astype(np.float32), basis, v, np.array(owner), basis.shape[1]))
+    for lo in range(0, len(segments), block):
+        owner, parts = zip(*segments[lo : lo + block])
+        own = np.unique(_hash_words([w for ws in parts for w in ws]))
+        weights = idf[np.searchsorted(vocabulary, own)]
+        frame = docs.sparkSession.createDataFrame(pa.table({"words": pa.array(parts, pa.list_(pa.binary()))}))
+        basis = randomised_basis(frame, own, weights, min(len(parts), len(own)))
+        v = np.array([w @ basis[at] for at, w in (weigh(_hash_words(ws), own, weights) for ws in parts)], np.float32)
+        kept = np.cumsum(v.astype(np.float64) ** 2, axis=1).min(axis=0)
+        n = min(max(rank, int(np.searchsorted(kept, KEPT)) + 1), basis.shape[1])
+        out.append(LatentIndex(items, words, own, weights.astype(np.float32), float(idf.astype(np.float32).mean()), np.ascontiguousarray(basis[:, :n]), np.ascontiguousarray(v[:, :n]), np.array(owner)))
     return out
 
 
-def search(index: LatentIndex, texts: list, window: int, cosine: float, loose: float, strict: float, answer: int):
+def near(index: LatentIndex, h: np.ndarray, begins: np.ndarray, owner: np.ndarray, firsts: np.ndarray, ends: np.ndarray, cosine: float):
+    """For each text with candidates: its place, and (window, segment, cosine) of the pairs at or above the threshold."""
+    places, known = in_vocabulary(h, index.vocabulary)
+    # what share of each window's norm lies in the vocabulary
+    wide = np.searchsorted(places, np.stack((firsts, ends)))
+    weight = index.idf[known]
+    inside = np.concatenate(([0.0], np.cumsum(weight.astype(np.float64) ** 2)))
+    own = inside[wide[1]] - inside[wide[0]]
+    norm = np.sqrt(own + ((ends - firsts) - (wide[1] - wide[0])) * index.mean**2) + 1e-9
+    rich = np.flatnonzero(np.sqrt(own) >= cosine * norm)
+    cuts = np.searchsorted(owner[rich], np.arange(len(begins)))
+    least = cosine - index.lost
+    for i in np.flatnonzero(np.diff(cuts)).tolist():
+        mine = rich[cuts[i] : cuts[i + 1]]
+        a, b = wide[0][mine[0]], wide[1][mine[-1]]
+        vectors = np.concatenate((np.zeros((1, index.rank), np.float32), np.cumsum(weight[a:b, None] * index.basis[known[a:b]], axis=0)))
+        cos = ((vectors[wide[1][mine] - a] - vectors[wide[0][mine] - a]) @ index.segments.T) / norm[mine][:, None]
+        near_w, near_s = np.nonzero(cos >= least)
+        if len(near_w):
+            yield i, mine[near_w], near_s, cos[near_w, near_s]
+
+
+def search(indexes: list[LatentIndex], texts: list, window: int, cosine: float, loose: float, strict: float, answer: int):
     """For each text its matches: (item, cosine, common share, answer found, first word)."""
     stride = window // 2
-    mean = float(index.idf.mean())
     for lo, hi in slices([len(t or b"") for t in texts], 1 << 20):
         clean = [(t or b"").translate(_WORDS) for t in texts[lo:hi]]
         h, begins = hashed_texts(clean)
-        places, known = in_vocabulary(h, index.vocabulary)
-        # all windows of all texts: first word, end, and what share of the norm lies in the vocabulary
+        # all windows of all texts: first word and end
         sizes = np.diff(begins)
         counts = np.where(sizes > 0, np.maximum(1, -(-(sizes - stride) // stride)), 0)
         owner = np.repeat(np.arange(len(clean)), counts)
         turn = np.arange(len(owner)) - np.repeat(np.cumsum(counts) - counts, counts)
         firsts = begins[:-1][owner] + turn * stride
         ends = np.minimum(firsts + window, begins[1:][owner])
-        wide = np.searchsorted(places, np.stack((firsts, ends)))
-        weight = index.idf[known]
-        inside = np.concatenate(([0.0], np.cumsum(weight.astype(np.float64) ** 2)))
-        own = inside[wide[1]] - inside[wide[0]]
-        norm = np.sqrt(own + ((ends - firsts) - (wide[1] - wide[0])) * mean**2) + 1e-9
-        rich = np.flatnonzero(np.sqrt(own) >= cosine * norm)
-        cuts = np.searchsorted(owner[rich], np.arange(len(clean) + 1))
+        pairs: dict[int, list] = {}
+        for index in indexes:
+            for i, windows, near_s, cos in near(index, h, begins, owner, firsts, ends, cosine):
+                pairs.setdefault(i, []).append((index.owner[near_s], firsts[windows] - begins[i], cos))
         for i, text in enumerate(clean):
-            mine = rich[cuts[i] : cuts[i + 1]]
-            if not len(mine):
-                yield []
-                continue
-            a, b = wide[0][mine[0]], wide[1][mine[-1]]
-            vectors = np.concatenate((np.zeros((1, index.rank), np.float32), np.cumsum(weight[a:b, None] * index.basis[known[a:b]], axis=0)))
-            cos = ((vectors[wide[1][mine] - a] - vectors[wide[0][mine] - a]) @ index.segments.T) / norm[mine][:, None]
-            if not (cos >= cosine).any():
+            if i not in pairs:
                 yield []
                 continue
             words = text.split()
-            firsts_here = firsts[mine] - begins[i]
-            near_w, near_s = np.nonzero(cos >= cosine)
+            near_k, near_first, near_cos = (np.concatenate(x) for x in zip(*pairs[i]))
             best: dict = {}
-            for k in np.unique(index.owner[near_s]).tolist():
-                of = index.owner[near_s] == k
-                item = index.words[k]
-                marks = sorted({int(f) for f in firsts_here[near_w[of]]})
-                top = min(1.0, float(cos[near_w[of], near_s[of]].max()))
+            for k in np.unique(near_k).tolist():
+                of = near_k == k
+                item = indexes[0].words[k]
+                marks = sorted({int(f) for f in near_first[of]})
+                top = min(1.0, float(near_cos[of].max()))
                 regions: list[list[int]] = []
                 for f in marks:
                     a0, b0 = max(0, f - len(item)), min(len(words), f + window + len(item))
@@ -255,16 +270,12 @@ def search(index: LatentIndex, texts: list, window: int, cosine: float, loose: f
                     tail = item[-answer:]
                     told = common_subsequence(tail, words[a0:b0]) >= max(1, len(tail) - 1)
                     if (share >= strict or (share >= loose and told)) and (k not in best or best[k][2] < share):
-                        best[k] = (index.items[k], top, share, told, a0 + off)
+                        best[k] = (indexes[0].items[k], top, share, told, a0 + off)
             yield [best[k] for k in sorted(best)]
 
 
 def _matches(indexes, texts, window, cosine, loose, strict, answer):
-    found = [[] for _ in texts]
-    for index in indexes:
-        for i, some in enumerate(search(index, texts, window, cosine, loose, strict, answer)):
-            found[i].extend(some)
-    return found
+    return list(search(indexes, texts, window, cosine, loose, strict, answer)) if indexes else [[] for _ in texts]
 
 
 MATCH = "array<struct<item_id:bigint,cosine:double,common_share:double,answer_found:boolean,first_word:bigint>>"

@@ -194,6 +194,17 @@ def test_decontamination(spark):
     assert decontaminate.with_matches(docs(spark, clean).limit(0), frame).count() == 0
 
 
+def test_decontamination_finds_every_copy_of_many_passages(spark):
+    rng = random.Random(9)
+    vocabulary = [f"q{i}" for i in range(5000)]
+    items = [[rng.choice(vocabulary) for _ in range(rng.randrange(15, 60))] for _ in range(2000)]
+    frame = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id long, text string")
+    noise = lambda: [rng.choice(vocabulary) if rng.random() < 0.3 else f"n{rng.randrange(9000)}" for _ in range(rng.randrange(100))]
+    texts = [" ".join(noise() + items[i] + noise()) for i in range(0, 2000, 5)]
+    found = decontaminate.with_matches(docs(spark, texts), frame).collect()
+    assert all(5 * r["doc_id"] in {m["item_id"] for m in r["matches"]} for r in found) and len(found) == 400
+
+
 def test_subsequence_against_table():
     rng = random.Random(3)
     for _ in range(200):
