@@ -8,7 +8,10 @@
 3. Every document is read as overlapping word windows. Where the benchmark's vocabulary makes up enough of a
    window's norm for the cosine threshold, its latent vector is a difference of running sums over its words; its
    cosine with each passage (window norm in the full space) gives the candidates. The threshold is lowered by the norm
-   that a segment has lost in the basis, so no pair at the threshold in the full space is lost.
+   that a segment has lost in the basis, so no pair at the threshold in the full space is lost. A cosine falls when
+   a passage's words are frequent in the corpus beside words that are not; so a window is also a candidate where its
+   part along a segment reaches half of ``loose`` times the segment's own length, whatever else it holds. Two
+   neighbouring windows hold all words of a segment's copy between them, so an exact copy reaches a half in one.
 4. A candidate's region goes through longest-common-subsequence: the share of the passage's words found in
    order, in a stretch not much longer than the passage. ``strict`` alone decides; between ``loose`` and
    ``strict`` (a paraphrase) the answer, the passage's last words, must stand there too.
@@ -77,10 +80,12 @@ def best_region(item: list, words: list, slack: float = 1.5) -> tuple[int, int]:
 
 class LatentIndex:
     """A block of segments in latent space: vocabulary hashes, idf, basis rows, segment vectors, the norm each has lost,
-    and the places of their passages in ``items`` and ``words``, which all blocks share."""
+    and the places of their passages in ``items`` and ``words``, which all blocks share; the lengths of their rows before
+    these are made units, and the most that one occurrence of each word adds to a window's part along any of them."""
 
-    def __init__(self, items, words, vocabulary, idf, mean, basis, segments, owner):
+    def __init__(self, items, words, vocabulary, idf, mean, basis, segments, owner, lengths, most):
         self.items, self.words, self.vocabulary, self.idf, self.mean, self.basis, self.segments, self.owner = items, words, vocabulary, idf, mean, basis, segments, owner
+        self.lengths, self.most = lengths, most
         self.rank = basis.shape[1]
         self.lost = np.sqrt(np.maximum(0, 1 - (segments.astype(np.float64) ** 2).sum(axis=1)))
 
@@ -199,12 +204,17 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
         v = np.array([w @ basis[at] for at, w in (weigh(_hash_words(ws), own, weights) for ws in parts)], np.float32)
         kept = np.cumsum(v.astype(np.float64) ** 2, axis=1).min(axis=0)
         n = min(max(rank, int(np.searchsorted(kept, KEPT)) + 1), basis.shape[1])
-        out.append(LatentIndex(items, words, own, weights.astype(np.float32), float(idf.astype(np.float32).mean()), np.ascontiguousarray(basis[:, :n]), np.ascontiguousarray(v[:, :n]), np.array(owner)))
+        lengths, most = np.zeros(len(parts)), np.zeros(len(own))
+        for k, ws in enumerate(parts):
+            at, tf = np.unique(np.searchsorted(own, _hash_words(ws)), return_counts=True)
+            lengths[k] = np.linalg.norm(tf * weights[at])
+            most[at] = np.maximum(most[at], tf * (weights[at] / lengths[k]) ** 2)
+        out.append(LatentIndex(items, words, own, weights.astype(np.float32), float(idf.astype(np.float32).mean()), np.ascontiguousarray(basis[:, :n]), np.ascontiguousarray(v[:, :n]), np.array(owner), lengths, most))
     return out
 
 
-def near(index: LatentIndex, h: np.ndarray, begins: np.ndarray, owner: np.ndarray, firsts: np.ndarray, ends: np.ndarray, cosine: float):
-    """For each text with candidates: its place, and (window, segment, cosine) of the pairs at or above the threshold."""
+def near(index: LatentIndex, h: np.ndarray, begins: np.ndarray, owner: np.ndarray, firsts: np.ndarray, ends: np.ndarray, cosine: float, part: float):
+    """For each text with candidates: its place, and (window, segment, cosine) of the pairs at or above either threshold."""
     places, known = in_vocabulary(h, index.vocabulary)
     # what share of each window's norm lies in the vocabulary
     wide = np.searchsorted(places, np.stack((firsts, ends)))
@@ -212,15 +222,17 @@ def near(index: LatentIndex, h: np.ndarray, begins: np.ndarray, owner: np.ndarra
     inside = np.concatenate(([0.0], np.cumsum(weight.astype(np.float64) ** 2)))
     own = inside[wide[1]] - inside[wide[0]]
     norm = np.sqrt(own + ((ends - firsts) - (wide[1] - wide[0])) * index.mean**2) + 1e-9
-    rich = np.flatnonzero(np.sqrt(own) >= cosine * norm)
+    along = np.concatenate(([0.0], np.cumsum(index.most[known])))
+    rich = np.flatnonzero((np.sqrt(own) >= cosine * norm) | (along[wide[1]] - along[wide[0]] >= part - 1e-6))
     cuts = np.searchsorted(owner[rich], np.arange(len(begins)))
     least = cosine - index.lost
     for i in np.flatnonzero(np.diff(cuts)).tolist():
         mine = rich[cuts[i] : cuts[i + 1]]
         a, b = wide[0][mine[0]], wide[1][mine[-1]]
         vectors = np.concatenate((np.zeros((1, index.rank), np.float32), np.cumsum(weight[a:b, None] * index.basis[known[a:b]], axis=0)))
-        cos = ((vectors[wide[1][mine] - a] - vectors[wide[0][mine] - a]) @ index.segments.T) / norm[mine][:, None]
-        near_w, near_s = np.nonzero(cos >= least)
+        dot = (vectors[wide[1][mine] - a] - vectors[wide[0][mine] - a]) @ index.segments.T
+        cos = dot / norm[mine][:, None]
+        near_w, near_s = np.nonzero((cos >= least) | (dot >= part * index.lengths - np.sqrt(own[mine])[:, None] * index.lost - 1e-4))
         if len(near_w):
             yield i, mine[near_w], near_s, cos[near_w, near_s]
 
@@ -240,7 +252,7 @@ def search(indexes: list[LatentIndex], texts: list, window: int, cosine: float,
         ends = np.minimum(firsts + window, begins[1:][owner])
         pairs: dict[int, list] = {}
         for index in indexes:
-            for i, windows, near_s, cos in near(index, h, begins, owner, firsts, ends, cosine):
+            for i, windows, near_s, cos in near(index, h, begins, owner, firsts, ends, cosine, loose / 2):
                 pairs.setdefault(i, []).append((index.owner[near_s], firsts[windows] - begins[i], cos))
         for i, text in enumerate(clean):
             if i not in pairs:

@@ -205,6 +205,16 @@ def test_decontamination_finds_every_copy_of_many_passages(spark):
     assert all(5 * r["doc_id"] in {m["item_id"] for m in r["matches"]} for r in found) and len(found) == 400
 
 
+def test_decontamination_finds_a_passage_that_a_third_of_the_rows_hold(spark):
+    rng = random.Random(10)
+    items, frame = benchmark(spark, rng)
+    k = min(range(len(items)), key=lambda i: len(items[i]))
+    noise = lambda: [f"n{rng.randrange(9000)}" for _ in range(rng.randrange(50, 100))]
+    texts = [" ".join(noise() + (items[k] if i % 3 == 0 else []) + noise()) for i in range(600)]
+    found = decontaminate.with_matches(docs(spark, texts), frame).collect()
+    assert {(r["doc_id"], m["item_id"]) for r in found for m in r["matches"]} == {(i, k) for i in range(0, 600, 3)}
+
+
 def test_subsequence_against_table():
     rng = random.Random(3)
     for _ in range(200):
