@@ -1,8 +1,9 @@
 """License scan: fixed phrases, and an exact set-containment join of notice templates with text blocks.
 
-Words are runs of digits, lower-cased letters and non-ASCII characters. A block is a line of a text. A template
-matches a block when at least ``threshold`` of its distinct words are among the block's, its own
-distinctive words included. The join is exact: template words are put in one global order, rarest first, by the
+Words are runs of digits, lower-cased letters and non-ASCII characters. A block is a line of a text, or
+a paragraph: a run of lines between lines without words, so a notice wrapped over lines is scored as a whole. A template
+matches a block when at least ``threshold`` of its distinct words are among the block's; whether its
+distinctive words are all there is a flag beside the match. The join is exact: template words are put in one global order, rarest first, by the
 number of documents that hold them (counted over all rows); a block that reaches the threshold must
 hold one of a template's first few words (prefix filter), have enough words (length filter) and enough
 ordered words left from the shared one on (position filter); the overlap of what remains is counted in full.
@@ -10,7 +11,7 @@ ordered words left from the shared one on (position filter); the overlap of what
 Phrases are counted wherever their words stand in a row, across lines too, overlaps included.
 
 Odd input: null text is empty; texts without words have null places, empty labels and score 0; several
-templates may match one block; a null or repeated id keeps its rows; other columns pass through.
+templates may match one block; a paragraph of one line is reported once, as a line; a null or repeated id keeps its rows; other columns pass through.
 """
 
 from __future__ import annotations
@@ -76,9 +77,8 @@ class ContainmentJoin:
                 self.index.setdefault(w, []).append((k, place))
         self.keys = np.array(sorted(self.index), np.uint64)
 
-    def block(self, hashes: list[int]) -> list[tuple[int, float]]:
-        """(template, containment) of every template that the block reaches."""
-        words = set(hashes)
+    def block(self, words: set[int]) -> list[tuple[int, float, bool]]:
+        """(template, containment, all distinctive words there) of every template that the block reaches."""
         ordered = sorted(r for w in words if (r := self.rank.get(w)) is not None)
         tried, out = set(), []
         for w in words & self.index.keys():
@@ -92,8 +92,8 @@ class ContainmentJoin:
                     continue
                 tried.add(k)
                 common = len(self.sets[k] & words)
-                if common >= need and self.musts[k] <= words:
-                    out.append((k, common / len(self.sets[k])))
+                if common >= need:
+                    out.append((k, common / len(self.sets[k]), self.musts[k] <= words))
         return out
 
 
@@ -109,11 +109,15 @@ def phrase_places(words: list[bytes], phrases: dict[bytes, str]) -> tuple[list[i
     return places, labels
 
 
-RESULT = "struct<n_words:bigint,n_base:bigint,first_word:bigint,last_word:bigint,base_labels:string,labels:string,score:double,matches:array<struct<label:string,line:bigint,containment:double>>>"
+RESULT = "struct<n_words:bigint,n_base:bigint,first_word:bigint,last_word:bigint,base_labels:string,labels:string,score:double,matches:array<struct<label:string,line:bigint,containment:double>>,block_labels:string,blocks:array<struct<label:string,first_line:bigint,last_line:bigint,containment:double,distinctive:boolean>>>"
 
 
 def scan(docs: DataFrame, text_col: str = "text", templates=TEMPLATES, threshold: float = 0.85, column: str = "license") -> DataFrame:
-    """The rows with a struct of counts, labels, score and the matched blocks (label, line from 0, containment)."""
+    """The rows with a struct of counts, labels and score.
+
+    ``blocks`` and ``block_labels`` have every line and paragraph that reaches the threshold (label, lines from 0, containment,
+    whether the distinctive words are there); ``matches`` and ``labels`` those lines among them that hold the distinctive words.
+    """
     vocabulary = np.unique(word_hashes(b" ".join(w for t in templates for w in license_words(t.text.encode()))))
     seen, _ = document_frequency(docs, vocabulary, text_col)
     join = ContainmentJoin(templates, threshold, dict(zip(vocabulary.tolist(), seen.tolist())))
@@ -121,17 +125,29 @@ def scan(docs: DataFrame, text_col: str = "text", templates=TEMPLATES, threshold
 
     def one(text: bytes, words: list[bytes], hot: bool):
         places, base = phrase_places(words, phrases)
-        matches = []
+        blocks = []
         if hot:
-            for number, line in enumerate(text.split(b"\n")):
-                found = license_words(line)
-                if found:
-                    matches += [(k, number, share) for k, share in join.block(word_hashes(b" ".join(found)).tolist())]
-        labels = base | {join.labels[k] for k, _, _ in matches}
-        score = 1.0 if base else max((s for _, _, s in matches), default=0.0)
-        return {"n_words": len(words), "n_base": len(places), "first_word": min(places, default=None), "last_word": max(places, default=None), "base_labels": ",".join(sorted(base)), "labels": ",".join(sorted(labels)), "score": score, "matches": [{"label": join.labels[k], "line": n, "containment": s} for k, n, s in sorted(matches, key=lambda m: (m[1], m[0]))]}
-
-    kind = pa.struct([(n, pa.int64()) for n in ("n_words", "n_base", "first_word", "last_word")] + [("base_labels", pa.string()), ("labels", pa.string()), ("score", pa.float64()), ("matches", pa.list_(pa.struct([("label", pa.string()), ("line", pa.int64()), ("containment", pa.float64())])))])
+            lines = [set(word_hashes(b" ".join(found)).tolist()) if (found := license_words(line)) else set() for line in text.split(b"\n")]
+            begin = 0
+            for number, held in enumerate([*lines, set()]):
+                if held:
+                    blocks += [(k, number, number, share, sure) for k, share, sure in join.block(held)]
+                    continue
+                if number - begin > 1:
+                    blocks += [(k, begin, number - 1, share, sure) for k, share, sure in join.block(set().union(*lines[begin:number]))]
+                begin = number + 1
+        blocks.sort(key=lambda m: (m[1], m[2], m[0]))
+        matches = [m for m in blocks if m[1] == m[2] and m[4]]
+        labels, block_labels = (base | {join.labels[m[0]] for m in some} for some in (matches, blocks))
+        score = 1.0 if base else max((m[3] for m in blocks), default=0.0)
+        return {
+            "n_words": len(words), "n_base": len(places), "first_word": min(places, default=None), "last_word": max(places, default=None),
+            "base_labels": ",".join(sorted(base)), "labels": ",".join(sorted(labels)), "score": score,
+            "matches": [{"label": join.labels[k], "line": a, "containment": s} for k, a, _, s, _ in matches], "block_labels": ",".join(sorted(block_labels)),
+            "blocks": [{"label": join.labels[k], "first_line": a, "last_line": b, "containment": s, "distinctive": sure} for k, a, b, s, sure in blocks],
+        }
+
+    kind = pa.struct([(n, pa.int64()) for n in ("n_words", "n_base", "first_word", "last_word")] + [("base_labels", pa.string()), ("labels", pa.string()), ("score", pa.float64()), ("matches", pa.list_(pa.struct([("label", pa.string()), ("line", pa.int64()), ("containment", pa.float64())]))), ("block_labels", pa.string()), ("blocks", pa.list_(pa.struct([("label", pa.string()), ("first_line", pa.int64()), ("last_line", pa.int64()), ("containment", pa.float64()), ("distinctive", pa.bool_())])))])
 
     @F.arrow_udf(RESULT)
     def judge(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
@@ -150,5 +166,6 @@ def scan(docs: DataFrame, text_col: str = "text", templates=TEMPLATES, threshold
 
 def op4_license_scan(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    names = ("n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")
-    return scan(docs).select("doc_id", *[f"license.{n}" for n in names])
+    sure = F.expr("array_join(array_sort(array_distinct(transform(filter(license.blocks, b -> b.distinctive), b -> b.label))), ',')")
+    names = ("n_words", "n_base", "first_word", "last_word", "base_labels")
+    return scan(docs).select("doc_id", *[f"license.{n}" for n in names], F.col("license.block_labels").alias("labels"), "license.score", sure.alias("distinctive_labels"))

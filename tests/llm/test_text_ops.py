@@ -2,6 +2,7 @@
 
 import random
 import re
+import textwrap
 import zlib
 
 import numpy as np
@@ -263,3 +264,15 @@ def test_licenses_against_all_pairs(spark):
         assert r["base_labels"] == ",".join(sorted(base)) and r["labels"] == ",".join(sorted(base | {b[1] for b in blocks}))
         assert sorted((m["line"], m["label"], m["containment"]) for m in r["matches"]) == sorted(blocks)
         assert 0 <= r["score"] <= 1
+
+
+def test_licenses_wrapped_over_lines_and_without_a_distinctive_word(spark, tmp_path):
+    wrapped = ["intro\n\n" + "\n".join(f" * {x}" for x in textwrap.wrap(t.text, 40)) + "\n *\n * tail" for t in licenses.TEMPLATES]
+    texts = wrapped + [licenses.TEMPLATES[1].text.replace("charge", "cost"), "released under\n\nthe MIT license", None]
+    docs(spark, texts).write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["doc_id"]: r for r in licenses.op4_license_scan(spark, str(tmp_path)).collect()}
+    n = len(wrapped)
+    assert all(t.label in got[i]["labels"].split(",") for i, t in enumerate(licenses.TEMPLATES))
+    assert all(t.label in got[i]["distinctive_labels"].split(",") for i, t in enumerate(licenses.TEMPLATES))
+    assert (got[n]["labels"], got[n]["distinctive_labels"]) == ("mit", "") and 0.85 <= got[n]["score"] < 1
+    assert got[n + 1]["labels"] == got[n + 2]["labels"] == ""
