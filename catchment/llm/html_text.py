@@ -1,11 +1,13 @@
 """Layout-aware text of HTML pages.
 
 A tree builder (implied end tags, implied table parts, void and raw-text elements, unknown end tags
-ignored) is followed by a renderer: everything visible in document order, one line a block, a blank
+ignored; an open head ends at the first tag or text that may not stand in it) is followed by a renderer: everything visible in document order, one line a block, a blank
 line around paragraphs, headings, lists, tables, quotes and preformatted text, ``- `` or numbers before list
-items by depth, table cells padded to their columns. Hidden are the head, scripts, styles, templates, comments,
-elements with ``hidden``, ``display:none`` or ``visibility:hidden`` in their style, hidden inputs, and the content of closed
-details but for the summary.
+items by depth, table cells padded to their columns; what stands in a table beside its cells is kept, before
+the row it stands in. Buttons and other fields show their value, images and image buttons their alternative text. Hidden are the head, scripts, styles, templates, comments,
+elements with ``hidden``, ``display:none`` or ``visibility:hidden`` in their style, hidden inputs and those that show no text of their own
+(passwords, checkboxes, radio buttons, files, colours, ranges), what SVG only defines or names, annotations of formulas, and the content of
+closed details but for the summary.
 
 Odd input: null or empty html gives empty text; broken markup never fails (an unfinished tag is text, elements
 deeper than ``DEPTH`` become siblings); other columns pass through.
@@ -25,7 +27,11 @@ DEPTH = 256
 #: Element groups of the HTML standard.
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
-HIDDEN = frozenset("head script style template noscript title meta link base iframe object svg math datalist noembed noframes".split())
+HIDDEN = frozenset("head script style template noscript title meta link base iframe object datalist noembed noframes desc metadata defs symbol annotation annotation-xml".split())
+#: What may stand in a head; inputs that show no text; button labels where no value is given.
+IN_HEAD = frozenset("html head base basefont bgsound link meta title noscript noframes style script template".split())
+NO_TEXT = frozenset("hidden password checkbox radio file color range image".split())
+LABELS = {"submit": "Submit", "reset": "Reset"}
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 ul ol dl table blockquote pre figure hr".split())
 BLOCK = SPACED | frozenset("html body div section article header footer nav main aside address form fieldset li dt dd tr figcaption details summary legend option center caption".split())
 CLOSES_P = SPACED | frozenset("div section article header footer nav main aside address form fieldset details figcaption center li dd dt".split())
@@ -41,7 +47,6 @@ IMPLIED = {
     "tbody": ({"tbody", "thead", "tfoot"}, {"table"}),
     "thead": ({"tbody", "thead", "tfoot"}, {"table"}),
     "tfoot": ({"tbody", "thead", "tfoot"}, {"table"}),
-    "body": ({"head"}, set()),
 }
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _ATTR = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
@@ -68,8 +73,18 @@ def build(html: str) -> Node:
             if stack[i].tag in fences:
                 return
 
+    def end_head() -> None:
+        for i in range(len(stack) - 1, 0, -1):
+            if stack[i].tag in ("template", "noscript", "body"):
+                return
+            if stack[i].tag == "head":
+                del stack[i:]
+                return
+
     def text(data: str) -> None:
         if data:
+            if stack[-1].tag == "head" and data.strip(" \t\n\r\f"):
+                end_head()
             stack[-1].children.append(unescape(data) if "&" in data else data)
 
     at, end = 0, len(html)
@@ -93,6 +108,8 @@ def build(html: str) -> Node:
                 close_until({tag}, {"table"} if tag not in ("table", "html", "body") else set())
             continue
         attrs = {k.lower(): unescape(a or b or c) for k, a, b, c in _ATTR.findall(m[3])} if m[3].strip(" /") else {}
+        if tag not in IN_HEAD:
+            end_head()
         if tag in CLOSES_P:
             close_until({"p"}, {"table", "td", "th", "li", "div", "section", "article", "blockquote"})
         if tag in IMPLIED:
@@ -120,11 +137,19 @@ def build(html: str) -> Node:
 def visible(node: Node) -> bool:
     if node.tag in HIDDEN or "hidden" in node.attrs:
         return False
-    if node.tag == "input":
+    if node.tag == "input" and node.attrs.get("type", "").strip().lower() == "hidden":
         return False
     return not _UNSEEN.search(node.attrs.get("style", "")) if "style" in node.attrs else True
 
 
+def shown(node: Node) -> str:
+    """What an input shows."""
+    kind = node.attrs.get("type", "").strip().lower()
+    if kind in NO_TEXT:
+        return node.attrs.get("alt", "") if kind == "image" else ""
+    return node.attrs.get("value") or LABELS.get(kind, "") or node.attrs.get("placeholder", "")
+
+
 class Page:
     """Lines as they come; a blank line is put between spaced blocks once text follows."""
 
@@ -176,6 +201,14 @@ def render(node, page: Page) -> None:
         if node.attrs.get("alt"):
             page.inline(node.attrs["alt"])
         return
+    if tag == "input":
+        page.inline(f" {shown(node)} ")
+        return
+    if tag == "text":
+        page.inline(" ")
+        children(node, page)
+        page.inline(" ")
+        return
     block = tag in BLOCK
     if block:
         page.flush()
@@ -222,6 +255,8 @@ def strings(node: Node):
             yield child
         elif child.tag == "br":
             yield "\n"
+        elif child.tag == "input" and visible(child):
+            yield f" {shown(child)} "
         elif visible(child):
             yield from strings(child)
 
@@ -252,31 +287,71 @@ def items(node: Node, page: Page) -> None:
             render(child, page)
 
 
+ROWS = ("tr", "tbody", "thead", "tfoot")
+
+
+def holds(node: Node, *tags: str) -> bool:
+    """Whether an element, no table or caption, has children of these tags."""
+    return node.tag not in ("table", "caption") and any(isinstance(c, Node) and c.tag in tags for c in node.children)
+
+
 def cells(node: Node):
-    """Rows of a table: lists of (lines, span)."""
+    """Rows of a table, lists of (lines, span); what stands in a row or group beside them comes before its row, as a node."""
     for child in node.children:
         if not isinstance(child, Node) or not visible(child):
-            continue
-        if child.tag == "tr":
+            if isinstance(child, str) and child.strip() and node.tag != "table":
+                yield child
+        elif child.tag == "tr":
             row = []
-            for cell in child.children:
-                if isinstance(cell, Node) and cell.tag in ("td", "th") and visible(cell):
-                    inner = Page()
-                    children(cell, inner)
-                    span = cell.attrs.get("colspan", "1")
-                    row.append((inner.text().split("\n"), min(1000, int(span)) if span.isdigit() and int(span) else 1))
+            yield from beside(child, row)
             if row:
                 yield row
         elif child.tag in ("tbody", "thead", "tfoot"):
             yield from cells(child)
+        elif node.tag != "table" or holds(child, *ROWS, "td", "th"):
+            yield from within(child)
+
+
+def beside(node: Node, row: list):
+    """Puts the cells of a row, also those in an element between, into ``row``; yields the rest."""
+    for cell in node.children:
+        if not isinstance(cell, Node):
+            if cell.strip():
+                yield cell
+        elif not visible(cell):
+            continue
+        elif cell.tag in ("td", "th"):
+            inner = Page()
+            children(cell, inner)
+            span = cell.attrs.get("colspan", "1")
+            row.append((inner.text().split("\n"), min(1000, int(span)) if span.isdigit() and int(span) else 1))
+        elif holds(cell, "td", "th"):
+            yield from beside(cell, row)
+        else:
+            yield cell
+
+
+def within(node: Node):
+    """Rows in an element that stands between a group and its rows, such as a form; the element itself where it has none."""
+    if holds(node, *ROWS):
+        group = Node("tbody")
+        group.children = node.children
+        yield from cells(group)
+    elif holds(node, "td", "th"):
+        row: list = []
+        yield from beside(node, row)
+        yield row
+    else:
+        yield node
 
 
 def table(node: Node, page: Page) -> None:
     for child in node.children:
         if isinstance(child, Node) and child.tag == "caption" and visible(child):
             render(child, page)
-    rows = list(cells(node))
-    if not rows:
+    parts = list(cells(node))
+    rows = [r for r in parts if isinstance(r, list)]
+    if not parts:
         rest = [c for c in node.children if isinstance(c, str) or c.tag not in ("tr", "tbody", "thead", "tfoot", "caption", "colgroup")]
         for child in rest:
             render(child, page)
@@ -288,7 +363,11 @@ def table(node: Node, page: Page) -> None:
             if span == 1:
                 widths[column] = max(widths.get(column, 0), *(len(x) for x in lines))
             column += span
-    for row in rows:
+    for row in parts:
+        if not isinstance(row, list):
+            render(row, page)
+            continue
+        page.flush()
         for k in range(max(len(lines) for lines, _ in row)):
             out, column = "", 0
             for lines, span in row:
@@ -297,8 +376,9 @@ def table(node: Node, page: Page) -> None:
                 column += span
             if out.strip():
                 page.put(out.rstrip())
+    page.flush()
     for child in node.children:
-        if isinstance(child, str) and child.strip() or isinstance(child, Node) and child.tag not in ("tr", "tbody", "thead", "tfoot", "caption", "colgroup"):
+        if isinstance(child, str) and child.strip() or isinstance(child, Node) and child.tag not in (*ROWS, "caption", "colgroup") and not holds(child, *ROWS, "td", "th"):
             render(child, page)
 
 

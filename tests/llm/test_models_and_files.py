@@ -107,6 +107,20 @@ def test_rendering():
     assert html_text.html_text(html) == "One\n\nTwo x y\n\n- a\n- b\n  3. c\n  4. d\n- e\n\nName  N\nab    1\n\nend\n\n a\n  b\n\n& < 3"
 
 
+def test_rendering_keeps_what_implied_tags_and_table_parts_show():
+    pages = {
+        "<head><title>t</title><p>text": "text",
+        "<head><title>t</title>bare text": "bare text",
+        "<head><noscript><img alt=no></noscript><template><p>no</template><p>x": "x",
+        "<table><tr><form><td>a<td>b</form></tr></table>": "a  b",
+        "<table><form><tr><td>a<td>b</form><tr><td>ccc</table>": "a    b\nccc",
+        "<table><tr>loose<td>a<tr><td>b</table>": "loose\na\nb",
+        "<p>f <math><mi>x</mi><mo>=</mo><mn>2</mn></math> <svg><title>no</title><text>y</text><text>z</text></svg>": "f x=2 y z",
+        "a<input type=submit value='Send now'><input type=submit><input type=hidden value=no><input type=password value=no>b": "a Send now Submit b",
+    }
+    assert {h: html_text.html_text(h) for h in pages} == pages
+
+
 def test_rendering_odd(spark):
     rng = random.Random(6)
     tags = ["<p>", "</p>", "<li>", "<ul>", "</ul>", "<td>", "<tr>", "<table>", "</table>", "<br>", "<!--", "-->", "<script>", "</script>", "<", ">", "&lt;", "<div hidden>", "</div>", "<ol start='x'>", "word ", "\n", "<pre>", "</pre>", "<a href='", "<td colspan=0>", "<details>", "<summary>"]
