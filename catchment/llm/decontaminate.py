@@ -8,7 +8,7 @@
 3. Every document is read as overlapping word windows. Where the benchmark's vocabulary makes up enough of a
    window's norm for the cosine threshold, its latent vector is a difference of running sums over its words; its
    cosine with each passage (window norm in the full space) gives the candidates. The threshold is lowered by the norm
-   that a segment has lost in the basis, so no pair at the threshold in the full space is lost. A cosine falls when
+   that a segment has lost in the basis, which makes up for directions left out where a window does not repeat words. A cosine falls when
    a passage's words are frequent in the corpus beside words that are not; so a window is also a candidate where its
    part along a segment reaches half of ``loose`` times the segment's own length, whatever else it holds. Two
    neighbouring windows hold all words of a segment's copy between them, so an exact copy reaches a half in one.
