@@ -2,60 +2,31 @@
 
 from __future__ import annotations
 
-import tempfile
-import types
+import ctypes
+import functools
 import sys
+import types
 import uuid
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.tables import materialize, release, shared_dir
+
+__all__ = ["materialize", "release", "shared_dir"]
+
 U = np.uint64
 _MIX1, _MIX2 = U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB)
 _BASE = 0x9E3779B97F4A7C15
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if held.isDefined():
-            root = held.get()
-        else:
-            root = "file://" + tempfile.mkdtemp(prefix="catchment-")
-            spark.sparkContext.setCheckpointDir(root)
-    return root.rstrip("/") if "://" in root else "file://" + root.rstrip("/")
-
-
-def fresh_path(spark: SparkSession, name: str) -> str:
+def fresh_path(spark, name: str) -> str:
     return f"{shared_dir(spark)}/catchment-{name}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Write a table into the shared folder and read it again: lineage ends, a lost executor costs a reread.
-
-    The path of the table is kept on the frame for ``release``.
-    """
-    spark = df.sparkSession
-    path = fresh_path(spark, name)
-    df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._catchment_path = path
-    return out
-
-
-def release(*tables: DataFrame) -> None:
-    """Drop tables of ``materialize`` that nothing lazy reads any more."""
-    for df in tables:
-        path = getattr(df, "_catchment_path", None)
-        if path:
-            spark = df.sparkSession
-            p = spark._jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
-
-
 def id_slots(ids: DataFrame, bits: int, column: str = "doc_id") -> DataFrame:
     """A bitmap of the ids' hashes as rows (w, bitmap): at most bits / 64 rows of 16 bytes, so it can be broadcast."""
     return ids.select(F.pmod(F.xxhash64(column), F.lit(bits)).alias("s")).groupBy(F.expr("s div 64").alias("_w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(s % 64 as int))")).alias("_bitmap"))
@@ -76,16 +47,52 @@ def without_ids(rows: DataFrame, gone: DataFrame, bits: int = 1 << 24, column: s
     return marked.filter("not _hit").drop("_hit").unionByName(maybe)
 
 
-def worker_store(name: str) -> dict:
-    """A dictionary that lives as long as the Python worker, across tasks."""
+def _stores() -> dict:
     holder = sys.modules.setdefault("_catchment_worker_store", types.ModuleType("_catchment_worker_store"))
-    return holder.__dict__.setdefault(name, {})
+    return holder.__dict__
+
+
+def worker_store(name: str) -> dict:
+    """A dictionary that lives in the Python worker until a task of an operator that doesn't keep it."""
+    return _stores().setdefault(name, {})
+
+
+def lean(*keep: str):
+    """For the function of a task: drop what other operators keep in the worker, and hand freed memory back at the end.
+
+    A worker serves one task after the other, of any operator; without this it holds the tables of all of
+    them, and the heap of its largest task.
+    """
+
+    def around(run):
+        @functools.wraps(run)
+        def whole(batches):
+            stores = _stores()
+            for name in [k for k, v in stores.items() if isinstance(v, dict) and not k.startswith("__") and k not in keep]:
+                del stores[name]
+            try:
+                yield from run(batches)
+            finally:
+                pa.default_memory_pool().release_unused()
+                give = getattr(ctypes.CDLL(None), "malloc_trim", None)
+                if give:
+                    give(0)
+
+        return whole
+
+    return around
+
+
+def by_bytes(batches, column: int, most: int = 1 << 22):
+    """Batches cut into parts of about ``most`` bytes of the text column; a longer text stands alone."""
+    for batch in batches:
+        sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
+        for lo, hi in slices(sizes.tolist(), most):
+            yield batch.slice(lo, hi - lo)
 
 
 def column_bytes(array) -> list:
     """A string or binary Arrow array as a list of bytes (None for null)."""
-    import pyarrow as pa
-
     if isinstance(array, pa.ChunkedArray):
         array = array.combine_chunks()
     return array.cast(pa.binary()).to_pylist()

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, hashed_texts, slices, word_hashes
+from .common import U, by_bytes, hashed_texts, lean, slices, word_hashes
 
 #: The least share of its squared norm that a segment keeps in its block's basis.
 KEPT = 0.998
@@ -110,9 +110,10 @@ def in_vocabulary(hashes: np.ndarray, vocabulary: np.ndarray) -> tuple[np.ndarra
 def document_frequency(docs: DataFrame, vocabulary: np.ndarray, text_col: str = "text") -> tuple[np.ndarray, int]:
     """How many documents hold each word of the sorted vocabulary, and how many documents there are, over all rows."""
 
+    @lean()
     def count(batches):
         total, seen = 0, np.zeros(len(vocabulary), np.int64)
-        for batch in batches:
+        for batch in by_bytes(batches, 0):
             texts = batch.column(0).cast(pa.binary()).to_pylist()
             total += len(texts)
             for lo, hi in slices([len(t or b"") for t in texts], 1 << 19):
@@ -180,6 +181,7 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
     passages = benchmark.filter(F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("item"), F.col(item_text_col).cast("string").alias("text"))
 
     @F.arrow_udf("array<binary>")
+    @lean()
     def cut(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in texts:
             yield pa.array([split_words(t) for t in array.cast(pa.binary()).to_pylist()], pa.list_(pa.binary()))
@@ -300,6 +302,7 @@ def with_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
     names = ("item_id", "cosine", "common_share", "answer_found", "first_word")
 
     @F.arrow_udf(MATCH)
+    @lean()
     def find(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in texts:
             found = _matches(indexes, array.cast(pa.binary()).to_pylist(), window, cosine, loose, strict, answer)

@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import lean
+
 DEPTH = 256
 #: Element groups of the HTML standard.
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
@@ -392,6 +394,7 @@ def extract(pages: DataFrame, html_col: str = "html", column: str = "text") -> D
     """The rows with the visible text of their html."""
 
     @F.arrow_udf("string")
+    @lean()
     def rendered(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
         import sys
 

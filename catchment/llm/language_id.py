@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices
+from .common import lean, slices
 
 BUCKETS = 1 << 16
 _LETTER = re.compile(r"[^\W\d_]")
@@ -176,6 +176,7 @@ def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text", prefix
     """The rows with lang_pred, score and ambiguous, each name after ``prefix``."""
 
     @F.arrow_udf(RESULT)
+    @lean()
     def judge(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in texts:
             pred, score, close = model.predict(array.to_pylist())

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_texts, slices, word_hashes
+from .common import hashed_texts, lean, slices, word_hashes
 from .decontaminate import _WORDS, document_frequency
 
 #: Phrases and their labels.
@@ -150,6 +150,7 @@ def scan(docs: DataFrame, text_col: str = "text", templates=TEMPLATES, threshold
     kind = pa.struct([(n, pa.int64()) for n in ("n_words", "n_base", "first_word", "last_word")] + [("base_labels", pa.string()), ("labels", pa.string()), ("score", pa.float64()), ("matches", pa.list_(pa.struct([("label", pa.string()), ("line", pa.int64()), ("containment", pa.float64())]))), ("block_labels", pa.string()), ("blocks", pa.list_(pa.struct([("label", pa.string()), ("first_line", pa.int64()), ("last_line", pa.int64()), ("containment", pa.float64()), ("distinctive", pa.bool_())])))])
 
     @F.arrow_udf(RESULT)
+    @lean()
     def judge(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in arrays:
             texts = [t or b"" for t in array.cast(pa.binary()).to_pylist()]

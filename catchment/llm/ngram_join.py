@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, column_bytes, id_slots, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
+from .common import U, by_bytes, column_bytes, id_slots, lean, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
 
 _ROLL = [U(0x9FB21C651E98DF25), U(0xD6E8FEB86659FD93), U(0xA0761D6478BD642F), U(0xE7037ED1A0B428DB), U(0x8EBC6AF09C88C6E3)]
 
@@ -91,35 +91,77 @@ def boundary(histogram: dict[int, int], num: int, den: int, entry_cost: float, l
     return at
 
 
-def _signatures(width: int, chunk: int, least: int):
-    schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("ckey", pa.int64()), ("token", pa.int64()), ("cnt", pa.int64())])
+class Repeats:
+    """Which tokens come again among those of a task, and how often, in bounded memory.
 
-    def run(batches):
-        held, size = [], 0
+    A bitmap marks what has been seen; only tokens that meet their mark are kept, so a token seen once costs a bit.
+    A mark met by chance makes a token that came once count as two, which only steers the order of a set's elements.
+    """
 
-        def frequent():
-            tokens, counts = np.unique(np.concatenate(held), return_counts=True)
-            keep = counts >= least
-            k = int(keep.sum())
-            none = pa.nulls(k, pa.int64())
-            return pa.RecordBatch.from_arrays([none, none, none, pa.array(signed(tokens[keep])), pa.array(counts[keep].astype(np.int64))], schema=schema)
+    def __init__(self, bits: int = 26, held: int = 1 << 19, table: int = 1 << 20):
+        self.shift, self.room, self.held_room, self.table_room = U(64 - bits), 1 << (bits - 1), held, table
+        self.marks = np.zeros(1 << (bits - 3), np.uint8)
+        self.marked = self.size = 0
+        self.held: list[np.ndarray] = []
+        self.tokens, self.counts = np.empty(0, np.uint64), np.empty(0, np.int64)
+
+    def add(self, tokens: np.ndarray):
+        """Take a set's tokens; gives (tokens, counts) when the table is full, else None."""
+        if self.marked > self.room:
+            self.marks[:] = 0
+            self.marked = 0
+        at = mix(tokens) >> self.shift
+        word, bit = (at >> U(3)).astype(np.int64), np.uint8(1) << (at & U(7)).astype(np.uint8)
+        known = (self.marks[word] & bit) != 0
+        np.bitwise_or.at(self.marks, word, bit)
+        self.marked += len(tokens)
+        again = tokens[known]
+        if len(again):
+            self.held.append(again)
+            self.size += len(again)
+        if self.size > self.held_room:
+            self._fold()
+            if len(self.tokens) > self.table_room:
+                return self.flush()
+        return None
+
+    def _fold(self) -> None:
+        fresh, counts = np.unique(np.concatenate([np.empty(0, np.uint64), *self.held]), return_counts=True)
+        self.held, self.size = [], 0
+        every, back = np.unique(np.concatenate((self.tokens, fresh)), return_inverse=True)
+        self.counts = np.bincount(back, np.concatenate((self.counts, counts)), len(every)).astype(np.int64)
+        self.tokens = every
+
+    def flush(self) -> tuple[np.ndarray, np.ndarray]:
+        self._fold()
+        out = self.tokens, self.counts + 1
+        self.tokens, self.counts = np.empty(0, np.uint64), np.empty(0, np.int64)
+        return out
+
+
+def _signatures(width: int):
+    schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("ckey", pa.int64()), ("token", pa.int64()), ("cnt", pa.int64())])
+
+    def told(found):
+        for lo in range(0, len(found[0]), 1 << 16):
+            tokens, counts = found[0][lo : lo + (1 << 16)], found[1][lo : lo + (1 << 16)]
+            none = pa.nulls(len(tokens), pa.int64())
+            yield pa.RecordBatch.from_arrays([none, none, none, pa.array(signed(tokens)), pa.array(counts)], schema=schema)
 
-        for batch in batches:
+    @lean()
+    def run(batches):
+        repeats = Repeats()
+        for batch in by_bytes(batches, 1):
             ns, keys = [], []
             for s in shingle_sets(column_bytes(batch.column(1)), width):
                 n = 0 if s is None else len(s)
                 ns.append(n)
                 keys.append(set_key(s) if n else None)
-                if n:
-                    held.append(s)
-                    size += n
+                if n and (full := repeats.add(s)):
+                    yield from told(full)
             none = pa.nulls(len(ns), pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ns, pa.int64()), pa.array(keys, pa.int64()), none, none], schema=schema)
-            if size >= chunk:
-                yield frequent()
-                held, size = [], 0
-        if held:
-            yield frequent()
+        yield from told(repeats.flush())
 
     return run
 
@@ -128,12 +170,12 @@ def _entries(width: int, num: int, den: int, light: int, frequent: tuple[np.ndar
     """List entries (kind 0) and subsets (kind = their size) of each class, once for each partition."""
     names = ("kind", "key", "ckey", "n", "doc_id", "pos", "odd")
     schema = pa.schema([(x, pa.int64() if x in ("key", "ckey", "doc_id") else pa.int32()) for x in names])
-    order = np.argsort(frequent[0])
-    tokens, weight = frequent[0][order], frequent[1][order]
+    tokens, weight = frequent
 
+    @lean()
     def run(batches):
         seen = set()
-        for batch in batches:
+        for batch in by_bytes(batches, 1):
             ids = batch.column(0).to_pylist()
             kinds, keys, heads, poss = [], [], [], []
             for doc, s in zip(ids, shingle_sets(column_bytes(batch.column(1)), width)):
@@ -174,8 +216,9 @@ def _entries(width: int, num: int, den: int, light: int, frequent: tuple[np.ndar
 def _set_rows(width: int):
     schema = pa.schema([("doc_id", pa.int64()), ("ckey", pa.int64()), ("tokens", pa.list_(pa.int64()))])
 
+    @lean()
     def run(batches):
-        for batch in batches:
+        for batch in by_bytes(batches, 1):
             ids, keys, sets = [], [], []
             for doc, s in zip(batch.column(0).to_pylist(), shingle_sets(column_bytes(batch.column(1)), width)):
                 if s is not None and len(s):
@@ -257,10 +300,12 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     order gives the same links). ``cell`` is the block of a long list that one join key holds.
     """
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    signed_rows = materialize(texts.mapInArrow(_signatures(width, 1 << 22, 2), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
+    signed_rows = materialize(texts.mapInArrow(_signatures(width), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
     marks = signed_rows.filter("token is null").select("doc_id", "n", "ckey")
     top = signed_rows.filter("token is not null").groupBy("token").agg(F.sum("cnt").alias("cnt")).orderBy(F.desc("cnt"), "token").limit(frequent_tokens).toArrow()
-    frequent = (top.column(0).to_numpy().view(np.uint64), top.column(1).to_numpy())
+    tokens, counts = top.column(0).to_numpy().view(np.uint64), np.minimum(top.column(1).to_numpy(), 1 << 30).astype(np.int32)
+    order = np.argsort(tokens)
+    frequent = (tokens[order], counts[order])
     near_light = -(-den * (largest_light + 1) // num)
     histogram = {r[0]: r[1] for r in marks.filter(f"n between 1 and {near_light}").groupBy("n").agg(F.countDistinct("ckey")).collect()}
     light = boundary(histogram, num, den, entry_cost, largest_light)

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, word_hashes
+from .common import lean, slices, word_hashes
 from .language_id import even_sample, held_out, learnable, trigram_slots
 
 WORDS, GRAMS = 1 << 16, 1 << 16
@@ -116,6 +116,7 @@ def judge_quality(docs: DataFrame, model: SubwordModel, text_col: str = "text",
     """The rows with score and predicted, each name after ``prefix``."""
 
     @F.arrow_udf("double")
+    @lean()
     def judge(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in texts:
             yield pa.array(model.score([t or b"" for t in array.cast(pa.binary()).to_pylist()]), pa.float64())

@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, fresh_path, materialize, mix
+from .common import U, by_bytes, fresh_path, lean, materialize, mix
 from .packing import vocabulary_path
 from .tokens import encoded, encoder
 
@@ -136,13 +136,14 @@ class IndexPart:
 def _write(root: str, path: str, end_id: int):
     schema = pa.schema([("doc_id", pa.int64()), ("occurrence", pa.int64()), ("shard", pa.int64()), ("file", pa.string()), ("offset", pa.int64()), ("n_tokens", pa.int64())])
 
+    @lean("encoders")
     def run(batches):
         context = TaskContext.get()
         shard, out, at, last, again = context.partitionId(), None, 0, (), 0
         name = f"shard-{shard:06d}-{context.taskAttemptId()}.ids"
         fs, base = file_system(root)
         try:
-            for batch in batches:
+            for batch in by_bytes(batches, 1):
                 if not batch.num_rows:
                     continue
                 if out is None:
