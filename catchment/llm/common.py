@@ -83,6 +83,20 @@ def lean(*keep: str):
     return around
 
 
+#: Bytes of a batch of rows between the JVM and a Python worker.
+BATCH_BYTES = 1 << 22
+
+
+def in_batches(rows: DataFrame) -> DataFrame:
+    """The rows, with the session's Arrow batches bounded by bytes: texts vary from a word to megabytes, and both
+    sides hold a batch several times over. A smaller bound that the session has is kept."""
+    conf, key = rows.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    held = int(rows.sparkSession._jsparkSession.sessionState().conf().getConfString(key, "-1").rstrip("b"))
+    if held <= 0 or held > BATCH_BYTES:
+        conf.set(key, str(BATCH_BYTES))
+    return rows
+
+
 def by_bytes(batches, column: int, most: int = 1 << 22):
     """Batches cut into parts of about ``most`` bytes of the text column; a longer text stands alone."""
     for batch in batches:

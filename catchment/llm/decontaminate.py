@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, hashed_texts, lean, slices, word_hashes
+from .common import U, by_bytes, hashed_texts, in_batches, lean, slices, word_hashes
 
 #: The least share of its squared norm that a segment keeps in its block's basis.
 KEPT = 0.998
@@ -124,7 +124,7 @@ def document_frequency(docs: DataFrame, vocabulary: np.ndarray, text_col: str =
                 seen += np.bincount(pairs % len(vocabulary), minlength=len(vocabulary))
         yield pa.RecordBatch.from_arrays([pa.array([total]), pa.array([seen.tobytes()], pa.binary())], names=["total", "seen"])
 
-    partial = docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(count, "total long, seen binary")
+    partial = in_batches(docs).select(F.col(text_col).cast("string").alias("text")).mapInArrow(count, "total long, seen binary")
 
     def add(batches):
         total, seen = 0, np.zeros(len(vocabulary), np.int64)
@@ -308,7 +308,7 @@ def with_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
             found = _matches(indexes, array.cast(pa.binary()).to_pylist(), window, cosine, loose, strict, answer)
             yield pa.array([[dict(zip(names, m)) for m in some] for some in found], kind)
 
-    return docs.withColumn(column, find(F.col(text_col).cast("string")))
+    return in_batches(docs).withColumn(column, find(F.col(text_col).cast("string")))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:

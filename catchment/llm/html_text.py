@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean
+from .common import in_batches, lean
 
 DEPTH = 256
 #: Element groups of the HTML standard.
@@ -402,7 +402,7 @@ def extract(pages: DataFrame, html_col: str = "html", column: str = "text") -> D
         for array in arrays:
             yield pa.array([html_text(x) for x in array.to_pylist()], pa.string())
 
-    return pages.withColumn(column, rendered(F.col(html_col).cast("string")))
+    return in_batches(pages).withColumn(column, rendered(F.col(html_col).cast("string")))
 
 
 def op6_html_extraction(spark, sf_dir: str) -> DataFrame:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean, slices
+from .common import in_batches, lean, slices
 
 BUCKETS = 1 << 16
 _LETTER = re.compile(r"[^\W\d_]")
@@ -182,7 +182,7 @@ def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text", prefix
             pred, score, close = model.predict(array.to_pylist())
             yield pa.StructArray.from_arrays([pa.array(pred, pa.string()), pa.array(score), pa.array(close)], ["lang_pred", "score", "ambiguous"])
 
-    told = docs.withColumn("_told", judge(F.col(text_col).cast("string")))
+    told = in_batches(docs).withColumn("_told", judge(F.col(text_col).cast("string")))
     return told.withColumns({prefix + c: F.col(f"_told.{c}") for c in ("lang_pred", "score", "ambiguous")}).drop("_told")
 
 

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_texts, lean, slices, word_hashes
+from .common import hashed_texts, in_batches, lean, slices, word_hashes
 from .decontaminate import _WORDS, document_frequency
 
 #: Phrases and their labels.
@@ -162,7 +162,7 @@ def scan(docs: DataFrame, text_col: str = "text", templates=TEMPLATES, threshold
                 out += [one(t, p, sums[b] > sums[a]) for t, p, a, b in zip(texts[lo:hi], parts, ends, ends[1:])]
             yield pa.array(out, kind)
 
-    return docs.withColumn(column, judge(F.col(text_col).cast("string")))
+    return in_batches(docs).withColumn(column, judge(F.col(text_col).cast("string")))
 
 
 def op4_license_scan(spark, sf_dir: str) -> DataFrame:

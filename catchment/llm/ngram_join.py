@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, column_bytes, id_slots, lean, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
+from .common import U, by_bytes, column_bytes, id_slots, in_batches, lean, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
 
 _ROLL = [U(0x9FB21C651E98DF25), U(0xD6E8FEB86659FD93), U(0xA0761D6478BD642F), U(0xE7037ED1A0B428DB), U(0x8EBC6AF09C88C6E3)]
 
@@ -299,7 +299,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     most frequent shingles (12 bytes each) that goes to every task; it only steers the order of a set's elements (any
     order gives the same links). ``cell`` is the block of a long list that one join key holds.
     """
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    texts = in_batches(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     signed_rows = materialize(texts.mapInArrow(_signatures(width), "doc_id long, n long, ckey long, token long, cnt long"), "signatures")
     marks = signed_rows.filter("token is null").select("doc_id", "n", "ckey")
     top = signed_rows.filter("token is not null").groupBy("token").agg(F.sum("cnt").alias("cnt")).orderBy(F.desc("cnt"), "token").limit(frequent_tokens).toArrow()

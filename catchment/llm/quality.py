@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean, slices, word_hashes
+from .common import in_batches, lean, slices, word_hashes
 from .language_id import even_sample, held_out, learnable, trigram_slots
 
 WORDS, GRAMS = 1 << 16, 1 << 16
@@ -121,7 +121,7 @@ def judge_quality(docs: DataFrame, model: SubwordModel, text_col: str = "text",
         for array in texts:
             yield pa.array(model.score([t or b"" for t in array.cast(pa.binary()).to_pylist()]), pa.float64())
 
-    told = docs.withColumn(prefix + "score", judge(F.col(text_col).cast("string")))
+    told = in_batches(docs).withColumn(prefix + "score", judge(F.col(text_col).cast("string")))
     return told.withColumn(prefix + "predicted", F.when(F.col(prefix + "score") >= least, 1).otherwise(0))
 
 

@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, fresh_path, lean, materialize, mix
+from .common import U, by_bytes, fresh_path, in_batches, lean, materialize, mix
 from .packing import vocabulary_path
 from .tokens import encoded, encoder
 
@@ -264,7 +264,7 @@ def write_store(docs: DataFrame, tokenizer_path: str, root: str | None = None, i
     """Write shards and index under ``root`` (default: the shared folder); the store and its record table."""
     spark = docs.sparkSession
     root = root or fresh_path(spark, "tokens")
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    texts = in_batches(docs).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     ordered = texts.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     records = materialize(ordered.mapInArrow(_write(root, tokenizer_path, end_id), "doc_id long, occurrence long, shard long, file string, offset long, n_tokens long"), "records")
     before, files, keys = 0, {}, 0
