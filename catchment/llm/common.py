@@ -90,10 +90,9 @@ BATCH_BYTES = 1 << 22
 def in_batches(rows: DataFrame) -> DataFrame:
     """The rows, with the session's Arrow batches bounded by bytes: texts vary from a word to megabytes, and both
     sides hold a batch several times over. A smaller bound that the session has is kept."""
-    conf, key = rows.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
-    held = int(rows.sparkSession._jsparkSession.sessionState().conf().getConfString(key, "-1").rstrip("b"))
-    if held <= 0 or held > BATCH_BYTES:
-        conf.set(key, str(BATCH_BYTES))
+    spark, key = rows.sparkSession, "spark.sql.execution.arrow.maxBytesPerBatch"
+    if spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(spark.conf.get(key)) > BATCH_BYTES:
+        spark.conf.set(key, str(BATCH_BYTES))
     return rows
 
 
