@@ -8,9 +8,14 @@ from pyspark.sql import functions as F
 METRICS = ("linf", "l1", "l2")
 
 
-def distance(metric: str, x1: str, y1: str, x2: str, y2: str):
-    """Exact LONG distance; squared for L2."""
-    dx, dy = F.abs(F.col(x1) - F.col(x2)), F.abs(F.col(y1) - F.col(y2))
+def distance(metric: str, x1, y1, x2, y2):
+    """Exact LONG distance of columns or column names; squared for L2."""
+    x1, y1, x2, y2 = (F.col(c) if isinstance(c, str) else c for c in (x1, y1, x2, y2))
+    return reach(metric, F.abs(x1 - x2), F.abs(y1 - y2))
+
+
+def reach(metric: str, dx, dy):
+    """The distance of two places that lie dx and dy (neither negative) apart along the axes."""
     if metric == "linf":
         return F.greatest(dx, dy)
     if metric == "l1":

@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .circles import spread
+from .surface import box_sums, raster_boxes
+
 
 class OverBudget(RuntimeError):
     """The plan would make more cell-square pairs than its budget; the message says how many."""
@@ -20,25 +23,23 @@ def grid_cells(squares: DataFrame) -> DataFrame:
     return _gaps(squares, "xl", "xh", "x0", "x1").join(F.broadcast(_gaps(squares, "yl", "yh", "y0", "y1")), F.lit(True))
 
 
-def label_side_grid(squares: DataFrame, measures: tuple[str, ...] = ("n",), budget: int = 2_000_000_000, index: str = "column") -> DataFrame:
+def label_side_grid(squares: DataFrame, measures: tuple[str, ...] = ("n",), cells: int = 100_000_000, index: str = "column", widest: int = 65_536) -> DataFrame:
     """Side-grid baseline: an enclosure query at the centre of every cell (centres on the doubled lattice).
 
     ``index="column"`` compares a cell only with the squares over its x gap (equi-join by gap); ``"none"`` with all of
-    them. Quadratic by nature: beyond ``budget`` cell-square pairs it refuses to start.
+    them. Quadratic by nature: it refuses to start beyond ``cells`` cells, or ``widest`` squares, which bounds what is broadcast.
     """
-    n = squares.count()
-    m = _gaps(squares, "xl", "xh", "x0", "x1").count() * _gaps(squares, "yl", "yh", "y0", "y1").count()
-    if m * n > budget:
-        raise OverBudget(f"{m} cells x {n} squares exceed {budget}")
-    cells = grid_cells(squares).withColumns({"qx": F.col("x0") + F.col("x1"), "qy": F.col("y0") + F.col("y1")})
+    xs, ys = _gaps(squares, "xl", "xh", "x0", "x1"), _gaps(squares, "yl", "yh", "y0", "y1")
+    n, m = squares.count(), xs.count() * ys.count()
+    if m > cells or n > widest:
+        raise OverBudget(f"{m} cells, {n} squares")
+    grid = spread(xs).join(F.broadcast(ys), F.lit(True)).withColumn("qy", F.col("y0") + F.col("y1"))
     if index == "none":
-        met = cells.join(F.broadcast(squares), F.expr("2 * xl < qx and qx < 2 * xh and 2 * yl < qy and qy < 2 * yh"), "left")
+        met = grid.join(F.broadcast(squares), F.expr("2 * xl < x0 + x1 and x0 + x1 < 2 * xh and 2 * yl < qy and qy < 2 * yh"), "left").withColumn("hit", F.col("xl").isNotNull())
     else:
-        gaps = _gaps(squares, "xl", "xh", "x0", "x1")
-        over = gaps.join(F.broadcast(squares), F.expr("xl <= x0 and x1 <= xh")).drop("x1")
-        met = cells.join(over, "x0", "left").withColumn("hit", F.expr("2 * yl < qy and qy < 2 * yh"))
-        return met.groupBy("x0", "x1", "y0", "y1").agg(*[F.coalesce(F.sum(F.when(F.col("hit"), F.col(k))), F.lit(0)).cast("long").alias(k) for k in measures])
-    return met.groupBy("x0", "x1", "y0", "y1").agg(*[F.coalesce(F.sum(k), F.lit(0)).cast("long").alias(k) for k in measures])
+        over = spread(xs).join(F.broadcast(squares), F.expr("xl <= x0 and x1 <= xh")).select("x0", "yl", "yh", *measures)
+        met = grid.join(over, "x0", "left").withColumn("hit", F.expr("2 * yl < qy and qy < 2 * yh"))
+    return met.groupBy("x0", "x1", "y0", "y1").agg(*[F.coalesce(F.sum(F.when(F.col("hit"), F.col(k))), F.lit(0)).cast("long").alias(k) for k in measures])
 
 
 def superimpose(squares: DataFrame, measure: str = "n", additive: bool = True) -> DataFrame:
@@ -56,19 +57,23 @@ def superimpose(squares: DataFrame, measure: str = "n", additive: bool = True) -
 
 
 def regular_grid(squares: DataFrame, box: tuple[int, int, int, int], cells: int) -> DataFrame:
-    """cells x cells equal cells of the box: heat at the centre, and how many squares' borders cross the open cell.
+    """cells x cells equal cells of the box: heat at the centre, how many squares' borders cross the open cell, and how far
+    the heat at the centres of its four quarters is off in sum and at most.
 
-    A cell with a crossing border lies in more than one region, so its one value is not exact.
+    A cell with a crossing border lies in more than one region, so its one value is not exact. A square's cells are
+    index ranges, so each count is a few signed corners a square.
     """
     x0, x1, y0, y1 = box
-    spark = squares.sparkSession
     w, h = x1 - x0, y1 - y0
-    axis = spark.range(cells)
-    grid = axis.select(F.col("id").alias("gx")).join(F.broadcast(axis.select(F.col("id").alias("gy"))), F.lit(True))
-    # everything times 2 * cells, so that centres and borders are integers
-    k = 2 * cells
-    grid = grid.withColumns({"a0": F.lit(x0 * k) + 2 * F.col("gx") * w, "a1": F.lit(x0 * k) + 2 * (F.col("gx") + 1) * w, "b0": F.lit(y0 * k) + 2 * F.col("gy") * h, "b1": F.lit(y0 * k) + 2 * (F.col("gy") + 1) * h})
-    met = grid.join(F.broadcast(squares.select("n", *[(F.col(c) * k).alias(c) for c in ("xl", "xh", "yl", "yh")])), F.expr("xl < a1 and xh > a0 and yl < b1 and yh > b0"), "left")
-    centre = F.expr("2 * xl <= a0 + a1 and a0 + a1 < 2 * xh and 2 * yl <= b0 + b1 and b0 + b1 < 2 * yh")
-    whole = F.expr("xl <= a0 and xh >= a1 and yl <= b0 and yh >= b1")
-    return met.groupBy("gx", "gy").agg(F.coalesce(F.sum(F.when(centre, F.col("n"))), F.lit(0)).cast("long").alias("heat"), F.coalesce(F.sum(F.when(F.col("xl").isNotNull() & ~whole, F.lit(1))), F.lit(0)).cast("long").alias("crossing"))
+    floor = lambda c, low, extent: F.floor((F.col(c) - low) * cells / F.lit(float(extent)))
+    ceil = lambda c, low, extent: F.ceil((F.col(c) - low) * cells / F.lit(float(extent)))
+    within = lambda e: F.least(F.greatest(e, F.lit(0).cast("long")), F.lit(cells).cast("long")).cast("long")
+    one = squares.select("xl", "xh", "yl", "yh", F.lit(1).cast("long").alias("n"))
+    met = one.withColumns({"pa": within(floor("xl", x0, w)), "pb": within(ceil("xh", x0, w)), "pc": within(floor("yl", y0, h)), "pd": within(ceil("yh", y0, h))})
+    whole = one.withColumns({"pa": within(ceil("xl", x0, w)), "pb": within(floor("xh", x0, w)), "pc": within(ceil("yl", y0, h)), "pd": within(floor("yh", y0, h))})
+    named = lambda df, name: df.select(F.col("px").alias("gx"), F.col("py").alias("gy"), F.col("heat").alias(name))
+    centre = named(raster_boxes(squares, box, cells, cells), "heat")
+    out = centre.join(named(box_sums(met, cells, cells), "met"), ["gx", "gy"]).join(named(box_sums(whole, cells, cells), "whole"), ["gx", "gy"])
+    fine = raster_boxes(squares, box, 2 * cells, 2 * cells).select(F.expr("px div 2").alias("gx"), F.expr("py div 2").alias("gy"), F.col("heat").alias("fine"))
+    off = fine.join(centre, ["gx", "gy"]).groupBy("gx", "gy").agg(F.sum(F.abs(F.col("fine") - F.col("heat"))).alias("off_sum"), F.max(F.abs(F.col("fine") - F.col("heat"))).alias("off_max"))
+    return out.join(off, ["gx", "gy"]).select("gx", "gy", "heat", (F.col("met") - F.col("whole")).alias("crossing"), "off_sum", "off_max")

@@ -13,12 +13,16 @@ from pyspark.sql import functions as F
 
 from ..plans.tables import materialize
 from .arcs import MICRO, crossing_pairs, label_arcs
+from .circles import stabbed
 
 
 def witnesses(d: DataFrame) -> DataFrame:
     """(wid, oid): a mid-slab point inside every face that the arc sweep meets, with the discs that hold it."""
     spots = label_arcs(d, changed_only=True).select(F.xxhash64("slab", "rank").alias("wid"), F.expr(f"(x + x1) / {2.0 * MICRO}D").alias("wx"), F.expr("(y0 + y1) / 2").alias("wy"))
-    return materialize(spots.join(F.broadcast(d), F.expr("(wx - cx) * (wx - cx) + (wy - cy) * (wy - cy) < r2")).select("wid", "oid", "n"), "witnesses")
+    spots = spots.withColumns({"qx": F.floor("wx").cast("long"), "qy": F.floor("wy").cast("long")})
+    half = F.ceil(F.sqrt(F.col("r2").cast("double"))).cast("long")
+    around = d.select("oid", "n", "cx", "cy", "r2", (F.col("cx") - half - 1).alias("xl"), (F.col("cx") + half).alias("xh"), (F.col("cy") - half - 1).alias("yl"), (F.col("cy") + half).alias("yh"))
+    return materialize(stabbed(spots, around, "qx", "qy").filter("(wx - cx) * (wx - cx) + (wy - cy) * (wy - cy) < r2").select("wid", "oid", "n"), "witnesses")
 
 
 def max_region_pruned(d: DataFrame, prune: bool = True, cap: int = 1_000_000) -> dict:

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.tables import materialize
+from .circles import meeting, stabbed
 from .components import components
 from .sweep import label_all_pairs, label_changed
 
@@ -51,23 +52,17 @@ def region_table(parts: DataFrame) -> DataFrame:
 def label_by_faces(squares: DataFrame, strips: int = 1) -> DataFrame:
     """Exact-arrangement baseline: one interior point of each region (doubled lattice) and its enclosure query."""
     points = region_table(subregions(squares, strips)).filter("at is not null").select("region_id", (F.col("at.x0") + F.col("at.x1")).alias("qx"), (F.col("at.y0") + F.col("at.y1")).alias("qy"))
-    width = max(1, int(squares.agg(F.avg(F.col("xh") - F.col("xl"))).first()[0] or 1))
-    cell = lambda e: F.floor(e / F.lit(float(width))).cast("long")
-    boxes = squares.withColumn("b", F.explode(F.sequence(cell(F.col("xl")), cell(F.col("xh")))))
-    met = points.withColumn("b", cell(F.col("qx") / 2)).join(boxes, "b").filter("2 * xl < qx and qx < 2 * xh and 2 * yl < qy and qy < 2 * yh")
+    around = squares.select("n", *[(2 * F.col(c)).alias(c) for c in ("xl", "xh", "yl", "yh")])
+    met = stabbed(points, around, "qx", "qy").filter("xl < qx and qx < xh and yl < qy and qy < yh")
     heat = met.groupBy("region_id").agg(F.sum("n").alias("n"))
     return points.join(heat, "region_id", "left").select("region_id", "qx", "qy", F.coalesce("n", F.lit(0)).alias("n"))
 
 
 def touch_edges(squares: DataFrame) -> DataFrame:
     """Pairs of squares whose borders share a point: closed boxes that meet, neither strictly inside the other."""
-    width = max(1, int(squares.agg(F.avg(F.col("xh") - F.col("xl"))).first()[0] or 1))
-    cell = lambda c: F.floor(F.col(c) / F.lit(float(width))).cast("long")
-    a = squares.select("oid", "xl", "xh", "yl", "yh").withColumn("b", F.explode(F.sequence(cell("xl"), cell("xh"))))
-    b = a.select("b", *[F.col(c).alias(f"o_{c}") for c in ("oid", "xl", "xh", "yl", "yh")])
-    met = a.join(b, "b").filter("oid < o_oid and xl <= o_xh and o_xl <= xh and yl <= o_yh and o_yl <= yh")
-    apart = "(xl < o_xl and o_xh < xh and yl < o_yl and o_yh < yh) or (o_xl < xl and xh < o_xh and o_yl < yl and yh < o_yh)"
-    return met.filter(f"not ({apart})").select(F.col("oid").alias("u"), F.col("o_oid").alias("v")).distinct()
+    met = meeting(squares.select("oid", "xl", "xh", "yl", "yh"))
+    apart = "(a_xl < b_xl and b_xh < a_xh and a_yl < b_yl and b_yh < a_yh) or (b_xl < a_xl and a_xh < b_xh and b_yl < a_yl and a_yh < b_yh)"
+    return met.filter(f"not ({apart})").select(F.col("a_oid").alias("u"), F.col("b_oid").alias("v"))
 
 
 def euler_region_count(squares: DataFrame) -> DataFrame:
@@ -86,21 +81,21 @@ def euler_region_count(squares: DataFrame) -> DataFrame:
         s = sides.select(line, "a", "b").distinct()
         return gaps.join(s, line).filter(f"a <= {along} and b >= next").select(line, along).distinct()
 
-    e = edges("y", "x", flat).count() + edges("x", "y", tall).count()
-    v, n = corners.count(), squares.count()
-    links = touch_edges(squares)
-    known = components(links)
-    c = n - known.count() + known.select("label").distinct().count()
-    return squares.sparkSession.createDataFrame([(v, e, c, e - v + c + 1)], "v long, e long, c long, r long")
+    every = edges("y", "x", flat).agg(F.count("*").alias("e")).unionByName(edges("x", "y", tall).agg(F.count("*").alias("e"))).agg(F.sum("e").alias("e"))
+    known = components(touch_edges(squares))
+    parts = known.agg(F.count("*").alias("linked"), F.count_distinct("label").alias("groups"))
+    out = corners.agg(F.count("*").alias("v")).join(F.broadcast(every)).join(F.broadcast(squares.agg(F.count("*").alias("n")))).join(F.broadcast(parts))
+    out = out.withColumn("c", F.col("n") - F.col("linked") + F.col("groups"))
+    return out.select("v", "e", "c", F.expr("e - v + c + 1").alias("r"))
 
 
 def cost_measures(squares: DataFrame, strips: int = 1) -> DataFrame:
-    """One row: n, m, k_all, k, r, lambda_max, sum_rnn, initial and merged intervals, events."""
+    """One row: n, m, k_all, k, r, lambda_max, lambda_mean, sum_rnn, initial and merged intervals, events."""
     from .sweep import changed_intervals, initial_intervals
 
     parts = subregions(squares, strips)
     regions = region_table(parts)
-    r = regions.agg(F.count("*").alias("r"), F.max("n").alias("lambda_max"), F.sum("n").alias("sum_rnn"))
+    r = regions.agg(F.count("*").alias("r"), F.max("n").alias("lambda_max"), F.sum("n").alias("sum_rnn"), F.avg("n").alias("lambda_mean"))
     counts = squares.agg(F.count("*").alias("n"), F.count_distinct("xl").alias("_a"))
     xs = squares.select(F.explode(F.array("xl", "xh")).alias("x")).agg(F.count_distinct("x").alias("events"))
     ys = squares.select(F.explode(F.array("yl", "yh")).alias("y")).agg(F.count_distinct("y").alias("ys"))
@@ -110,4 +105,4 @@ def cost_measures(squares: DataFrame, strips: int = 1) -> DataFrame:
     out = counts.drop("_a")
     for one in (xs, ys, k_all, k, r, merged, initial):
         out = out.join(F.broadcast(one))
-    return out.select("n", "events", ((F.col("events") - 1) * (F.col("ys") - 1)).alias("m"), "k_all", "k", "r", "lambda_max", "sum_rnn", "initial_intervals", "merged_intervals")
+    return out.select("n", "events", ((F.col("events") - 1) * (F.col("ys") - 1)).alias("m"), "k_all", "k", "r", "lambda_max", "lambda_mean", "sum_rnn", "initial_intervals", "merged_intervals")

@@ -6,17 +6,27 @@ queries run on the uniform samples that their sweeps are made of.
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import influence
 from ..operators import arcs, circles, gadgets, grid, prune, regions, stateful, surface, sweep
-from ..plans import workloads
+from ..plans import planner, tables, workloads
 from ..sources import points
 from ..streaming import influence_stream as stream
 
 NEW_CAP = 20
 BOX = (100_000, 700_000, 200_000, 800_000)
 PIXELS = 64
+RIDE, NEAR = 20_000, 50_000
+
+#: The experiments: ratios 2 to 2^10 at 2^10 clients, sizes 2^7 to 2^16 at ratio 2^7 (L1) or 2^5 (L2), as far as a table has points.
+RATIO_RUNS = [(s, 1 << 10, 1 << i) for s in workloads.SETS for i in range(1, 11)]
+SIZE_RUNS = [(s, 1 << i, 1 << 7) for s in workloads.SETS for i in range(7, 17)]
+SIZE_RUNS_L2 = [(s, 1 << i, 1 << 5) for s in workloads.SETS for i in range(7, 12)]
+LINF_RUNS = [(s, 256, 1 << i) for s in ("ord", "evt", "emb", "part") for i in range(1, 9)]
+CUBE_RUNS = [(s, 256, 8) for s in workloads.SETS]
+CAPACITY_RUNS = [(s, 256, r) for s in workloads.SETS for r in (2, 8, 32, 128)]
 
 
 def market(spark, sf_dir, metric="linf"):
@@ -25,12 +35,12 @@ def market(spark, sf_dir, metric="linf"):
 
 
 def market_squares(spark, sf_dir, metric="linf"):
-    return circles.canonical(market(spark, sf_dir, metric)[2])
+    return planner.prepared(circles.canonical(market(spark, sf_dir, metric)[2]))
 
 
 def sampled(spark, sf_dir, name="ord", n=128, ratio=8, metric="linf"):
     clients, facilities = points.sample(points.point_set(spark, sf_dir, name), n, max(1, n // ratio))
-    return circles.canonical(circles.nn_circles(clients, facilities, metric))
+    return planner.prepared(circles.canonical(circles.nn_circles(clients, facilities, metric)))
 
 
 def _nn(metric, **options):
@@ -77,11 +87,11 @@ def line_status(spark, sf_dir):
 
 
 def full_slab_labels(spark, sf_dir):
-    return sweep.label_all_pairs(market_squares(spark, sf_dir), ("n", "weight")).select("x0", "x1", "y0", "y1", F.col("n").alias("heat_size"), F.col("weight").alias("heat_weight"))
+    return planner.labels(market_squares(spark, sf_dir), ("n", "weight"), whole_surface=True).select("x0", "x1", "y0", "y1", F.col("n").alias("heat_size"), F.col("weight").alias("heat_weight"))
 
 
 def full_slab_sets(spark, sf_dir):
-    return _text(sweep.label_all_sets(sampled(spark, sf_dir)), "x0", "x1", "y0", "y1")
+    return _text(planner.labels(market_squares(spark, sf_dir), additive=False, whole_surface=True), "x0", "x1", "y0", "y1")
 
 
 def changed_intervals(spark, sf_dir):
@@ -92,9 +102,9 @@ def base_sets(spark, sf_dir):
     return sweep.base_sets(market_squares(spark, sf_dir)).select("x", "lo", "hi", F.size("base").cast("long").alias("n_base"), circles.set_text("base").alias("base_txt"))
 
 
-def _changed(metric, strips=1):
+def _changed(metric):
     def run(spark, sf_dir):
-        found = sweep.label_changed(market_squares(spark, sf_dir, metric), ("n", "weight"), strips)
+        found = planner.labels(market_squares(spark, sf_dir, metric), ("n", "weight"))
         return found.select("x0", "x1", "y0", "y1", F.col("n").alias("heat_size"), F.col("weight").alias("heat_weight"))
 
     return run
@@ -107,33 +117,35 @@ def changed_labels_strips(spark, sf_dir):
 
 
 def changed_labels_sets(spark, sf_dir):
-    return _text(sweep.label_changed_sets(market_squares(spark, sf_dir)), "x0", "y0", "y1")
+    return _text(planner.labels(market_squares(spark, sf_dir), additive=False), "x0", "y0", "y1")
 
 
 def changed_labels_pairs(spark, sf_dir):
     c, _, k = market(spark, sf_dir)
     a = c.select(F.col("oid").alias("a"), F.col("grp"), F.col("weight").alias("w"))
     edges = a.join(a.select(F.col("a").alias("b"), "grp", "w"), ["grp", "w"]).filter("a < b")
-    squares = circles.canonical(k).withColumn("pairs", F.lit(0).cast("long"))
-    extra = influence.edge_boxes(k, edges)
-    return sweep.label_changed(squares, ("n", "pairs"), extra=extra).select("x0", "x1", "y0", "y1", F.col("pairs").alias("heat"))
+    k = planner.prepared(k)
+    squares = planner.prepared(circles.canonical(k).withColumn("pairs", F.lit(0).cast("long")))
+    extra = planner.prepared(influence.edge_boxes(k, edges))
+    return planner.labels(squares, ("n", "pairs"), extra=extra).select("x0", "x1", "y0", "y1", F.col("pairs").alias("heat"))
 
 
 def changed_labels_capacity(spark, sf_dir):
     _, f, k = market(spark, sf_dir)
-    labels = sweep.label_changed_sets(circles.canonical(k))
+    k = planner.prepared(k)
+    labels = planner.labels(planner.prepared(circles.canonical(k)), additive=False)
     return influence.capacity_served(labels, k, f, NEW_CAP).select("x0", "y0", "y1", "heat")
 
 
 def changed_labels_groups(spark, sf_dir):
     c, _, k = market(spark, sf_dir)
-    return influence.group_measures(sweep.label_changed_sets(circles.canonical(k)), c).select("x0", "y0", "y1", "same_group_pairs", "distinct_groups")
+    return influence.group_measures(planner.labels(planner.prepared(circles.canonical(k)), additive=False), c).select("x0", "y0", "y1", "same_group_pairs", "distinct_groups")
 
 
 def custom_influence(spark, sf_dir):
-    labels = sweep.label_changed_sets(market_squares(spark, sf_dir))
+    labels = planner.labels(market_squares(spark, sf_dir), additive=False)
     by_sql = influence.by_expression(labels, "size(rnn) * 2 + if(size(rnn) > 0, array_min(rnn), 0)").withColumnRenamed("heat", "heat_sql")
-    both, _ = influence.by_function(by_sql, lambda s: len(s) * 2 + (min(s) if s else 0))
+    both = influence.by_function(by_sql, lambda s: len(s) * 2 + (min(s) if s else 0))
     return both.select("x0", "y0", "y1", "heat_sql", F.col("heat").alias("heat_python"))
 
 
@@ -160,27 +172,71 @@ def faces(spark, sf_dir):
 
 def regular_grid_error(spark, sf_dir):
     cells = grid.regular_grid(market_squares(spark, sf_dir), BOX, PIXELS)
-    return cells.agg(F.count("*").alias("cells"), F.sum(F.when(F.col("crossing") > 0, 1).otherwise(0)).alias("mixed_cells"), F.sum("heat").alias("heat"))
+    return cells.agg(F.count("*").alias("cells"), F.sum(F.when(F.col("crossing") > 0, 1).otherwise(0)).alias("mixed_cells"), F.sum("heat").alias("heat"), F.sum("off_sum").alias("off_sum"), F.max("off_max").alias("off_max"))
 
 
 def region_count(spark, sf_dir):
-    return regions.euler_region_count(sampled(spark, sf_dir))
+    return regions.euler_region_count(market_squares(spark, sf_dir))
 
 
 def region_count_sweep(spark, sf_dir):
-    return regions.region_table(regions.subregions(sampled(spark, sf_dir))).agg(F.count("*").alias("r"))
+    return regions.region_table(regions.subregions(market_squares(spark, sf_dir))).agg(F.count("*").alias("r"))
 
 
 def cost_measures(spark, sf_dir):
-    return regions.cost_measures(sampled(spark, sf_dir)).withColumn("bound_holds", F.expr("r - 1 <= k and k <= 14 * r")).drop("sum_rnn")
+    return regions.cost_measures(market_squares(spark, sf_dir)).withColumn("bound_holds", F.expr("r - 1 <= k and k <= 14 * r")).drop("sum_rnn", "lambda_mean")
+
+
+def set_sizes(spark, sf_dir):
+    """Greatest, mean and total set size over regions, and the circles that are left out or fall together."""
+    k = market(spark, sf_dir)[2]
+    counts = k.agg(F.count("*").alias("clients"), F.sum((F.col("r") == 0).cast("long")).alias("no_extent"))
+    found = regions.cost_measures(market_squares(spark, sf_dir)).select("n", "r", "lambda_max", F.round("lambda_mean", 6).alias("lambda_mean"), "sum_rnn")
+    return found.join(F.broadcast(counts)).withColumn("coincident", F.col("clients") - F.col("no_extent") - F.col("n"))
+
+
+def enclosure_queries(spark, sf_dir):
+    """How many points each grid method asks for: cells of the side grid, cells of the regular grid, one for each region."""
+    squares = market_squares(spark, sf_dir)
+    e = planner.estimates(squares)
+    r = regions.euler_region_count(squares).first()["r"]
+    return spark.createDataFrame([("side_grid", e["m"]), ("regular_grid", PIXELS * PIXELS), ("faces", r - 1)], "method string, queries long")
+
+
+def hottest(spark, sf_dir):
+    """All labels at the maximum."""
+    return surface.hottest(planner.labels(market_squares(spark, sf_dir))).select(F.col("n").alias("heat"), "x0", "x1", "y0", "y1")
 
 
-def cost_measures_market(spark, sf_dir):
-    return regions.cost_measures(market_squares(spark, sf_dir)).select("n", "events", "m", "k_all", "k", "r", "lambda_max", "sum_rnn")
+def ride_sharing(spark, sf_dir):
+    """Connected pairs where passengers of one nation are compatible when their balances differ by at most RIDE cents."""
+    c, _, k = market(spark, sf_dir)
+    k = planner.prepared(k)
+    squares = planner.prepared(circles.canonical(k).withColumn("pairs", F.lit(0).cast("long")))
+    extra = planner.prepared(influence.edge_boxes(k, influence.near_edges(c, "x", RIDE)))
+    return planner.labels(squares, ("n", "pairs"), extra=extra).select("x0", "x1", "y0", "y1", F.col("pairs").alias("heat"))
+
+
+def nearby_heat(spark, sf_dir):
+    """For every label the greatest heat among labels of the same base height that begin within a width of NEAR."""
+    found = planner.labels(market_squares(spark, sf_dir))
+    w = Window.partitionBy("y0").orderBy("x0").rangeBetween(-NEAR, NEAR)
+    return found.select("x0", "y0", "y1", F.col("n").alias("heat"), F.max("n").over(w).alias("heat_near"), F.dense_rank().over(Window.partitionBy("y0").orderBy(F.desc("n"))).alias("place"))
+
+
+def mono_labels(spark, sf_dir):
+    """The monochromatic case on two sets: counts and the greatest set, which does not grow with n."""
+    out = None
+    for name in ("emb", "part"):
+        p = points.point_set(spark, sf_dir, name).select(F.col("id").alias("oid"), "x", "y", F.lit(1).cast("long").alias("weight"), F.lit("0").alias("grp"))
+        squares = planner.prepared(circles.canonical(circles.nn_circles_mono(p)).withColumn("one", F.lit(1).cast("long")))
+        found = planner.labels(squares, ("one",)).agg(F.count("*").alias("k"), F.max("one").alias("lambda_max")).select(F.lit(name).alias("dataset"), F.lit(squares.count()).cast("long").alias("n"), "k", "lambda_max")
+        out = found if out is None else out.unionByName(found)
+    return out.withColumn("bounded", F.col("lambda_max") <= 6)
 
 
 def top_regions(spark, sf_dir):
-    return surface.top_labels(sweep.label_changed(market_squares(spark, sf_dir)), 4)
+    return surface.top_labels(planner.labels(market_squares(spark, sf_dir)), 4)
 
 
 def zoom_box(spark, sf_dir):
@@ -188,7 +244,7 @@ def zoom_box(spark, sf_dir):
 
 
 def heat_classes(spark, sf_dir):
-    return surface.heat_classes(sweep.label_changed(market_squares(spark, sf_dir)))
+    return surface.heat_classes(planner.labels(market_squares(spark, sf_dir)))
 
 
 def heat_at(spark, sf_dir):
@@ -197,7 +253,7 @@ def heat_at(spark, sf_dir):
 
 def _raster(metric):
     def run(spark, sf_dir):
-        return surface.raster(sweep.label_all_pairs(market_squares(spark, sf_dir, metric)), BOX, PIXELS, PIXELS)
+        return surface.raster_boxes(market_squares(spark, sf_dir, metric), BOX, PIXELS, PIXELS)
 
     return run
 
@@ -211,31 +267,40 @@ def label_set_diff(spark, sf_dir):
 
 
 def _discs(spark, sf_dir, n=48, ratio=8, name="ord"):
-    clients, facilities = points.sample(points.point_set(spark, sf_dir, name), n, max(1, n // ratio))
-    both = clients.select("x", "y").unionByName(facilities.select(F.col("fx").alias("x"), F.col("fy").alias("y")))
-    x0, x1, y0, y1 = both.agg(F.min("x"), F.max("x"), F.min("y"), F.max("y")).first()
-    extent = max(x1 - x0, y1 - y0)
-    c, f = arcs.rescaled(clients, "x", "y", extent, x0, y0), arcs.rescaled(facilities, "fx", "fy", extent, x0, y0)
-    return arcs.discs(circles.nn_circles(c, f, "l2"), f)
+    return workloads.run_discs(spark, sf_dir, [(name, n, ratio)]).drop("tile")
 
 
 def arc_crossings(spark, sf_dir):
-    return arcs.crossing_pairs(_discs(spark, sf_dir)).agg(F.count("*").alias("crossing_pairs"))
+    return arcs.crossing_pairs(_discs(spark, sf_dir, 1024, 32)).agg(F.count("*").alias("crossing_pairs"))
 
 
 def arc_counts(spark, sf_dir):
-    """Closed-form counts beside those of the sweep, with and without centre events."""
-    d = _discs(spark, sf_dir).persist()
-    counts = arcs.arc_region_count(d)
-    swept = arcs.label_arcs(d).agg(F.count("*").alias("k"), F.max("n").alias("max_heat"))
-    plain = arcs.label_arcs(d, centre_events=False).agg(F.count("*").alias("k_without_centres"))
-    return counts.join(F.broadcast(swept)).join(F.broadcast(plain))
+    """Closed-form counts beside those of the sweep over slabs, with and without centre events, and of labels at event points."""
+    d = _discs(spark, sf_dir)
+    vertices = tables.materialize(arcs.arc_vertices(d), "vertices")
+    swept = arcs.label_arcs(d, vertices=vertices).agg(F.count("*").alias("k_swept"), F.max("n").alias("heat_swept"))
+    plain = arcs.label_arcs(d, centre_events=False, vertices=vertices).agg(F.count("*").alias("k_without_centres"))
+    direct = arcs.vertex_labels(d, vertices).agg(F.count("*").alias("k"), F.max("n").alias("max_heat"))
+    status = arcs.order_mismatches(arcs.arc_status(d, arcs.arc_events(d, vertices), vertices)).select("mismatches")
+    out = arcs.arc_region_count(d, vertices)
+    for one in (direct, swept, plain, status):
+        out = out.join(F.broadcast(one))
+    return out
 
 
 def max_region_l2(spark, sf_dir):
     """The maximum by all three ways on a sample that the enumeration can finish."""
-    d = _discs(spark, sf_dir, 24, 4).persist()
-    by_sweep = arcs.label_arcs(d).agg(F.max("n")).first()[0]
+    return _l2_ways(spark, sf_dir).select("algo", "max_heat", "status")
+
+
+def pruning_counts_l2(spark, sf_dir):
+    """Nodes that the enumeration makes with and without pruning."""
+    return _l2_ways(spark, sf_dir).filter("algo <> 'arc_sweep'")
+
+
+def _l2_ways(spark, sf_dir):
+    d = _discs(spark, sf_dir, 24, 4)
+    by_sweep = arcs.vertex_labels(d).agg(F.max("n")).first()[0]
     rows = [("arc_sweep", by_sweep, 0, 0, "done")]
     for name, on in (("combination_pruning", True), ("combination_enumeration", False)):
         r = prune.max_region_pruned(d, prune=on)
@@ -244,48 +309,60 @@ def max_region_l2(spark, sf_dir):
 
 
 def raster_heat_l2(spark, sf_dir):
-    return arcs.raster_l2(_discs(spark, sf_dir), (0, 20_000, 0, 20_000), PIXELS, PIXELS)
+    return arcs.raster_l2(_discs(spark, sf_dir, 1024, 32), (0, 20_000, 0, 20_000), PIXELS, PIXELS)
 
 
 def _gadget(make):
     def run(spark, sf_dir):
-        squares = circles.canonical(make(spark))
-        return regions.cost_measures(squares).select("n", "m", "k_all", "k", "r", "sum_rnn")
+        squares = planner.prepared(circles.canonical(make(spark)))
+        return regions.cost_measures(squares).select("n", "m", "k_all", "k", "r", "lambda_max", "sum_rnn")
 
     return run
 
 
-def ratio_sweep_l1(spark, sf_dir):
-    return workloads.sweep_table(spark, sf_dir, [(s, 128, r) for s in workloads.SETS for r in (2, 8, 32)], "l1")
-
-
-def size_sweep_l1(spark, sf_dir):
-    return workloads.sweep_table(spark, sf_dir, [(s, n, 128) for s in workloads.SETS for n in (128, 256)], "l1")
+def _sweep_l1(runs):
+    return lambda spark, sf_dir: workloads.sweep_table(spark, sf_dir, workloads.fitting(spark, sf_dir, runs), "l1")
 
 
 def ratio_sweep_linf(spark, sf_dir):
-    return workloads.sweep_table(spark, sf_dir, [(s, 128, r) for s in ("ord", "evt", "emb", "part") for r in (2, 8, 32)], "linf")
+    return workloads.sweep_table(spark, sf_dir, workloads.fitting(spark, sf_dir, LINF_RUNS), "linf")
 
 
 def experiment_rollup(spark, sf_dir):
-    rows = ratio_sweep_l1(spark, sf_dir).withColumn("ratio", F.col("ratio").cast("string"))
+    rows = _sweep_l1(RATIO_RUNS)(spark, sf_dir).withColumn("ratio", F.col("ratio").cast("string"))
     return rows.rollup("dataset", "ratio").agg(F.sum("k").alias("k"), F.sum("k_all").alias("k_all"), F.sum("m").alias("m"))
 
 
+def experiment_cube(spark, sf_dir):
+    """Labels by metric and method with all subtotals, and by method and set apart from each other."""
+    runs = workloads.fitting(spark, sf_dir, CUBE_RUNS)
+    both = None
+    for metric in ("l1", "linf"):
+        rows = workloads.sweep_table(spark, sf_dir, runs, metric).select(F.lit(metric).alias("metric"), "dataset", "m", "k_all", "k")
+        both = rows if both is None else both.unionByName(rows)
+    flat = both.unpivot(["metric", "dataset"], ["m", "k_all", "k"], "algo", "labels")
+    cube = flat.cube("metric", "algo").agg(F.sum("labels").alias("labels")).withColumn("dataset", F.lit(None).cast("string"))
+    flat.createOrReplaceTempView("experiment_labels")
+    sets = spark.sql("SELECT CAST(NULL AS STRING) AS metric, algo, dataset, SUM(labels) AS labels FROM experiment_labels GROUP BY GROUPING SETS ((algo, dataset))")
+    return cube.unionByName(sets)
+
+
 def ratio_sweep_l2(spark, sf_dir):
-    out = None
-    for name in workloads.SETS:
-        for ratio in (2, 8):
-            found = arcs.label_arcs(_discs(spark, sf_dir, 48, ratio, name)).agg(F.count("*").alias("k"), F.max("n").alias("max_heat")).select(F.lit(name).alias("dataset"), F.lit(ratio).alias("ratio"), "k", "max_heat")
-            out = found if out is None else out.unionByName(found)
-    return out
+    return workloads.disc_table(spark, sf_dir, workloads.fitting(spark, sf_dir, RATIO_RUNS))
 
 
-def _showcase(name):
-    def run(spark, sf_dir):
-        return workloads.showcase(spark, sf_dir, name, 600, 180, PIXELS)[0]
+def size_sweep_l2(spark, sf_dir):
+    return workloads.disc_table(spark, sf_dir, workloads.fitting(spark, sf_dir, SIZE_RUNS_L2))
 
-    return run
+
+def capacity_sweep_l1(spark, sf_dir):
+    return workloads.capacity_table(spark, sf_dir, workloads.fitting(spark, sf_dir, CAPACITY_RUNS), "l1", NEW_CAP)
+
+
+def _showcase(name, top=False):
+    if top:
+        return lambda spark, sf_dir: workloads.showcase_top(spark, sf_dir, name)
+    return lambda spark, sf_dir: workloads.showcase(spark, sf_dir, name, PIXELS)
 
 
 def _windows(size, slide=None, session=False):
@@ -311,14 +388,15 @@ def queries() -> dict:
         "changed_labels_groups": changed_labels_groups, "custom_influence": custom_influence,
         "stateful_labels": stateful_labels, "stateful_counters": stateful_counters,
         "side_grid_size": side_grid, "superimpose_size": superimpose, "faces_baseline": faces, "regular_grid_error": regular_grid_error,
-        "region_count_euler": region_count, "region_count_sweep": region_count_sweep, "cost_measures": cost_measures, "cost_measures_market": cost_measures_market,
-        "top_regions_size": top_regions, "zoom_box": zoom_box, "heat_classes": heat_classes, "heat_at_points": heat_at,
+        "region_count_euler": region_count, "region_count_sweep": region_count_sweep, "cost_measures": cost_measures, "set_sizes": set_sizes, "enclosure_queries": enclosure_queries,
+        "top_regions_size": top_regions, "hottest_labels": hottest, "changed_labels_ride": ride_sharing, "nearby_heat": nearby_heat, "mono_labels": mono_labels, "zoom_box": zoom_box, "heat_classes": heat_classes, "heat_at_points": heat_at,
         "raster_heat_linf": _raster("linf"), "raster_heat_l1": _raster("l1"), "raster_heat_l2": raster_heat_l2, "label_set_diff": label_set_diff,
-        "arc_crossings": arc_crossings, "arc_counts": arc_counts, "max_region_l2": max_region_l2,
+        "arc_crossings": arc_crossings, "arc_counts": arc_counts, "max_region_l2": max_region_l2, "pruning_counts_l2": pruning_counts_l2,
         "diagonal_gadget": _gadget(lambda s: gadgets.diagonal_squares(s, 8)), "disjoint_gadget": _gadget(lambda s: gadgets.disjoint_squares(s, 5)),
         "distinctness_gadget": _gadget(lambda s: gadgets.distinctness_squares(s, [5, 1, 9, 3, 7])), "comb_gadget": _gadget(lambda s: gadgets.comb_squares(s, 5)),
-        "ratio_sweep_l1": ratio_sweep_l1, "size_sweep_l1": size_sweep_l1, "ratio_sweep_linf": ratio_sweep_linf, "experiment_rollup": experiment_rollup, "ratio_sweep_l2": ratio_sweep_l2,
-        "showcase_city_a": _showcase("ord"), "showcase_city_b": _showcase("evt"),
+        "ratio_sweep_l1": _sweep_l1(RATIO_RUNS), "size_sweep_l1": _sweep_l1(SIZE_RUNS), "ratio_sweep_linf": ratio_sweep_linf, "experiment_rollup": experiment_rollup, "experiment_cube": experiment_cube,
+        "ratio_sweep_l2": ratio_sweep_l2, "size_sweep_l2": size_sweep_l2, "capacity_sweep_l1": capacity_sweep_l1,
+        "showcase_city_a": _showcase("ord"), "showcase_city_b": _showcase("evt"), "showcase_top_a": _showcase("ord", True), "showcase_top_b": _showcase("evt", True),
         "windowed_heat_tumbling": _windows("1 day"), "windowed_heat_sliding": _windows("1 day", "6 hours"), "windowed_heat_session": _windows("30 minutes", session=True),
     }
 

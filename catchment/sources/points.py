@@ -5,7 +5,7 @@ Coordinates are LONG on an integer lattice, so every comparison of sides is exac
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -72,13 +72,18 @@ def point_set(spark, sf_dir: str, name: str) -> DataFrame:
     raise ValueError(f"no point set {name!r}")
 
 
+def in_order(points: DataFrame, most: int) -> DataFrame:
+    """(id, x, y, k): the first ``most`` points in md5 order, k counting them from 1. One task numbers that bounded sample."""
+    ordered = points.select("id", "x", "y", md5_int("id", 1, 8).alias("h")).orderBy("h", "id").limit(most)
+    return ordered.withColumn("k", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("h", "id"))).drop("h")
+
+
 def sample(points: DataFrame, n: int, n_f: int) -> tuple[DataFrame, DataFrame]:
     """The experiments' uniform sample: in md5 order the first n points are clients, the next n_f facilities."""
-    ordered = points.select("id", "x", "y", md5_int("id", 1, 8).alias("h")).orderBy("h", "id").limit(n + n_f)
-    spark = points.sparkSession
-    rows = ordered.collect()
-    clients = spark.createDataFrame([(r["id"], r["x"], r["y"], 1, "0") for r in rows[:n]], CLIENTS)
-    return clients, spark.createDataFrame([(r["id"], r["x"], r["y"], 1) for r in rows[n:]], FACILITIES)
+    rows = in_order(points, n + n_f)
+    one = F.lit(1).cast("long")
+    clients = rows.filter(F.col("k") <= n).select(F.col("id").cast("long").alias("oid"), "x", "y", one.alias("weight"), F.lit("0").alias("grp"))
+    return clients, rows.filter(F.col("k") > n).select(F.col("id").cast("long").alias("fid"), F.col("x").alias("fx"), F.col("y").alias("fy"), one.alias("cap"))
 
 
 def read_points(spark, path: str, kind: str, fmt: str = "parquet", **options) -> DataFrame:

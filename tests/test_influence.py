@@ -144,9 +144,11 @@ def test_monochromatic(spark):
 
 def test_influence_calls(spark, moving):
     labels = sweep.label_changed_sets(moving)
-    heat, calls = influence.by_function(labels, len)
+    heat = influence.by_function(labels, len)
     assert sorted(r["heat"] for r in heat.collect()) == sorted(float(r["n"]) for r in labels.collect())
-    assert calls.value == 11
+    assert heat.count() == 11
+    grouped = influence.by_group_function(sweep.incidence(labels), ["x0", "y0"], len)
+    assert sorted(r["heat"] for r in grouped.collect()) == sorted(float(r["n"]) for r in labels.collect() if r["n"])
 
 
 def disc_table(spark, clients, facilities):
@@ -174,6 +176,13 @@ def test_arc_maximum(spark):
     d = disc_table(spark, [(i, rng.randrange(20_000), rng.randrange(20_000)) for i in range(14)], [(i, rng.randrange(20_000), rng.randrange(20_000)) for i in range(3)]).persist()
     best = arcs.label_arcs(d).agg(F.max("n")).first()[0]
     assert arcs.label_arcs(d, centre_events=False).count() == arcs.label_arcs(d).count() == arcs.arc_region_count(d).first()["k_expected"]
+    direct, slabs = arcs.vertex_labels(d), arcs.label_arcs(d)
+    count = lambda rows: sorted(r[0] for r in rows.select("n").collect())
+    assert count(direct) == count(slabs)
+    status = arcs.arc_status(d, arcs.arc_events(d, arcs.arc_vertices(d)), arcs.arc_vertices(d))
+    told = arcs.order_mismatches(status).first()
+    assert told["mismatches"] == 0 and told["arcs"] == status.count()
+    assert status.filter("ys > ym + 1e-9 or ym > yl + 1e-9").isEmpty()
     assert prune.max_region_pruned(d)["max_heat"] == best == prune.max_region_pruned(d, prune=False)["max_heat"]
 
 
@@ -189,7 +198,7 @@ def test_surface(spark, four):
 
 def test_grid_refuses_and_overlay_rejects(four):
     with pytest.raises(grid.OverBudget):
-        grid.label_side_grid(four, budget=10)
+        grid.label_side_grid(four, cells=10)
     with pytest.raises(ValueError):
         grid.superimpose(four, additive=False)
 
@@ -217,3 +226,86 @@ def test_point_files(spark, tmp_path):
     read = points.read_points(spark, path, "clients", "csv")
     with pytest.raises(Exception, match="null id"):
         read.collect()
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_event_points_of_concurrent_discs(spark, seed):
+    """Few facilities on a coarse lattice: many discs through one point, ends and beginnings on others' borders."""
+    rng = random.Random(seed)
+    d = disc_table(spark, [(i, rng.randrange(12) * 4, rng.randrange(12) * 3) for i in range(24)], [(1, 20, 15), (2, 36, 3)]).persist()
+    count = lambda rows: sorted(r[0] for r in rows.select("n").collect())
+    assert count(arcs.vertex_labels(d)) == count(arcs.label_arcs(d))
+
+
+def test_crowded_cells(spark):
+    """Nearly all facilities in one spot, clients near and far; a coarse look-up would meet all of them."""
+    rng = random.Random(8)
+    f = [(i, 5000 + rng.randrange(40), 5000 + rng.randrange(40)) for i in range(300)] + [(900 + i, rng.randrange(20000), rng.randrange(20000)) for i in range(3)]
+    c = [(i, rng.randrange(-500, 21000), rng.randrange(-500, 21000), 1, "0") for i in range(120)] + [(500 + i, 5000 + i, 5003, 1, "0") for i in range(30)]
+    clients, facilities = spark.createDataFrame(c, points.CLIENTS), spark.createDataFrame([(*r, 1) for r in f], points.FACILITIES)
+    for metric, far in (("linf", lambda dx, dy: max(dx, dy)), ("l1", lambda dx, dy: dx + dy), ("l2", lambda dx, dy: dx * dx + dy * dy)):
+        want = {r[0]: min((far(abs(r[1] - p[1]), abs(r[2] - p[2])), p[0]) for p in f) for r in c}
+        for strategy in ("broadcast", "lattice"):
+            got = {r["oid"]: (r["r"], r["nn_fid"]) for r in circles.nn_circles(clients, facilities, metric, strategy).collect()}
+            assert got == want
+
+
+def test_raster_and_grid_by_corners(spark):
+    c, f = sample(spark, 6)
+    g = circles.canonical(circles.nn_circles(c, f, "linf")).persist()
+    box = (-10, 70, -10, 75)
+    by_labels, by_corners = surface.raster(sweep.label_all_pairs(g), box, 16, 9), surface.raster_boxes(g, box, 16, 9)
+    assert by_labels.exceptAll(by_corners).isEmpty() and by_corners.exceptAll(by_labels).isEmpty()
+    rows, squares_of = grid.regular_grid(g, box, 8).collect(), g.collect()
+    for r in rows:
+        a0, a1, b0, b1 = -10 + r["gx"] * 10, r["gx"] * 10, -10 + r["gy"] * 85 / 8, -10 + (r["gy"] + 1) * 85 / 8
+        met = [s for s in squares_of if s["xl"] < a1 and s["xh"] > a0 and s["yl"] < b1 and s["yh"] > b0]
+        assert r["crossing"] == sum(not (s["xl"] <= a0 and s["xh"] >= a1 and s["yl"] <= b0 and s["yh"] >= b1) for s in met)
+    surface.register_rect_pixels(spark)
+    held = spark.sql("select count(*) from rect_pixels(3, 11, 0, 5, 0, 0, 16, 8)").first()[0]
+    assert held == sum(3 <= (2 * p + 1) < 11 and 0 <= (2 * q + 1) < 5 for p in range(8) for q in range(8))
+
+
+def test_full_slab_count(spark):
+    from catchment.plans import workloads
+
+    c, f = sample(spark, 7, 40, 4)
+    g = circles.canonical(circles.nn_circles(c, f, "linf")).withColumn("tile", F.lit(0)).persist()
+    told = workloads.full_slab_count(g, sweep.event_borders(g)).first()["k_all"]
+    assert told == sweep.label_all_pairs(g.drop("tile")).count()
+
+
+def test_far_and_mixed_sizes(spark):
+    """Squares of very different sizes, crowded small ones beside large ones that cover or cut them."""
+    rng = random.Random(11)
+    rows = [(i, x, x + (s := rng.choice([1, 2, 3, 40, 700])), y, y + s) for i in range(60) for x, y in [(rng.randrange(-50, 800), rng.randrange(-50, 60))]]
+    g = squares(spark, rows).persist()
+    full, part = sweep.label_all_pairs(g).select(*LABEL, "n"), sweep.label_changed(g).select(*LABEL, "n")
+    spans = sweep.changed_intervals(g).select("x", "lo", "hi").collect()
+    want = [tuple(r) for r in full.collect() if any(x == r["x0"] and lo <= r["y0"] and r["y1"] <= hi for x, lo, hi in spans)]
+    assert sorted(map(tuple, part.collect())) == sorted(want)
+
+
+def test_gadget_source(spark):
+    from catchment.sources import gadget_source
+
+    gadget_source.register(spark)
+    for kind, make in (("diagonal", gadgets.diagonal_squares), ("disjoint", gadgets.disjoint_squares)):
+        read = spark.read.format("gadget").option("kind", kind).option("n", 9).load()
+        want = make(spark, 9)
+        assert read.drop("oid").exceptAll(want.drop("oid")).isEmpty() and read.count() == 9
+
+
+def test_near_edges(spark):
+    c, _ = sample(spark, 12)
+    rows = c.collect()
+    got = {tuple(r) for r in influence.near_edges(c, "x", 5).collect()}
+    assert got == {(a["oid"], b["oid"]) for a in rows for b in rows if a["oid"] < b["oid"] and a["grp"] == b["grp"] and abs(a["x"] - b["x"]) <= 5}
+
+
+def test_face_baseline_by_definition(spark):
+    c, f = sample(spark, 13)
+    g = circles.canonical(circles.nn_circles(c, f, "linf")).persist()
+    rows = g.collect()
+    for r in regions.label_by_faces(g).collect():
+        assert r["n"] == sum(s["n"] for s in rows if 2 * s["xl"] < r["qx"] < 2 * s["xh"] and 2 * s["yl"] < r["qy"] < 2 * s["yh"])

@@ -20,5 +20,28 @@ def test_stream_equals_batch(spark, tmp_path):
     s = stream.InfluenceStream(spark, f, "1 day")
     s.run(str(source), spark.read.parquet(str(source)).schema)
     batch = stream.windowed_heat(stream.with_windows(stream.arrivals(rows.drop("part"), f), "1 day"))
-    assert s.late == 5
-    assert s.heat == {r["window_start"]: (r["clients"], r["labels"], r["max_heat"]) for r in batch.collect()}
+    assert s.late() == 5
+    assert {tuple(r) for r in s.heat().collect()} == {tuple(r) for r in batch.collect()}
+    again = stream.InfluenceStream(spark, f, "1 day", root=s.root)
+    again.run(str(source), spark.read.parquet(str(source)).schema)
+    assert again.late() == 5 and again.heat().count() == batch.count()
+
+
+def test_sessions(spark):
+    rows = [(1, "2024-01-01 00:00:00", 1.0), (2, "2024-01-01 00:20:00", 2.0), (3, "2024-01-01 01:00:00", 3.0), (4, "2024-01-01 01:29:59", 3.5), (5, "2024-01-01 05:00:00", 4.0)]
+    events = spark.createDataFrame(rows, "event_id long, ts string, value double").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
+    f = spark.createDataFrame([(1, 50, 10, 1)], points.FACILITIES)
+    placed = stream.with_windows(stream.arrivals(events, f), "30 minutes", session=True)
+    starts = {r["oid"]: r["tile"] for r in placed.collect()}
+    assert len(set(starts.values())) == 3 and starts[1] == starts[2] and starts[3] == starts[4]
+
+
+def test_facility_loads(spark, tmp_path):
+    _, f = points.sample(points.point_set(spark, SF, "evt"), 0, 8)
+    events = spark.read.parquet(f"{SF}/events.parquet").orderBy("ts").limit(120)
+    events.coalesce(1).write.parquet(str(tmp_path / "in"))
+    loads = stream.facility_loads(spark.readStream.schema(events.schema).parquet(str(tmp_path / "in")), f, keep_seconds=1 << 40)
+    query = loads.writeStream.format("memory").queryName("loads").outputMode("update").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    placed = stream.arrivals(events, f, with_facility=True).groupBy("nn_fid").count()
+    assert {(r["fid"], r["clients"]) for r in spark.table("loads").collect()} == {tuple(r) for r in placed.collect()}
