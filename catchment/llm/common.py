@@ -27,6 +27,20 @@ def fresh_path(spark, name: str) -> str:
     return f"{shared_dir(spark)}/catchment-{name}-{uuid.uuid4().hex}"
 
 
+def file_system(uri: str):
+    from pyarrow import fs
+
+    return fs.FileSystem.from_uri(uri)
+
+
+def bitmap_bits(ids: int) -> int:
+    """Bits of a bitmap for so many ids: eight for each, but 2**28 at most (4 million rows of 16 bytes to broadcast).
+
+    Beyond 2**25 ids more and more rows pass a bitmap that should not; the exact join after it then does more of the work.
+    """
+    return 1 << min(28, max(16, (8 * max(1, ids) - 1).bit_length()))
+
+
 def id_slots(ids: DataFrame, bits: int, column: str = "doc_id") -> DataFrame:
     """A bitmap of the ids' hashes as rows (w, bitmap): at most bits / 64 rows of 16 bytes, so it can be broadcast."""
     return ids.select(F.pmod(F.xxhash64(column), F.lit(bits)).alias("s")).groupBy(F.expr("s div 64").alias("_w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(s % 64 as int))")).alias("_bitmap"))
@@ -39,10 +53,10 @@ def slot_hit(rows: DataFrame, slots: DataFrame, bits: int, column: str = "doc_id
     return marked.join(F.broadcast(slots), "_w", "left").withColumn("_hit", F.coalesce(F.expr("_bitmap & shiftleft(1L, cast(_s % 64 as int))") != 0, F.lit(False))).drop("_w", "_s", "_bitmap")
 
 
-def without_ids(rows: DataFrame, gone: DataFrame, bits: int = 1 << 24, column: str = "doc_id") -> DataFrame:
-    """The rows whose id is not in ``gone``; only rows that a broadcast bitmap cannot clear meet the exact anti-join."""
-    slots = id_slots(gone, bits, column)
-    marked = slot_hit(rows, slots, bits, column)
+def without_ids(rows: DataFrame, gone: DataFrame, column: str = "doc_id") -> DataFrame:
+    """The rows whose id is not in ``gone`` (a written table); only rows that a broadcast bitmap cannot clear meet the exact anti-join."""
+    bits = bitmap_bits(gone.count())
+    marked = slot_hit(rows, id_slots(gone, bits, column), bits, column)
     maybe = marked.filter("_hit").drop("_hit").join(gone.select(column), column, "left_anti")
     return marked.filter("not _hit").drop("_hit").unionByName(maybe)
 

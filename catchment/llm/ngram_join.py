@@ -14,9 +14,12 @@ Equal sets form one class; links are sought between classes, so copies cost one
 
 Long lists are never paired out. First each list is checked against one pivot for each size
 band, the member with the fewest rare elements (in a group of near copies, what they are copies of); components of those links are formed, and only pairs of list members that still lie in
-different components are checked after that, cell by cell. Links between two members of one
-component that the pivots have joined already are not listed again: ``n_links`` counts the checked links of a
-text's class and its copies, ``component_id`` loses none.
+different components are checked after that, cell by cell.
+
+``n_links`` counts every text that links with a text, its copies too. Links lie inside components, so the classes of a
+component are dealt into cells and every pair of cells is one piece of work that gives each class one number:
+overlaps are counted through the elements that two cells share, common ones as products of 0/1 matrices, and no pair
+becomes a row. That is quadratic in the different texts of one component, as the count itself is; ``links=False`` leaves it out.
 
 Results for odd input: null or blank text has no shingles and its own id as component; a null id
 keeps its row, takes part in no link and has a null component; rows with one id and several texts
@@ -33,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, column_bytes, id_slots, in_batches, lean, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
+from .common import U, bitmap_bits, by_bytes, column_bytes, id_slots, in_batches, lean, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
 
 _ROLL = [U(0x9FB21C651E98DF25), U(0xD6E8FEB86659FD93), U(0xA0761D6478BD642F), U(0xE7037ED1A0B428DB), U(0x8EBC6AF09C88C6E3)]
 
@@ -233,13 +236,115 @@ def _set_rows(width: int):
     return run
 
 
-def _near(texts: DataFrame, ids: DataFrame, bits: int) -> DataFrame:
-    """The rows of ``texts`` whose id is in ``ids``, and few others, without moving a text.
+def _near(texts: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows of ``texts`` whose id is in ``ids``, and few others, without moving a text: the join after it decides."""
+    bits = bitmap_bits(ids.count())
+    return slot_hit(texts, id_slots(ids, bits), bits).filter("_hit").select("doc_id", "text")
+
+
+def block_links(a: list[np.ndarray], b: list[np.ndarray] | None, num: int, den: int) -> np.ndarray:
+    """The link matrix of sets a and b (None: a with itself, without its diagonal), by exact overlaps.
 
-    A bitmap of the ids' hashes is broadcast; it has at most bits / 64 rows of 16 bytes whatever
-    the number of ids. With very many ids it lets more rows through; the join after it decides.
+    An element in few sets of both sides is counted pair by pair, one in many by a matrix product.
     """
-    return slot_hit(texts, id_slots(ids, bits), bits).filter("_hit").select("doc_id", "text")
+    within, b = b is None, a if b is None else b
+    shape = len(a), len(b)
+    flat = [np.concatenate(x) for x in (a, b)]
+    rows = [np.repeat(np.arange(len(x)), [len(s) for s in x]) for x in (a, b)]
+    every, back = np.unique(np.concatenate(flat), return_inverse=True)
+    of = back[: len(flat[0])], back[len(flat[0]) :]
+    counts = [np.bincount(x, minlength=len(every)) for x in of]
+    shared = (counts[0] > (1 if within else 0)) & (counts[1] > 0)
+    work = counts[0] * counts[1]
+    common = shared & (work > max(64, shape[0] * shape[1] // 100))
+    overlap = np.zeros(shape, np.float32)
+    at = np.flatnonzero(common)
+    place = np.full(len(every), -1)
+    for lo in range(0, len(at), 512):
+        some = at[lo : lo + 512]
+        place[some] = np.arange(len(some))
+        sides = []
+        for x, r, n in zip(of, rows, shape):
+            pick = place[x] >= 0
+            m = np.zeros((n, len(some)), np.float32)
+            m[r[pick], place[x[pick]]] = 1
+            sides.append(m)
+        overlap += sides[0] @ sides[1].T
+        place[some] = -1
+    few = np.flatnonzero(shared & ~common)
+    if len(few):
+        order = [np.argsort(x, kind="stable") for x in of]
+        starts = [np.concatenate(([0], np.cumsum(c))) for c in counts]
+        cuts = np.concatenate(([0], np.cumsum(work[few])))
+        lo = 0
+        while lo < len(few):
+            hi = max(lo + 1, int(np.searchsorted(cuts, cuts[lo] + (1 << 21), side="right")) - 1)
+            t = few[lo:hi]
+            turn = np.repeat(t, work[t])
+            step = np.arange(len(turn)) - np.repeat(cuts[lo:hi] - cuts[lo], work[t])
+            left = rows[0][order[0][starts[0][turn] + step // counts[1][turn]]]
+            right = rows[1][order[1][starts[1][turn] + step % counts[1][turn]]]
+            overlap += np.bincount(left * shape[1] + right, minlength=shape[0] * shape[1]).reshape(shape)
+            lo = hi
+    sizes = [np.array([len(s) for s in x], np.float64) for x in (a, b)]
+    link = (overlap > 0) & (den * overlap.astype(np.float64) >= num * (sizes[0][:, None] + sizes[1][None, :] - overlap))
+    if within:
+        np.fill_diagonal(link, False)
+    return link
+
+
+def _count_links(num: int, den: int):
+    """From rows (label, i, j, own, ckey, copies, tokens) in the order of (label, i, j): (ckey, links) for each of them."""
+    schema = pa.schema([("ckey", pa.int64()), ("links", pa.int64())])
+
+    def told(rows):
+        key = rows[0][0]
+        sides = [[r for r in rows if r[1] == own] for own in key[1:]]
+        if key[1] == key[2]:
+            link = block_links([r[4] for r in sides[0]], None, num, den)
+            found = [(sides[0], link, sides[0])]
+        elif sides[0] and sides[1]:
+            link = block_links(*[[r[4] for r in side] for side in sides], num, den)
+            found = [(sides[0], link, sides[1]), (sides[1], link.T, sides[0])]
+        else:
+            return
+        for mine, link, theirs in found:
+            links = link @ np.array([r[3] for r in theirs], np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array([r[2] for r in mine], pa.int64()), pa.array(links, pa.int64())], schema=schema)
+
+    @lean()
+    def run(batches):
+        held = []
+        for batch in batches:
+            keys = list(zip(*(batch.column(c).to_pylist() for c in range(3))))
+            own, ckey, copies = (batch.column(c).to_pylist() for c in (3, 4, 5))
+            lists = batch.column(6)
+            values, ends = lists.values.to_numpy(), lists.offsets.to_numpy()
+            for i, key in enumerate(keys):
+                if held and held[0][0] != key:
+                    yield from told(held)
+                    held = []
+                held.append((key, own[i], ckey[i], copies[i], values[ends[i] : ends[i + 1]].copy()))
+        if held:
+            yield from told(held)
+
+    return run
+
+
+def link_counts(texts: DataFrame, classes: DataFrame, width: int, num: int, den: int, members: int = 2048, elements: int = 1 << 19) -> DataFrame:
+    """(ckey, links): with how many texts of other classes each class links. ``classes``: ckey, label, least, copies, n.
+
+    A component of two classes is its one link; larger ones are counted cell by cell.
+    """
+    groups = classes.groupBy("label").agg(F.count("*").alias("k"), F.sum("n").alias("size"), F.sum("copies").alias("all"))
+    placed = classes.join(groups.filter("k > 1"), "label")
+    two = placed.filter("k = 2").select("ckey", (F.col("all") - F.col("copies")).alias("links"))
+    many = materialize(placed.filter("k > 2").withColumn("cells", F.expr(f"cast(greatest(ceil(k / {members}D), ceil(size / {elements}D)) as int)")).select("label", "ckey", F.col("least").alias("doc_id"), "copies", "cells"), "members")
+    sets = _near(texts, many.select("doc_id")).mapInArrow(_set_rows(width), "doc_id long, ckey long, tokens array<long>").dropDuplicates(["doc_id", "ckey"])
+    rows = many.join(sets, ["ckey", "doc_id"]).withColumn("own", F.expr("cast(pmod(xxhash64(ckey), cells) as int)"))
+    rows = rows.withColumn("other", F.explode(F.expr("sequence(0, cells - 1)"))).select("label", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "ckey", "copies", "tokens")
+    counted = rows.repartition("label", "i", "j").sortWithinPartitions("label", "i", "j").mapInArrow(_count_links(num, den), "ckey long, links long")
+    return two.unionByName(counted).groupBy("ckey").agg(F.sum("links").alias("links"))
 
 
 def _overlap_bound(num: int, den: int):
@@ -250,10 +355,10 @@ def _overlap_bound(num: int, den: int):
     return required, sizes, places
 
 
-def _checked(texts: DataFrame, pairs: DataFrame, width: int, num: int, den: int, bits: int) -> DataFrame:
+def _checked(texts: DataFrame, pairs: DataFrame, width: int, num: int, den: int) -> DataFrame:
     """Those of the candidate pairs (a, a_doc, b, b_doc) whose sets overlap enough, as (u, v)."""
     ids = pairs.select(F.explode(F.array("a_doc", "b_doc")).alias("doc_id"))
-    sets = _near(texts, ids, bits).mapInArrow(_set_rows(width), "doc_id long, ckey long, tokens array<long>")
+    sets = _near(texts, ids).mapInArrow(_set_rows(width), "doc_id long, ckey long, tokens array<long>")
     one = sets.select(F.col("doc_id").alias("a_doc"), F.col("ckey").alias("a"), F.col("tokens").alias("a_set"))
     two = sets.select(F.col("doc_id").alias("b_doc"), F.col("ckey").alias("b"), F.col("tokens").alias("b_set"))
     both = pairs.join(one, ["a", "a_doc"]).join(two, ["b", "b_doc"])
@@ -292,7 +397,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     return now.select(F.col("u").alias("node"), F.col("v").alias("label")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("label")).distinct())
 
 
-def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100, entry_cost: float = 12.0, largest_light: int = 12, frequent_tokens: int = 1 << 20, bitmap_bits: int = 1 << 24, cell: int = 2048) -> DataFrame:
+def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100, entry_cost: float = 12.0, largest_light: int = 12, frequent_tokens: int = 1 << 20, cell: int = 2048, links: bool = True) -> DataFrame:
     """One row a document: doc_id, n_shingles, component_id, n_links, is_light.
 
     Two texts link when den * overlap >= num * union. ``frequent_tokens`` bounds the table of the
@@ -322,8 +427,8 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     direct = stars.filter((F.col("kind") > 0) & (required <= F.col("kind"))).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
     first = stars.filter((F.col("kind") == 0) & sizes & places).groupBy("a", "b").agg(F.min("a_doc").alias("a_doc"), F.min("b_doc").alias("b_doc"))
     first = materialize(first, "pairs")
-    links = materialize(direct.unionByName(_checked(texts, first, width, num, den, bitmap_bits)).distinct(), "links")
-    known = components(links)
+    edges = materialize(direct.unionByName(_checked(texts, first, width, num, den)).distinct(), "links")
+    known = components(edges)
 
     inside = rows.filter("kind = 0 and cnt > 1").join(known.withColumnRenamed("node", "ckey"), "ckey", "left").withColumn("label", F.coalesce("label", "ckey"))
     inside = inside.withColumn("lo", F.min("label").over(Window.partitionBy("key"))).withColumn("hi", F.max("label").over(Window.partitionBy("key"))).filter("lo != hi")
@@ -333,29 +438,35 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     rest = side("a").join(side("b"), ["key", "i", "j"]).filter("a_ckey < b_ckey and a_label != b_label and a_pivot != b_ckey and b_pivot != a_ckey and (a_own != b_own or i = j)").filter(sizes & places)
     rest = materialize(rest.groupBy(F.col("a_ckey").alias("a"), F.col("b_ckey").alias("b")).agg(F.min("a_doc").alias("a_doc"), F.min("b_doc").alias("b_doc")), "pairs")
     if rest.limit(1).count():
-        more = materialize(_checked(texts, rest, width, num, den, bitmap_bits), "links")
-        links = links.unionByName(more)
-        known = components(links)
+        more = materialize(_checked(texts, rest, width, num, den), "links")
+        edges = edges.unionByName(more)
+        known = components(edges)
     release(first, rest, rows)
 
-    ends = links.select(F.explode(F.array("u", "v")).alias("ckey")).groupBy("ckey").agg(F.count("*").alias("class_links"))
-    classes = marks.filter("ckey is not null and doc_id is not null").groupBy("ckey").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies"))
-    classes = classes.join(known.withColumnRenamed("node", "ckey"), "ckey", "left").withColumn("label", F.coalesce("label", "ckey")).join(ends, "ckey", "left")
+    classes = marks.filter("ckey is not null and doc_id is not null").groupBy("ckey").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies"), F.min("n").alias("n"))
+    classes = materialize(classes.join(known.withColumnRenamed("node", "ckey"), "ckey", "left").withColumn("label", F.coalesce("label", "ckey")), "classes")
     owners = classes.groupBy("label").agg(F.min("least").alias("component_id"))
-    classes = classes.join(owners, "label").select("ckey", "component_id", (F.coalesce("class_links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    out = marks.join(classes, "ckey", "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"), F.when(F.col("doc_id").isNotNull(), F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"), F.col("n").between(1, light).alias("is_light"))
+    told = classes.join(owners, "label")
+    if links:
+        told = told.join(link_counts(texts, classes, width, num, den), "ckey", "left")
+    else:
+        told = told.withColumn("links", F.lit(None).cast("long"))
+    told = told.select("ckey", "component_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    out = marks.join(told, "ckey", "left")
+    named = F.col("doc_id").isNotNull()
+    shown = F.when(named, F.coalesce("n_links", F.lit(0))).cast("long") if links else F.lit(None).cast("long")
+    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(named, F.coalesce("component_id", "doc_id")).alias("component_id"), shown.alias("n_links"), F.col("n").between(1, light).alias("is_light"))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The documents with the least id of their component, all columns as they were; rows with a null id stay."""
-    found = materialize(jaccard_join(docs, id_col=id_col, **options).filter("doc_id != component_id").select(F.col("doc_id").alias(id_col)).distinct(), "copies")
+    found = materialize(jaccard_join(docs, id_col=id_col, links=False, **options).filter("doc_id != component_id").select(F.col("doc_id").alias(id_col)).distinct(), "copies")
     return without_ids(docs, found, column=id_col)
 
 
 def op2_ngram_jaccard_join(spark, sf_dir: str) -> DataFrame:
-    """doc_id, n_shingles, component_id of every document."""
-    return jaccard_join(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")).select("doc_id", "n_shingles", "component_id")
+    """doc_id, n_shingles, component_id and n_links of every document."""
+    return jaccard_join(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")).select("doc_id", "n_shingles", "component_id", "n_links")
 
 
 SQL = {
@@ -371,8 +482,9 @@ links AS (
   SELECT x, y FROM shared JOIN sizes s ON s.doc_id = x JOIN sizes t ON t.doc_id = y WHERE 100 * o >= 80 * (s.n + t.n - o)),
 both_ways AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
 reach AS (SELECT doc_id AS x, doc_id AS y FROM documents UNION SELECT r.x, b.y FROM reach r JOIN both_ways b ON r.y = b.x),
-least AS (SELECT x, min(y) AS component_id FROM reach GROUP BY x)
-SELECT d.doc_id, coalesce(n, 0)::BIGINT AS n_shingles, component_id
-FROM documents d LEFT JOIN sizes s ON s.doc_id = d.doc_id JOIN least l ON l.x = d.doc_id
+least AS (SELECT x, min(y) AS component_id FROM reach GROUP BY x),
+degree AS (SELECT x, count(*) AS n_links FROM both_ways GROUP BY x)
+SELECT d.doc_id, coalesce(n, 0)::BIGINT AS n_shingles, component_id, coalesce(n_links, 0)::BIGINT AS n_links
+FROM documents d LEFT JOIN sizes s ON s.doc_id = d.doc_id JOIN least l ON l.x = d.doc_id LEFT JOIN degree g ON g.x = d.doc_id
 """,
 }

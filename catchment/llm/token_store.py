@@ -27,19 +27,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, fresh_path, in_batches, lean, materialize, mix
+from .common import U, by_bytes, file_system, fresh_path, in_batches, lean, materialize, mix
 from .packing import vocabulary_path
 from .tokens import encoded, encoder
 
 _SHARD, _INDEX = b"TOKSHARD", b"TOKINDEX"
 
 
-def file_system(uri: str):
-    from pyarrow import fs
-
-    return fs.FileSystem.from_uri(uri)
-
-
 class PerfectHash:
     """A minimal perfect hash over distinct (h, g) pairs of 64-bit hashes, in level bitmaps."""
 

@@ -26,8 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fresh_path, in_batches, materialize
-from .token_store import file_system
+from .common import bitmap_bits, file_system, fresh_path, id_slots, in_batches, materialize, slot_hit
 
 _PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 _GZIP = 31
@@ -247,7 +246,10 @@ def write_archives(pages: DataFrame, root: str | None = None, id_col: str = "pag
     facts = rows.filter((F.octet_length("html") >= least) & F.col("page_id").isNotNull()).select("page_id", "digest")
     firsts = facts.groupBy("digest").agg(F.min("page_id").alias("refers_to"), F.max("page_id").alias("last")).filter("refers_to != last").select("digest", "refers_to")
     revisits = materialize(facts.join(firsts, "digest").filter("page_id != refers_to").distinct(), "revisits")
-    marked = rows.join(revisits, ["page_id", "digest"], "left").select("page_id", "url", "html", "digest", "refers_to")
+    bits = bitmap_bits(revisits.count())
+    hit = slot_hit(rows, id_slots(revisits, bits, "page_id"), bits, "page_id").select("page_id", "url", "html", "digest", "_hit")
+    # only pages that may be revisits move to their rows
+    marked = hit.filter("not _hit").drop("_hit").withColumn("refers_to", F.lit(None).cast("long")).unionByName(hit.filter("_hit").drop("_hit").join(revisits, ["page_id", "digest"], "left").select("page_id", "url", "html", "digest", "refers_to"))
     lines = materialize(marked.mapInArrow(_archive(root, date), "page_id long, key string, line string"), "captures")
     ordered = lines.repartitionByRange("key").sortWithinPartitions("key", "page_id").select("key", "line")
     blocks = materialize(ordered.mapInArrow(_blocks(root, block_lines), "shard long, first_key string, block_file string, directory string, offset long, length long, lines long"), "blocks")
