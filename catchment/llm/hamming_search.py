@@ -2,8 +2,9 @@
 
 Codes are cut into 16-bit segments. If every segment has been probed up to radius r, any code not met yet
 differs by more than r in each of the m segments, so by at least m (r + 1) in all: the search of a
-query ends as soon as its k-th verified distance is at most m (r + 1) - 1. Radii grow by one until then; a
-round that would probe more buckets than a block has codes reads the block instead, which ends the search.
+query ends as soon as its k-th verified distance is at most m (r + 1) - 1. Radii grow by one until then. A
+round probes the buckets at its radius: by their keys, or, where a segment has fewer occupied buckets than
+the radius has keys, by picking those among the occupied ones.
 
 Equal codes form one class that carries its k + 1 least ids (more can never be among the nearest), so a very
 common code is one row. Classes are dealt into blocks of at most ``block`` by a hash, queries into groups of
@@ -47,27 +48,38 @@ class MultiIndex:
     def __init__(self, codes: np.ndarray):
         self.codes = codes
         self.parts = codes.view("<u2").reshape(len(codes), -1)
-        self.order, self.starts = [], []
+        self.order, self.starts, self.values = [], [], []
         for s in range(self.parts.shape[1]):
             self.order.append(np.argsort(self.parts[:, s], kind="stable"))
-            self.starts.append(np.concatenate(([0], np.cumsum(np.bincount(self.parts[:, s], minlength=1 << SEGMENT)))))
+            sizes = np.bincount(self.parts[:, s], minlength=1 << SEGMENT)
+            self.starts.append(np.concatenate(([0], np.cumsum(sizes))))
+            self.values.append(np.flatnonzero(sizes).astype(np.uint16))
 
     def distances(self, queries: np.ndarray, which: np.ndarray, found: np.ndarray) -> np.ndarray:
         return np.bitwise_count(queries[which] ^ self.codes[found]).sum(axis=1, dtype=np.int64)
 
+    def _buckets(self, part: np.ndarray, s: int, mask: np.ndarray, r: int) -> tuple[np.ndarray, np.ndarray]:
+        """(query, bucket) of a segment's occupied buckets at exactly radius r."""
+        held = self.values[s]
+        if len(held) < len(mask):
+            q, at = np.nonzero(np.bitwise_count(part[:, None] ^ held[None, :]) == r)
+            return q, held[at].astype(np.int64)
+        keys = (part[:, None] ^ mask[None, :]).ravel().astype(np.int64)
+        full = np.flatnonzero(self.starts[s][keys + 1] > self.starts[s][keys])
+        return full // len(mask), keys[full]
+
     def _probe(self, parts: np.ndarray, r: int) -> tuple[np.ndarray, np.ndarray]:
         """(query, code) pairs that agree within exactly r bits in some segment."""
         mask, out = masks(r), []
         for s in range(parts.shape[1]):
-            values = (parts[:, s][:, None] ^ mask[None, :]).ravel()
-            lo, n = self.starts[s][values], self.starts[s][values.astype(np.int64) + 1] - self.starts[s][values]
-            full = np.flatnonzero(n)
-            if not len(full):
+            q, key = self._buckets(parts[:, s], s, mask, r)
+            if not len(q):
                 continue
-            n, lo = n[full], lo[full]
+            lo = self.starts[s][key]
+            n = self.starts[s][key + 1] - lo
             stops = np.cumsum(n)
             at = np.repeat(lo - (stops - n), n) + np.arange(stops[-1])
-            out.append(np.repeat(full // len(mask), n) * len(self.codes) + self.order[s][at])
+            out.append(np.repeat(q, n) * len(self.codes) + self.order[s][at])
         pairs = np.unique(np.concatenate(out)) if out else np.empty(0, np.int64)
         return pairs // len(self.codes), pairs % len(self.codes)
 
@@ -80,27 +92,21 @@ class MultiIndex:
         for r in range(SEGMENT + 1):
             if not len(active):
                 break
-            scan = len(masks(r)) * m >= n
-            room = max(1, (1 << 20) // (n if scan else len(masks(r))))
+            room = max(1, (1 << 20) // len(masks(r)))
             left = []
             for lo in range(0, len(active), room):
                 some = active[lo : lo + room]
-                if scan:
-                    q, c = np.repeat(np.arange(len(some)), n), np.tile(np.arange(n), len(some))
-                else:
-                    q, c = self._probe(parts[some], r)
+                q, c = self._probe(parts[some], r)
                 d = self.distances(queries, some[q], c)
                 cut = np.searchsorted(q, np.arange(len(some) + 1))
                 for j, i in enumerate(some.tolist()):
-                    codes, dist = c[cut[j] : cut[j + 1]], d[cut[j] : cut[j + 1]]
-                    if not scan:
-                        codes, at = np.unique(np.concatenate((best[i][0], codes)), return_index=True)
-                        dist = np.concatenate((best[i][1], dist))[at]
+                    codes, at = np.unique(np.concatenate((best[i][0], c[cut[j] : cut[j + 1]])), return_index=True)
+                    dist = np.concatenate((best[i][1], d[cut[j] : cut[j + 1]]))[at]
                     order = np.lexsort((heads[codes], dist))[:k]
                     codes, dist = codes[order], dist[order]
                     best[i] = codes, dist
                     reach = np.searchsorted(np.cumsum(copies[codes]), k)
-                    if not scan and (reach >= len(codes) or dist[reach] > m * (r + 1) - 1):
+                    if len(codes) < n and (reach >= len(codes) or dist[reach] > m * (r + 1) - 1):
                         left.append(i)
             active = np.array(left, np.int64)
         return best
@@ -116,7 +122,10 @@ def nearest(rows: DataFrame, queries: DataFrame, k: int, words: int, block: int
     blocks = max(1, -(-total // block))
     asked = queries.select("code").distinct()
     left = classes.withColumn("block", F.pmod(F.xxhash64("code"), F.lit(blocks)))
-    groups = max(1, -(-asked.count() // group))
+    n_asked = asked.count()
+    # as many pieces of work as four a core, as long as a piece keeps 128 queries; no more than needed where blocks abound
+    wanted = -(-4 * rows.sparkSession.sparkContext.defaultParallelism // blocks)
+    groups = max(1, -(-n_asked // group), min(wanted, n_asked // 128))
     right = asked.withColumn("part", F.pmod(F.xxhash64("code", F.lit(3)), F.lit(groups))).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
     left = left.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
     found_type = pa.struct([("d", pa.int64()), ("id", pa.int64())])
