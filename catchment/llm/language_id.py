@@ -7,8 +7,8 @@ weighing as much as its classifier did better than chance in training. The neare
 its softmax share is the score, and a text whose two nearest codewords lie within ``ambiguity`` of
 each other in loss is flagged ambiguous.
 
-The model is fitted on a bounded sample of labelled rows (``train_rows``, spread evenly over the
-languages, chosen by a hash of the id); prediction reads every whole text and nothing but the text.
+The model is fitted on a bounded sample of labelled rows (``train_rows`` in all, or one a language where there are
+more languages; spread evenly over the languages, chosen by a hash of the id); prediction reads every whole text and nothing but the text.
 
 Odd input: null text, or text without any letter, is ``und`` with score 0, not ambiguous; with no
 labelled row every text is ``und``; with one language every text with a letter is that language. Ties
@@ -23,7 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import in_batches, lean, slices
@@ -154,22 +154,22 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, steps: int = 40)
 
 
 def even_sample(rows: DataFrame, label: str, want: int, id_col: str = "doc_id") -> DataFrame:
-    """Rows of (id, label, ...), about ``want`` in all and never more than twice that, even over the labels, by a hash of the id."""
-    counts = {r[0]: r[1] for r in rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(200).collect()}
-    if not counts:
-        return rows.limit(0)
-    each = max(1, want // len(counts))
-    grade = F.pmod(F.xxhash64(id_col, F.lit(23)), F.lit(1 << 40)) / float(1 << 40)
-    keep = F.lit(False)
-    for value, n in counts.items():
-        keep = keep | ((F.col(label) == value) & (grade < each / n))
-    return rows.filter(keep).limit(2 * want)
+    """(id, label): about ``want`` rows in all, as many of every label (one at least), those with the least hash of the id.
+
+    Each task keeps only its own least ones of a label, so a label with most of the rows is no load for one task.
+    """
+    pairs = rows.select(id_col, label)
+    each = max(1, want // max(1, pairs.agg(F.count_distinct(label)).first()[0]))
+    grade = F.xxhash64(id_col, F.lit(23))
+    w = Window.partitionBy(label).orderBy(grade, id_col)
+    return pairs.withColumn("_k", F.row_number().over(w)).filter(F.col("_k") <= each).drop("_k")
 
 
 def fit_languages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", train_rows: int = 2000, ambiguity: float = 0.5) -> OutputCodes:
-    rows = docs.filter(learnable(id_col) & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
-    sample = even_sample(rows.select(id_col, lang_col, text_col), lang_col, train_rows, id_col).select(lang_col, text_col).toArrow()
-    return OutputCodes.fit(sample.column(1).to_pylist(), sample.column(0).to_pylist(), ambiguity)
+    rows = docs.filter(learnable(id_col) & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("doc_id"), F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"))
+    chosen = even_sample(rows, "lang", train_rows).distinct()
+    sample = rows.join(F.broadcast(chosen), ["doc_id", "lang"]).toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
+    return OutputCodes.fit(sample.column("text").to_pylist(), sample.column("lang").to_pylist(), ambiguity)
 
 
 def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text", prefix: str = "") -> DataFrame:
