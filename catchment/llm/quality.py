@@ -1,7 +1,6 @@
 """Text quality by supervised subword embeddings.
 
-A text is the average of learned vectors of its hashed words, of word pairs that repeat one word (one
-shared vector), and of hashed byte trigrams (case and symbols kept); a softmax layer tells the classes. Vectors and layer are trained together by numpy
+A text is the average of learned vectors of its hashed words, of its hashed word pairs, and of hashed byte trigrams (case and symbols kept); a softmax layer tells the classes. Vectors and layer are trained together by numpy
 stochastic gradient descent with per-coordinate step sizes. As the layer is linear in the average,
 prediction looks up each feature's two class logits, so it costs one table read a feature.
 
@@ -23,31 +22,34 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import in_batches, lean, slices, word_hashes
+from .common import in_batches, lean, mix, slices, word_hashes
 from .language_id import even_sample, held_out, learnable, trigram_slots
 
-WORDS, GRAMS = 1 << 16, 1 << 16
-REPEAT, SLOTS = WORDS + GRAMS, WORDS + GRAMS + 1
+WORDS, GRAMS, PAIRS = 1 << 16, 1 << 16, 1 << 17
+#: First slots of the grams and of the pairs; the first slot of each kind stands for nothing.
+AT_GRAMS, AT_PAIRS, SLOTS = WORDS, WORDS + GRAMS, WORDS + GRAMS + PAIRS
 
 
 def features(texts: list[bytes], most: int = 1 << 19):
-    """Of consecutive texts: (first, last, word slots, their text starts, repeats by text, gram slots, their text starts)."""
+    """Of consecutive texts: (first, last, word slots, slots of the pairs that words begin, their text starts, gram slots, their text starts)."""
     for lo, hi in slices([len(t) for t in texts], most):
         words = [t.split() for t in texts[lo:hi]]
         tight = [b" ".join(w) for w in words]
         hashes = word_hashes(b" ".join(t for t in tight if t))
         slots = (hashes >> np.uint64(20)).astype(np.int64) % (WORDS - 1) + 1
         starts = np.cumsum([0] + [len(w) for w in words])
-        same = np.concatenate(([0], np.cumsum(np.append(False, hashes[1:] == hashes[:-1]))))
-        opens = np.minimum(starts[:-1] + 1, starts[1:])
-        repeats = same[starts[1:]] - same[opens]
+        pairs = np.zeros(len(hashes), np.int64)
+        if len(hashes) > 1:
+            pairs[:-1] = (mix(hashes[:-1] * np.uint64(3) + hashes[1:]) >> np.uint64(20)).astype(np.int64) % (PAIRS - 1) + 1
+        lasts = starts[1:][np.diff(starts) > 0] - 1
+        pairs[lasts] = 0
         begins = np.cumsum([0] + [len(t) + 2 for t in tight])[:-1]
         grams = trigram_slots(b"  ".join(tight) + b"    ", GRAMS)
-        yield lo, hi, slots, starts, repeats, grams, np.append(begins, len(grams))
+        yield lo, hi, slots, pairs, starts, grams, np.append(begins, len(grams))
 
 
 class SubwordModel:
-    """``table``: class logits of each word slot, then of each gram slot; ``offset``: class offsets."""
+    """``table``: class logits of each word slot, then of each gram slot, then of each pair slot; ``offset``: class offsets."""
 
     def __init__(self, table: np.ndarray, offset: np.ndarray):
         self.table, self.offset = table, offset
@@ -55,10 +57,11 @@ class SubwordModel:
     @classmethod
     def fit(cls, texts: list[bytes], labels: np.ndarray, prior: float, dim: int = 16, epochs: int = 6, rate: float = 0.5, seed: int = 3) -> SubwordModel:
         rows = []
-        for lo, hi, words, starts, repeats, grams, begins in features(texts):
+        for lo, hi, words, pairs, starts, grams, begins in features(texts):
             for i in range(hi - lo):
-                ids = np.concatenate((words[starts[i] : starts[i + 1]], WORDS + grams[begins[i] : begins[i + 1]], np.full(repeats[i], REPEAT)))
-                slot, count = np.unique(ids[ids != WORDS], return_counts=True)
+                mine = slice(starts[i], starts[i + 1])
+                ids = np.concatenate((words[mine], AT_GRAMS + grams[begins[i] : begins[i + 1]], AT_PAIRS + pairs[mine]))
+                slot, count = np.unique(ids[(ids != AT_GRAMS) & (ids != AT_PAIRS)], return_counts=True)
                 rows.append((slot, (count / max(1, count.sum())).astype(np.float32)))
         rng = np.random.default_rng(seed)
         vectors = rng.normal(0, 1 / dim, (SLOTS, dim)).astype(np.float32)
@@ -80,7 +83,7 @@ class SubwordModel:
                 layer -= rate * 0.2 * g / np.sqrt(seen_l)
                 offset -= 0.05 / (1 + epoch) * p
         table = vectors @ layer
-        table[[0, WORDS]] = 0
+        table[[0, AT_GRAMS, AT_PAIRS]] = 0
         if 0 < prior < 1 and len(labels):
             offset = offset + np.log([1 - prior, prior]) - np.log([(labels == 0).mean() or 1.0, (labels == 1).mean() or 1.0])
         return cls(table.astype(np.float32), offset.astype(np.float64))
@@ -88,14 +91,13 @@ class SubwordModel:
     def score(self, texts: list[bytes]) -> np.ndarray:
         """Share of class 1."""
         out = np.zeros((len(texts), 2))
-        for lo, hi, words, starts, repeats, grams, begins in features(texts):
+        for lo, hi, words, pairs, starts, grams, begins in features(texts):
             sums, counts = np.zeros((hi - lo, 2)), np.diff(starts).astype(np.int64)
             full = np.flatnonzero(counts)
             if len(full):
-                sums[full] += np.add.reduceat(self.table[words], starts[:-1][full], axis=0)
-            sums += np.add.reduceat(self.table[WORDS + grams], begins[:-1], axis=0)
-            sums += self.table[REPEAT] * repeats[:, None]
-            counts = counts + repeats + np.add.reduceat(grams > 0, begins[:-1], dtype=np.int64)
+                sums[full] += np.add.reduceat(self.table[words] + self.table[AT_PAIRS + pairs], starts[:-1][full], axis=0)
+            sums += np.add.reduceat(self.table[AT_GRAMS + grams], begins[:-1], axis=0)
+            counts = counts + np.maximum(counts - 1, 0) + np.add.reduceat(grams > 0, begins[:-1], dtype=np.int64)
             out[lo:hi] = sums / np.maximum(counts, 1)[:, None]
         z = out + self.offset
         return 1 / (1 + np.exp(np.clip(z[:, 0] - z[:, 1], -60, 60)))
@@ -106,7 +108,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text
     share = marks.agg(F.avg("label")).first()[0]
     if share is None:
         return SubwordModel(np.zeros((SLOTS, 2), np.float32), np.zeros(2))
-    chosen = even_sample(marks, "label", train_rows).limit(2 * train_rows)
+    chosen = even_sample(marks, "label", train_rows)
     texts = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     sample = texts.join(F.broadcast(chosen), "doc_id").select("text", "label", "doc_id").toArrow().sort_by([("doc_id", "ascending"), ("text", "ascending")])
     return SubwordModel.fit([t.encode() if t else b"" for t in sample.column(0).to_pylist()], sample.column(1).to_numpy().astype(np.int64), float(share))
