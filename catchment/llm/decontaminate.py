@@ -2,12 +2,15 @@
 
 1. Inverse document frequencies of the benchmark's vocabulary are counted over every document.
 2. TF-IDF rows of the benchmark passages (long ones in segments) get a randomised SVD for each block of segments: Gaussian
-   test vectors, a few power rounds of distributed partial products (each task multiplies its rows both ways and returns
-   one small matrix), and a thin decomposition of the last one on the driver. A block's basis has as many directions as
-   leave every segment all but a small part of its norm; its size is the block's vocabulary x rank.
+   test vectors, a few power rounds of distributed partial products (each task multiplies its rows both ways, one task
+   adds the small matrices up), and a thin decomposition of the last one on the driver. A block's basis has as many directions as
+   leave every segment all but a small part of its norm; its size is the block's vocabulary x rank. Blocks are made one after the
+   other and lie as files in the shared folder; a task holds a few of them at a time (``HELD`` bytes), whatever the benchmark's size.
 3. Every document is read as overlapping word windows. Where the benchmark's vocabulary makes up enough of a
    window's norm for the cosine threshold, its latent vector is a difference of running sums over its words; its
-   cosine with each passage (window norm in the full space) gives the candidates. The threshold is lowered by the norm
+   cosine with each passage gives the candidates. The gate takes each occurrence of a word for itself in the window's norm, which is
+   never more than the norm of its counts, so it lets through all that the cosine would; the cosine reported has the true norm
+   (words outside the block's vocabulary weigh the vocabulary's mean). The threshold is lowered by the norm
    that a segment has lost in the basis, which makes up for directions left out where a window does not repeat words. A cosine falls when
    a passage's words are frequent in the corpus beside words that are not; so a window is also a candidate where its
    part along a segment reaches half of ``loose`` times the segment's own length, whatever else it holds. Two
@@ -27,6 +30,7 @@ each report; a null document id is reported as null; an empty table on either si
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -34,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, hashed_texts, in_batches, lean, slices, word_hashes
+from .common import U, by_bytes, file_system, fresh_path, hashed_texts, in_batches, lean, materialize, slices, word_hashes, worker_store
 
 #: The least share of its squared norm that a segment keeps in its block's basis.
 KEPT = 0.998
@@ -80,16 +84,55 @@ def best_region(item: list, words: list, slack: float = 1.5) -> tuple[int, int]:
 
 class LatentIndex:
     """A block of segments in latent space: vocabulary hashes, idf, basis rows, segment vectors, the norm each has lost,
-    and the places of their passages in ``items`` and ``words``, which all blocks share; the lengths of their rows before
+    the number of each one's passage (``owner``), and the passages themselves as number -> (item, words); the lengths of the rows before
     these are made units, and the most that one occurrence of each word adds to a window's part along any of them."""
 
-    def __init__(self, items, words, vocabulary, idf, mean, basis, segments, owner, lengths, most):
-        self.items, self.words, self.vocabulary, self.idf, self.mean, self.basis, self.segments, self.owner = items, words, vocabulary, idf, mean, basis, segments, owner
+    def __init__(self, passages, vocabulary, idf, mean, basis, segments, owner, lengths, most):
+        self.passages, self.vocabulary, self.idf, self.mean, self.basis, self.segments, self.owner = passages, vocabulary, idf, mean, basis, segments, owner
         self.lengths, self.most = lengths, most
         self.rank = basis.shape[1]
         self.lost = np.sqrt(np.maximum(0, 1 - (segments.astype(np.float64) ** 2).sum(axis=1)))
 
 
+#: Bytes of index blocks that a worker holds.
+HELD = 1 << 26
+
+
+class IndexFiles:
+    """The blocks of a benchmark's index as files in the shared folder."""
+
+    def __init__(self, root: str):
+        self.root, self.names = root, []
+
+    def add(self, index: LatentIndex) -> None:
+        fs, base = file_system(self.root)
+        fs.create_dir(base, recursive=True)
+        name = f"block-{len(self.names):06d}.index"
+        with fs.open_output_stream(f"{base}/{name}", compression=None) as f:
+            f.write(pickle.dumps(index, protocol=5))
+        self.names.append(name)
+
+    def __iter__(self) -> Iterator[LatentIndex]:
+        held = worker_store("latent")
+        if held.get("root") != self.root:
+            held.clear()
+            held.update(root=self.root, blocks={}, bytes=0)
+        for name in self.names:
+            index = held["blocks"].get(name)
+            if index is None:
+                fs, base = file_system(self.root)
+                with fs.open_input_file(f"{base}/{name}") as f:
+                    data = f.read()
+                index = pickle.loads(data)
+                if held["bytes"] + len(data) <= HELD:
+                    held["blocks"][name] = index
+                    held["bytes"] += len(data)
+            yield index
+
+    def __bool__(self) -> bool:
+        return bool(self.names)
+
+
 def _hash_words(words: list[bytes]) -> np.ndarray:
     return word_hashes(b" ".join(words))
 
@@ -155,8 +198,17 @@ def randomised_basis(rows: DataFrame, vocabulary: np.ndarray, idf: np.ndarray, r
 
         return run
 
+    def add(batches):
+        total = None
+        for batch in batches:
+            for part in batch.column(0).to_pylist():
+                one = np.frombuffer(part, np.float32)
+                total = one.copy() if total is None else total + one
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["part"])
+
     for _ in range(rounds + 1):
-        parts = rows.select("words").mapInArrow(multiply(basis), "part binary").collect()
+        parts = rows.select("words").mapInArrow(multiply(basis), "part binary").coalesce(1).mapInArrow(add, "part binary").collect()
         total = sum((np.frombuffer(p["part"], np.float32).reshape(len(vocabulary), -1) for p in parts), np.zeros((len(vocabulary), rank), np.float32))
         basis, values, _ = np.linalg.svd(total.astype(np.float64), full_matrices=False)
         basis = basis[:, values > 1e-9 * max(values[0], 1e-30)].astype(np.float32)
@@ -176,9 +228,21 @@ def weigh(hashes: np.ndarray, vocabulary: np.ndarray, idf: np.ndarray) -> tuple[
     return at, w / max(float(np.linalg.norm(w)), 1e-12)
 
 
-def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", rank: int = 128, window: int = 48, block: int = 256) -> list[LatentIndex]:
+def benchmark_vocabulary(rows: DataFrame) -> np.ndarray:
+    """Sorted hashes of the distinct words of all passages (column words): eight bytes a word."""
+
+    def run(batches):
+        for batch in batches:
+            hashes = np.unique(_hash_words([w for ws in batch.column(0).to_pylist() for w in ws]))
+            yield pa.RecordBatch.from_arrays([pa.array(hashes.view(np.int64))], names=["h"])
+
+    found = rows.select("words").mapInArrow(run, "h long").distinct().toArrow().column(0).to_numpy()
+    return np.unique(found.view(np.uint64))
+
+
+def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", rank: int = 128, window: int = 48, block: int = 256) -> IndexFiles:
     """Latent indexes of all passages, one a block of ``block`` segments: ``rank`` directions, and more until each segment keeps ``KEPT``."""
-    passages = benchmark.filter(F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("item"), F.col(item_text_col).cast("string").alias("text"))
+    passages = in_batches(benchmark).filter(F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("item"), F.col(item_text_col).cast("string").alias("text"))
 
     @F.arrow_udf("array<binary>")
     @lean()
@@ -186,19 +250,20 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
         for array in texts:
             yield pa.array([split_words(t) for t in array.cast(pa.binary()).to_pylist()], pa.list_(pa.binary()))
 
-    rows = passages.withColumn("words", cut("text")).filter("size(words) > 0")
-    found = rows.select("item", "words").toArrow().sort_by("item")
-    items, words = found.column(0).to_pylist(), found.column(1).to_pylist()
-    if not items:
-        return []
-    vocabulary = np.unique(_hash_words([w for ws in words for w in ws]))
+    out = IndexFiles(fresh_path(docs.sparkSession, "latent"))
+    rows = materialize(passages.withColumn("words", cut("text")).select("item", "words"), "passages").filter("size(words) > 0")
+    vocabulary = benchmark_vocabulary(rows)
+    if not len(vocabulary):
+        return out
     seen, total = document_frequency(docs, vocabulary, text_col)
     idf = np.log((total + 1) / (seen + 1)) + 0.1
+    mean = float(idf.astype(np.float32).mean())
     starts = lambda n: range(0, n - window // 2, window) if n > window else (0,)
-    segments = [(k, ws[s : s + window]) for k, ws in enumerate(words) for s in starts(len(ws))]
-    out = []
-    for lo in range(0, len(segments), block):
-        owner, parts = zip(*segments[lo : lo + block])
+    held: list[tuple[int, list]] = []
+    known: dict[int, tuple] = {}
+
+    def close(some: list[tuple[int, list]]) -> None:
+        owner, parts = zip(*some)
         own = np.unique(_hash_words([w for ws in parts for w in ws]))
         weights = idf[np.searchsorted(vocabulary, own)]
         frame = docs.sparkSession.createDataFrame(pa.table({"words": pa.array(parts, pa.list_(pa.binary()))}))
@@ -211,7 +276,16 @@ def build_indexes(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
             at, tf = np.unique(np.searchsorted(own, _hash_words(ws)), return_counts=True)
             lengths[k] = np.linalg.norm(tf * weights[at])
             most[at] = np.maximum(most[at], tf * (weights[at] / lengths[k]) ** 2)
-        out.append(LatentIndex(items, words, own, weights.astype(np.float32), float(idf.astype(np.float32).mean()), np.ascontiguousarray(basis[:, :n]), np.ascontiguousarray(v[:, :n]), np.array(owner), lengths, most))
+        out.add(LatentIndex({k: known[k] for k in set(owner)}, own, weights.astype(np.float32), mean, np.ascontiguousarray(basis[:, :n]), np.ascontiguousarray(v[:, :n]), np.array(owner), lengths, most))
+
+    for k, row in enumerate(rows.orderBy("item").toLocalIterator()):
+        known = {i: known[i] for i, _ in held} | {k: (row["item"], [bytes(w) for w in row["words"]])}
+        held += [(k, known[k][1][s : s + window]) for s in starts(len(known[k][1]))]
+        while len(held) >= block:
+            close(held[:block])
+            held = held[block:]
+    if held:
+        close(held)
     return out
 
 
@@ -236,10 +310,21 @@ def near(index: LatentIndex, h: np.ndarray, begins: np.ndarray, owner: np.ndarra
         cos = dot / norm[mine][:, None]
         near_w, near_s = np.nonzero((cos >= least) | (dot >= part * index.lengths - np.sqrt(own[mine])[:, None] * index.lost - 1e-4))
         if len(near_w):
-            yield i, mine[near_w], near_s, cos[near_w, near_s]
+            hit = np.unique(near_w)
+            true = np.ones(len(mine))
+            true[hit] = [_norm(h[firsts[w] : ends[w]], known[wide[0][w] : wide[1][w]], places[wide[0][w] : wide[1][w]] - firsts[w], index) for w in mine[hit].tolist()]
+            yield i, mine[near_w], near_s, dot[near_w, near_s] / true[near_w]
+
+
+def _norm(hashes: np.ndarray, known: np.ndarray, places: np.ndarray, index: LatentIndex) -> float:
+    """The norm of a window's TF-IDF row: counts of its distinct words, those outside the vocabulary at its mean weight."""
+    at, tf = np.unique(known, return_counts=True)
+    other = np.delete(hashes, places)
+    _, more = np.unique(other, return_counts=True)
+    return float(np.sqrt(((tf * index.idf[at].astype(np.float64)) ** 2).sum() + (more.astype(np.float64) ** 2).sum() * index.mean**2)) or 1.0
 
 
-def search(indexes: list[LatentIndex], texts: list, window: int, cosine: float, loose: float, strict: float, answer: int):
+def search(indexes, texts: list, window: int, cosine: float, loose: float, strict: float, answer: int):
     """For each text its matches: (item, cosine, common share, answer found, first word)."""
     stride = window // 2
     for lo, hi in slices([len(t or b"") for t in texts], 1 << 20):
@@ -253,9 +338,11 @@ def search(indexes: list[LatentIndex], texts: list, window: int, cosine: float,
         firsts = begins[:-1][owner] + turn * stride
         ends = np.minimum(firsts + window, begins[1:][owner])
         pairs: dict[int, list] = {}
+        passages: dict[int, tuple] = {}
         for index in indexes:
             for i, windows, near_s, cos in near(index, h, begins, owner, firsts, ends, cosine, loose / 2):
                 pairs.setdefault(i, []).append((index.owner[near_s], firsts[windows] - begins[i], cos))
+                passages.update({k: index.passages[k] for k in set(index.owner[near_s].tolist())})
         for i, text in enumerate(clean):
             if i not in pairs:
                 yield []
@@ -265,9 +352,9 @@ def search(indexes: list[LatentIndex], texts: list, window: int, cosine: float,
             best: dict = {}
             for k in np.unique(near_k).tolist():
                 of = near_k == k
-                item = indexes[0].words[k]
+                name, item = passages[k]
                 marks = sorted({int(f) for f in near_first[of]})
-                top = min(1.0, float(near_cos[of].max()))
+                top = float(near_cos[of].max())
                 regions: list[list[int]] = []
                 for f in marks:
                     a0, b0 = max(0, f - len(item)), min(len(words), f + window + len(item))
@@ -284,7 +371,7 @@ def search(indexes: list[LatentIndex], texts: list, window: int, cosine: float,
                     tail = item[-answer:]
                     told = common_subsequence(tail, words[a0:b0]) >= max(1, len(tail) - 1)
                     if (share >= strict or (share >= loose and told)) and (k not in best or best[k][2] < share):
-                        best[k] = (indexes[0].items[k], top, share, told, a0 + off)
+                        best[k] = (name, top, share, told, a0 + off)
             yield [best[k] for k in sorted(best)]
 
 
@@ -296,16 +383,19 @@ MATCH = "array<struct<item_id:bigint,cosine:double,common_share:double,answer_fo
 
 
 def with_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", column: str = "matches", window: int = 48, cosine: float = 0.25, loose: float = 0.6, strict: float = 0.75, answer: int = 4, rank: int = 128) -> DataFrame:
-    """The rows with an array of their matches with benchmark passages (empty for clean documents)."""
-    indexes = build_indexes(docs, benchmark, text_col, rank=rank, window=window)
+    """The rows with an array of their matches with benchmark passages (empty for clean documents).
+
+    A column of ``docs`` that has the result's name is replaced.
+    """
+    files = build_indexes(docs, benchmark, text_col, rank=rank, window=window)
     kind = pa.list_(pa.struct([("item_id", pa.int64()), ("cosine", pa.float64()), ("common_share", pa.float64()), ("answer_found", pa.bool_()), ("first_word", pa.int64())]))
     names = ("item_id", "cosine", "common_share", "answer_found", "first_word")
 
     @F.arrow_udf(MATCH)
-    @lean()
+    @lean("latent")
     def find(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for array in texts:
-            found = _matches(indexes, array.cast(pa.binary()).to_pylist(), window, cosine, loose, strict, answer)
+            found = _matches(files, array.cast(pa.binary()).to_pylist(), window, cosine, loose, strict, answer)
             yield pa.array([[dict(zip(names, m)) for m in some] for some in found], kind)
 
     return in_batches(docs).withColumn(column, find(F.col(text_col).cast("string")))
