@@ -3,14 +3,15 @@
 A tree builder (implied end tags, implied table parts, void and raw-text elements, unknown end tags
 ignored; an open head ends at the first tag or text that may not stand in it) is followed by a renderer: everything visible in document order, one line a block, a blank
 line around paragraphs, headings, lists, tables, quotes and preformatted text, ``- `` or numbers before list
-items by depth, table cells padded to their columns; what stands in a table beside its cells is kept, before
+items by depth, table cells padded to their columns (a cell over several rows keeps its columns free below); what stands in a table beside its cells is kept, before
 the row it stands in. Buttons and other fields show their value, images and image buttons their alternative text. Hidden are the head, scripts, styles, templates, comments,
-elements with ``hidden``, ``display:none`` or ``visibility:hidden`` in their style, hidden inputs and those that show no text of their own
+elements with ``hidden``, ``display:none`` or ``visibility:hidden`` in their style or by a style sheet's rule for
+their tag, class or id (of the page's own style elements, for all media or screens), hidden inputs and those that show no text of their own
 (passwords, checkboxes, radio buttons, files, colours, ranges), what SVG only defines or names, annotations of formulas, and the content of
-closed details but for the summary.
+closed details but for the summary. What is visible again inside a ``visibility:hidden`` element is shown.
 
 Odd input: null or empty html gives empty text; broken markup never fails (an unfinished tag is text, elements
-deeper than ``DEPTH`` become siblings); other columns pass through.
+deeper than ``DEPTH`` stand beside the element at that depth, hidden where what they are written in is); other columns pass through.
 """
 
 from __future__ import annotations
@@ -52,15 +53,17 @@ IMPLIED = {
 }
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _ATTR = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
-_UNSEEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)", re.I)
+_STYLE = re.compile(r"(?:^|[;{\s])(display|visibility)\s*:\s*([a-z-]+)", re.I)
+_RULE = re.compile(r"([^{}]+)\{([^{}]*)\}")
+_SIMPLE = re.compile(r"([a-zA-Z][\w-]*|\*)?([.#][\w-]+)?")
 _SPACE = re.compile(r"[ \t\n\r\f​]+")
 
 
 class Node:
-    __slots__ = ("tag", "attrs", "children")
+    __slots__ = ("tag", "attrs", "children", "over")
 
-    def __init__(self, tag: str, attrs: dict | None = None):
-        self.tag, self.attrs, self.children = tag, attrs or {}, []
+    def __init__(self, tag: str, attrs: dict | None = None, over: Node | None = None):
+        self.tag, self.attrs, self.children, self.over = tag, attrs or {}, [], over
 
 
 def build(html: str) -> Node:
@@ -120,8 +123,9 @@ def build(html: str) -> Node:
             row = Node("tr")
             stack[-1].children.append(row)
             stack.append(row)
-        node = Node(tag, attrs)
-        stack[-1].children.append(node)
+        deep = len(stack) >= DEPTH
+        node = Node(tag, attrs, stack[-1] if deep else None)
+        (stack[DEPTH - 1] if deep else stack[-1]).children.append(node)
         if tag in VOID:
             continue
         if tag in RAW:
@@ -129,19 +133,70 @@ def build(html: str) -> Node:
             inside = html[at : stop.start() if stop else end]
             if tag in ("textarea", "title"):
                 node.children.append(unescape(inside))
+            elif tag == "style":
+                node.children.append(inside)
             at = stop.end() if stop else end
             continue
-        if len(stack) < DEPTH:
-            stack.append(node)
+        stack.append(node)
     return root
 
 
-def visible(node: Node) -> bool:
-    if node.tag in HIDDEN or "hidden" in node.attrs:
-        return False
-    if node.tag == "input" and node.attrs.get("type", "").strip().lower() == "hidden":
-        return False
-    return not _UNSEEN.search(node.attrs.get("style", "")) if "style" in node.attrs else True
+def sheet(root: Node) -> dict[str, list]:
+    """Rules of the page's style elements that show or hide: last part of a selector -> (weight, order, tag, settings)."""
+    rules: dict[str, list] = {}
+    order, todo = 0, [root]
+    while todo:
+        node = todo.pop()
+        if node.tag == "style" and node.children and re.search(r"all|screen", node.attrs.get("media", "all") or "all", re.I):
+            css = re.sub(r"/\*.*?\*/", " ", node.children[0], flags=re.S)
+            css = re.sub(r"@[^{};]*(?:;|\{(?:[^{}]*\{[^{}]*\})*[^{}]*\})", " ", css)
+            for selectors, body in _RULE.findall(css):
+                settings = {k.lower(): v.lower() for k, v in _STYLE.findall(body)}
+                for selector in selectors.split(",") if settings else ():
+                    m = _SIMPLE.fullmatch(selector.strip())
+                    if m and (m[1] or m[2]):
+                        order += 1
+                        tag = (m[1] or "*").lower()
+                        weight = (m[2] or "").startswith("#") * 100 + (m[2] or "").startswith(".") * 10 + (tag != "*")
+                        rules.setdefault(m[2] or tag, []).append((weight, order, tag, settings))
+        elif node.tag not in ("template", "noscript"):
+            todo += [c for c in reversed(node.children) if isinstance(c, Node)]
+    return rules
+
+
+def settings(node: Node, rules: dict[str, list]) -> dict[str, str]:
+    """What rules and the element's own style say of its display and visibility."""
+    out = {"display": "none"} if "hidden" in node.attrs else {}
+    if rules:
+        keys = [node.tag, "*", *("." + c for c in node.attrs.get("class", "").split()), "#" + node.attrs.get("id", "")]
+        for _, _, tag, found in sorted((r for k in keys for r in rules.get(k, ())), key=lambda r: r[:2]):
+            if tag in ("*", node.tag):
+                out.update(found)
+    if "style" in node.attrs:
+        out.update((k.lower(), v.lower()) for k, v in _STYLE.findall(node.attrs["style"]))
+    return out
+
+
+def settle(root: Node) -> Node:
+    """The tree without what is not seen: elements that are not displayed go, invisible ones lose all but visible parts."""
+    rules, gone = sheet(root), set()
+
+    def kept(node: Node, unseen: bool) -> bool:
+        if node.tag in HIDDEN or (node.over is not None and id(node.over) in gone):
+            gone.add(id(node))
+            return False
+        if node.attrs or rules:
+            told = settings(node, rules)
+            if told.get("display") == "none" or node.tag == "input" and node.attrs.get("type", "").strip().lower() == "hidden":
+                gone.add(id(node))
+                return False
+            unseen = told["visibility"] in ("hidden", "collapse") if told.get("visibility", "inherit") != "inherit" else unseen
+        if node.children:
+            node.children = [c for c in node.children if (not unseen if isinstance(c, str) else kept(c, unseen))]
+        return bool(node.children) or not unseen
+
+    root.children = [c for c in root.children if isinstance(c, str) or kept(c, False)]
+    return root
 
 
 def shown(node: Node) -> str:
@@ -190,8 +245,6 @@ def render(node, page: Page) -> None:
     if isinstance(node, str):
         page.inline(node)
         return
-    if not visible(node):
-        return
     tag = node.tag
     if tag == "br":
         line = page.line
@@ -257,9 +310,9 @@ def strings(node: Node):
             yield child
         elif child.tag == "br":
             yield "\n"
-        elif child.tag == "input" and visible(child):
+        elif child.tag == "input":
             yield f" {shown(child)} "
-        elif visible(child):
+        else:
             yield from strings(child)
 
 
@@ -269,8 +322,6 @@ def items(node: Node, page: Page) -> None:
     nested = bool(page.indent)
     for child in node.children:
         if isinstance(child, Node) and child.tag == "li":
-            if not visible(child):
-                continue
             page.flush()
             mark = f"{number}. " if node.tag == "ol" else "- "
             number += 1
@@ -298,10 +349,10 @@ def holds(node: Node, *tags: str) -> bool:
 
 
 def cells(node: Node):
-    """Rows of a table, lists of (lines, span); what stands in a row or group beside them comes before its row, as a node."""
+    """Rows of a table, lists of (lines, columns, rows); what stands in a row or group beside them comes before its row, as a node."""
     for child in node.children:
-        if not isinstance(child, Node) or not visible(child):
-            if isinstance(child, str) and child.strip() and node.tag != "table":
+        if not isinstance(child, Node):
+            if child.strip() and node.tag != "table":
                 yield child
         elif child.tag == "tr":
             row = []
@@ -320,13 +371,11 @@ def beside(node: Node, row: list):
         if not isinstance(cell, Node):
             if cell.strip():
                 yield cell
-        elif not visible(cell):
-            continue
         elif cell.tag in ("td", "th"):
             inner = Page()
             children(cell, inner)
-            span = cell.attrs.get("colspan", "1")
-            row.append((inner.text().split("\n"), min(1000, int(span)) if span.isdigit() and int(span) else 1))
+            wide, down = (cell.attrs.get(k, "1").strip() for k in ("colspan", "rowspan"))
+            row.append((inner.text().split("\n"), min(1000, int(wide)) if wide.isdecimal() and int(wide) else 1, min(65534, int(down)) or 65534 if down.isdecimal() else 1))
         elif holds(cell, "td", "th"):
             yield from beside(cell, row)
         else:
@@ -349,7 +398,7 @@ def within(node: Node):
 
 def table(node: Node, page: Page) -> None:
     for child in node.children:
-        if isinstance(child, Node) and child.tag == "caption" and visible(child):
+        if isinstance(child, Node) and child.tag == "caption":
             render(child, page)
     parts = list(cells(node))
     rows = [r for r in parts if isinstance(r, list)]
@@ -359,23 +408,34 @@ def table(node: Node, page: Page) -> None:
             render(child, page)
         return
     widths: dict[int, int] = {}
+    taken: dict[int, int] = {}
+    placed: list[list] = []
     for row in rows:
-        column = 0
-        for lines, span in row:
+        column, spots = 0, []
+        for lines, span, down in row:
+            while taken.get(column):
+                column += 1
+            spots.append((column, lines, span))
             if span == 1:
                 widths[column] = max(widths.get(column, 0), *(len(x) for x in lines))
+            for c in range(column, column + span):
+                taken[c] = max(taken.get(c, 0), down)
             column += span
+        taken = {c: n - 1 for c, n in taken.items() if n > 1}
+        placed.append(spots)
+    upto = iter(placed)
     for row in parts:
         if not isinstance(row, list):
             render(row, page)
             continue
         page.flush()
-        for k in range(max(len(lines) for lines, _ in row)):
-            out, column = "", 0
-            for lines, span in row:
-                width = sum(widths.get(c, 0) for c in range(column, column + span)) + 2 * (span - 1)
-                out += (lines[k] if k < len(lines) else "").ljust(width) + "  "
-                column += span
+        spots = next(upto)
+        for k in range(max((len(lines) for _, lines, _ in spots), default=0)):
+            out, at = "", 0
+            for column, lines, span in spots:
+                out += "".join(" " * (widths.get(c, 0) + 2) for c in range(at, column))
+                out += (lines[k] if k < len(lines) else "").ljust(sum(widths.get(c, 0) for c in range(column, column + span)) + 2 * (span - 1)) + "  "
+                at = column + span
             if out.strip():
                 page.put(out.rstrip())
     page.flush()
@@ -386,12 +446,12 @@ def table(node: Node, page: Page) -> None:
 
 def html_text(html: str | None) -> str:
     page = Page()
-    children(build(html or ""), page)
+    children(settle(build(html or "")), page)
     return page.text()
 
 
 def extract(pages: DataFrame, html_col: str = "html", column: str = "text") -> DataFrame:
-    """The rows with the visible text of their html."""
+    """The rows with the visible text of their html; a column that has the result's name is replaced."""
 
     @F.arrow_udf("string")
     @lean()
