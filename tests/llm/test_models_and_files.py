@@ -130,3 +130,126 @@ def test_rendering_odd(spark):
     assert rows[400] == "" and rows[401] == "" and rows[402] == "deep" and rows[404] == "a" * 300_000
     assert all("<script>" not in t for i, t in rows.items() if i < 400)
     assert html_text.extract(frame.limit(0)).count() == 0
+
+
+def test_rendering_over_rows_and_sheets():
+    h = html_text.html_text
+    assert h("<table><tr><td rowspan=2>a<td>b<tr><td>c</table>") == "a  b\n   c"
+    assert h("<table><tr><td colspan=2>wide<td rowspan=0>r<tr><td>1<td>22<tr><td>333<td>4</table>") == "wide     r\n1    22\n333  4"
+    assert h('<div style="visibility:hidden">x<span style="visibility:visible">y</span></div>z') == "y\nz"
+    assert h('<style>.a{display:none} p.b, #c {visibility:hidden}</style><p class=a>1<p class="b">2<p id=c>3<p>4<div class="x a">5</div>') == "4"
+    assert h("<style>@media print{.z{display:none}} .q{display:none}</style><i class=z>k</i><i class=q>l</i>") == "k"
+    deep = "<div>" * 400 + "<p hidden>no<b>no</b></p>yes" + "</div>" * 400
+    assert h(deep + "<p>end").split() == ["yes", "end"]
+    assert h("<ul><li>a<li hidden>b<li style='visibility:hidden'>c<li>d</ul>") == "- a\n- d"
+
+
+def plain(node):
+    """A second renderer for trees of div, p, b and ul/li: (tag, children) or text, by recursion on lists of lines."""
+    lines, last = [], None
+
+    def put(line, gap):
+        nonlocal last
+        if lines and (gap or last):
+            lines.append("")
+        lines.append(line)
+        last = False
+
+    gap = False
+    held = ""
+
+    def end():
+        nonlocal held, gap
+        text = " ".join(held.split())
+        held = ""
+        if text:
+            put(text, gap)
+            gap = False
+
+    def walk(n):
+        nonlocal held, gap
+        if isinstance(n, str):
+            held += n
+            return
+        tag, kids = n
+        if tag != "b":
+            end()
+            gap = gap or tag == "p"
+        for k in kids:
+            walk(k)
+        if tag != "b":
+            end()
+            gap = gap or tag == "p"
+
+    walk(node)
+    end()
+    return "\n".join(lines)
+
+
+def test_rendering_against_a_second_renderer():
+    rng = random.Random(21)
+
+    def tree(depth, tags):
+        tag = rng.choice(tags)
+        kids = [tree(depth - 1, ("b",) if tag in ("p", "b") else ("div", "p", "b")) if depth and rng.random() < 0.5 else rng.choice(("word ", " two words", "x", "  spaced  out ")) for _ in range(rng.randrange(1, 4))]
+        return tag, kids
+
+    def markup(n):
+        return n if isinstance(n, str) else f"<{n[0]}>{''.join(map(markup, n[1]))}</{n[0]}>"
+
+    for _ in range(300):
+        t = tree(4, ("div",))
+        assert html_text.html_text(markup(t)) == plain(t)
+
+
+def test_scores_against_one_text_at_a_time(spark):
+    """Batched scoring equals a plain sum over one text's features."""
+    texts = [r[0] for r in spark.read.parquet(f"{SF}/documents.parquet").filter("text is not null").orderBy("doc_id").limit(60).select("text").collect()] + ["", "a", "one two", "word " * 30]
+    raw = [t.encode() for t in texts]
+    model = quality.SubwordModel.fit(raw, np.arange(len(raw)) % 2, 0.5, epochs=1)
+    alone = []
+    for t in raw:
+        _, _, words, pairs, _, grams, _ = next(quality.features([t]))
+        slots = np.concatenate((words, quality.AT_GRAMS + grams[grams > 0], quality.AT_PAIRS + pairs[pairs > 0])).astype(int)
+        z = (model.table[slots].sum(axis=0, dtype=np.float64) / len(slots) if len(slots) else np.zeros(2)) + model.offset
+        alone.append(np.exp(z[1]) / np.exp(z).sum())
+    assert np.allclose(model.score(raw), alone, atol=1e-5)
+    codes = language_id.OutputCodes.fit(texts, [("a", "b", "c")[i % 3] for i in range(len(texts))])
+    pred, score, _ = codes.predict(texts)
+    for i, t in enumerate(texts):
+        one, p, _ = codes.predict([t])
+        assert one[0] == pred[i] and abs(p[0] - score[i]) < 1e-9
+        if one[0] != "und":
+            slots = [x for x in language_id.trigram_slots(language_id.letters(t) + b"    ", language_id.BUCKETS) if x]
+            z = codes.weights[slots].sum(axis=0, dtype=np.float64) / max(1, len(slots)) * codes.scale + codes.offset
+            loss = [(np.log1p(np.exp(-z * c)) * codes.trust).sum() for c in codes.code]
+            assert codes.langs[int(np.argmin(loss))] == one[0]
+
+
+def test_every_language_is_learned(spark):
+    rows = [(1000 * k + i, f"{chr(97 + k % 26)}{chr(97 + k // 26)} " * 8, f"l{k:03d}") for k in range(230) for i in range(6)]
+    model = language_id.fit_languages(spark.createDataFrame(rows, "doc_id long, text string, lang string"), train_rows=500)
+    assert len(model.langs) == 230
+
+
+def test_search_with_repeated_ids_and_few_rows(spark):
+    rng = random.Random(4)
+    kind = "vec_id long, code array<long>"
+    codes = [(i // 2, [rng.getrandbits(63)]) for i in range(40)]
+    rows = spark.createDataFrame(codes, kind)
+    got = {(r["vec_id"], r["rank"]): (r["neighbor_id"], r["distance"]) for r in hamming_search.nearest(rows.dropDuplicates(["vec_id"]), rows.dropDuplicates(["vec_id"]).filter("vec_id < 3"), 30, 1).collect()}
+    one = {r["vec_id"]: r["code"][0] for r in rows.dropDuplicates(["vec_id"]).collect()}
+    for q in range(3):
+        want = sorted((bin(one[q] ^ c).count("1"), i) for i, c in one.items() if i != q)[:30]
+        assert [got[q, k + 1] for k in range(len(want))] == [(i, d) for d, i in want]
+    doubled = hamming_search.nearest(rows, rows.filter("vec_id = 1"), 5, 1).collect()
+    assert len({(r["neighbor_id"], r["distance"]) for r in doubled}) >= 4 and all(r["neighbor_id"] != 1 for r in doubled)
+
+
+def test_huge_page(spark, tmp_path):
+    big = "<p>" + "long text " * 900_000
+    pages = spark.createDataFrame([(1, "http://a.example/x", big), (2, "http://a.example/y", big), (3, None, None)], "page_id long, url string, html string")
+    index = warc.write_archives(pages, f"file://{tmp_path}/w")
+    told = {r["page_id"]: (r["payload_bytes"], r["record_type"], r["refers_to"], r["payload_digest"]) for r in index.read_all().collect()}
+    digest = hashlib.sha256(big.encode()).hexdigest()
+    assert told[1] == (len(big), "response", None, digest) and told[2] == (len(big), "revisit", 1, digest) and told[3][:3] == (0, "response", None)

@@ -38,4 +38,6 @@ def test_empty_and_odd(spark):
     for docs in (odd, odd.limit(0)):
         for _, stage in corpus_pipeline.STAGES:
             docs = materialize(stage(spark, docs, SF), "stage")
-        assert docs.count() >= 0
+        ids = [r["doc_id"] for r in docs.collect()]
+        # texts without a letter are no language, so they go in the first stage; what is left is packed or was poor
+        assert set(ids) <= {3} and all(c in docs.columns for c in ("doc_id", "piece", "sequence_id", "offset"))

@@ -60,7 +60,7 @@ def brute_components(texts, width=5, num=80, den=100):
 @pytest.mark.parametrize("light", [0, 12])
 def test_join_equals_brute_force(spark, light):
     texts = odd_texts()
-    got = ngram_join.jaccard_join(docs(spark, texts), largest_light=light, cell=4, entry_cost=1e9 if light else 12.0, bitmap_bits=1 << 10).collect()
+    got = ngram_join.jaccard_join(docs(spark, texts), largest_light=light, cell=4, entry_cost=1e9 if light else 12.0).collect()
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == brute_components(texts)
     assert any(r["is_light"] for r in got) == bool(light)
 
@@ -229,7 +229,7 @@ def test_subsequence_against_table():
 
 def test_latent_basis_spans_the_passages(spark):
     items, frame = benchmark(spark, random.Random(8))
-    index = decontaminate.build_indexes(docs(spark, ["n1 q2 q3", None]), frame, rank=64)[0]
+    (index,) = decontaminate.build_indexes(docs(spark, ["n1 q2 q3", None]), frame, rank=64)
     assert np.allclose(index.basis.T @ index.basis, np.eye(index.basis.shape[1]), atol=1e-3)
     lengths = np.linalg.norm(index.segments, axis=1)
     assert (lengths > 0.98).all()
@@ -276,3 +276,137 @@ def test_licenses_wrapped_over_lines_and_without_a_distinctive_word(spark, tmp_p
     assert all(t.label in got[i]["distinctive_labels"].split(",") for i, t in enumerate(licenses.TEMPLATES))
     assert (got[n]["labels"], got[n]["distinctive_labels"]) == ("mit", "") and 0.85 <= got[n]["score"] < 1
     assert got[n + 1]["labels"] == got[n + 2]["labels"] == ""
+
+
+def true_links(texts, width=5, num=80, den=100):
+    sets = []
+    for t in texts:
+        w = [] if t is None else t.encode().lower().split()
+        sets.append({tuple(w[k : k + width]) for k in range(max(1, len(w) - width + 1))} if w else set())
+    out = [0] * len(texts)
+    for a in range(len(texts)):
+        for b in range(len(texts)):
+            common = len(sets[a] & sets[b])
+            out[a] += a != b and bool(sets[a]) and bool(sets[b]) and den * common >= num * (len(sets[a]) + len(sets[b]) - common)
+    return out
+
+
+def test_all_links_are_counted(spark):
+    rng = random.Random(31)
+    base = [f"b{i}" for i in range(70)]
+    near = []
+    for k in range(60):
+        w = list(base)
+        for _ in range(rng.choice((1, 1, 2, 3))):
+            w[rng.randrange(len(w))] = f"y{k}"
+        near.append(" ".join(w))
+    texts = odd_texts() + near + near[:5]
+    got = {r["doc_id"]: r["n_links"] for r in ngram_join.jaccard_join(docs(spark, texts)).collect()}
+    assert [got[i] for i in range(len(texts))] == true_links(texts)
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_block_links(seed):
+    rng = np.random.default_rng(seed)
+    pool = rng.integers(0, 1 << 62, 400).astype(np.int64)
+    sets = [np.unique(rng.choice(pool[:60] if k % 3 else pool, rng.integers(5, 60))) for k in range(150)]
+    link = ngram_join.block_links(sets[:90], sets[90:], 40, 100)
+    want = [[100 * len(set(a.tolist()) & set(b.tolist())) >= 40 * len(set(a.tolist()) | set(b.tolist())) for b in sets[90:]] for a in sets[:90]]
+    assert (link == np.array(want)).all() and link.any()
+    own = ngram_join.block_links(sets, None, 40, 100)
+    assert (own == own.T).all() and not own.diagonal().any()
+    assert (own[:90, 90:] == link).all()
+
+
+def test_repeats_are_counted_in_bounded_memory():
+    rng = np.random.default_rng(3)
+    counts = {}
+    r = ngram_join.Repeats(bits=16, held=64, table=100)
+    told = {}
+    for _ in range(200):
+        tokens = np.unique(rng.zipf(1.6, 40).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        for t in tokens.tolist():
+            counts[t] = counts.get(t, 0) + 1
+        full = r.add(tokens)
+        assert len(r.tokens) <= 100 + 64 and r.size <= 64 + 40
+        if full:
+            for t, c in zip(*(x.tolist() for x in full)):
+                told[t] = told.get(t, 0) + c
+    for t, c in zip(*(x.tolist() for x in r.flush())):
+        told[t] = told.get(t, 0) + c
+    top = sorted(counts, key=counts.get)[-10:]
+    assert all(t in told and told[t] >= counts[t] for t in top)
+
+
+def test_packing_where_partitions_hold_one_kind(spark):
+    """Long documents in half of the partitions, short ones in the others: no looser than one best-fit over all pieces."""
+    rng = random.Random(6)
+    texts = ["word " * rng.randrange(2300, 2900) for _ in range(40)] + ["word " * rng.randrange(300, 1500) for _ in range(120)]
+    rows = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartitionByRange(8, "doc_id")
+    out = packing.pack(rows, packing.vocabulary_path(), node_pieces=32).collect()
+    _, _, fills = packing.best_fit(np.array([r["length"] for r in out], np.int64), 4096)
+    assert len({r["sequence_id"] for r in out}) <= 1.03 * len(fills)
+
+
+def test_packing_hands_up_few_bins(spark):
+    """A node that may hand up only some bins still loses no sequence where fewer nodes than that lie below it."""
+    rng = random.Random(7)
+    rows = spark.createDataFrame([(i, "word " * rng.randrange(50, 3000)) for i in range(200)], "doc_id long, text string")
+    count = lambda carry: packing.pack(rows, packing.vocabulary_path(), node_pieces=8, fan=3, carry=carry).select("sequence_id").distinct().count()
+    assert count(40) == count(1 << 16)
+
+
+def brute_matches(texts, passages, loose=0.6, strict=0.75, answer=4):
+    """Every text against every passage by the acceptance rule alone, over all its stretches."""
+    out = set()
+    for i, t in enumerate(texts):
+        words = decontaminate.split_words((t or "").encode())
+        for k, p in passages:
+            item = decontaminate.split_words(p.encode())
+            if not item or sum(map(set(words).__contains__, item)) < loose * len(item):
+                continue
+            n, _ = decontaminate.best_region(item, words)
+            share = n / len(item)
+            told = decontaminate.common_subsequence(item[-answer:], words) >= max(1, len(item[-answer:]) - 1)
+            if share >= strict or share >= loose and told:
+                out.add((i, k))
+    return out
+
+
+def test_search_against_all_pairs_of_documents_and_passages(spark):
+    """More segments than a block and than the rank: exact copies, paraphrases and clean texts, compared with an all-pairs search."""
+    rng = random.Random(41)
+    words = [f"v{i}" for i in range(900)]
+    passages = [(k, " ".join(rng.choice(words) for _ in range(rng.randrange(14, 60)))) for k in range(340)]
+    texts = []
+    for k in range(0, 340, 4):
+        w = passages[k][1].split()
+        if k % 8:
+            for _ in range(len(w) // 7):
+                w[rng.randrange(len(w))] = f"changed{rng.randrange(99)}"
+        filler = lambda: " ".join(f"f{rng.randrange(4000)}" for _ in range(rng.randrange(5, 90)))
+        texts.append(f"{filler()} {' '.join(w)} {filler()}")
+    texts += [" ".join(f"f{rng.randrange(4000)}" for _ in range(120)) for _ in range(40)] + [None, ""]
+    rows = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    bench = spark.createDataFrame(passages, "item_id long, text string")
+    found = decontaminate.with_matches(rows, bench, rank=64).selectExpr("doc_id", "explode(matches) m").select("doc_id", "m.item_id", "m.cosine").collect()
+    got, want = {(r["doc_id"], r["item_id"]) for r in found}, brute_matches(texts, passages)
+    assert got <= want and len(got) >= 0.97 * len(want)
+    assert {(i, 4 * i) for i in range(0, 85, 2)} <= got
+    assert all(-1e-6 <= r["cosine"] <= 1 + 1e-6 for r in found)
+
+
+def test_bitmaps_bound_the_overlap():
+    rng = np.random.default_rng(5)
+    for _ in range(300):
+        n = int(rng.integers(1, 400))
+        a = np.unique(rng.integers(0, 1 << 62, n).astype(np.uint64))
+        b = np.unique(np.concatenate((a[: int(len(a) * rng.random())], rng.integers(0, 1 << 62, int(rng.integers(0, n + 1))).astype(np.uint64))))
+        if not len(b) or not 0.8 <= len(a) / len(b) <= 1.25:
+            continue
+        x, y = ngram_join.set_bitmap(a), ngram_join.set_bitmap(b)
+        fold = lambda m, other: m[: len(m) // 2] | m[len(m) // 2 :] if len(m) > len(other) else m
+        x, y = fold(x, y), fold(y, x)
+        assert len(x) == len(y)
+        apart = int(np.bitwise_count((x ^ y).view(np.uint64)).sum())
+        assert 2 * len(np.intersect1d(a, b)) <= len(a) + len(b) - apart
