@@ -44,12 +44,13 @@ def learnable(id_col: str = "doc_id"):
 
 
 def trigram_slots(joined: bytes, buckets: int) -> np.ndarray:
-    """A bucket from 1 on for each byte trigram, 0 for those that hold a double space (between texts)."""
+    """A bucket from 1 on for each byte trigram, 0 for those that hold a part of a double space (between texts), so
+    that no text's trigrams depend on its neighbours."""
     b = np.frombuffer(joined, np.uint8).astype(np.uint32)
     code = (b[:-2] << np.uint32(16)) | (b[1:-1] << np.uint32(8)) | b[2:]
     slot = ((code * np.uint32(2654435761)) >> np.uint32(8)) % np.uint32(buckets - 1) + np.uint32(1)
     gap = (b[:-1] == 32) & (b[1:] == 32)
-    slot[gap[:-1] | gap[1:]] = 0
+    slot[gap[:-1] | gap[1:] | np.concatenate(([False], gap))[: len(slot)]] = 0
     return slot.astype(np.int64)
 
 
@@ -91,7 +92,7 @@ class OutputCodes:
     def margins(texts: list[bytes], weights: np.ndarray) -> np.ndarray:
         out = np.zeros((len(texts), weights.shape[1]), np.float64)
         for lo, hi, slots, begins in slot_runs(texts, len(weights)):
-            sums = np.add.reduceat(weights[slots], begins, axis=0)
+            sums = np.add.reduceat(weights[slots], begins, axis=0, dtype=np.float64)
             counts = np.add.reduceat(slots > 0, begins, dtype=np.int64)
             out[lo:hi] = sums / np.maximum(counts, 1)[:, None]
         return out

@@ -98,11 +98,11 @@ class Repeats:
     """Which tokens come again among those of a task, and how often, in bounded memory.
 
     A bitmap marks what has been seen; only tokens that meet their mark are kept, so a token seen once costs a bit.
-    A mark met by chance makes a token that came once count as two, which only steers the order of a set's elements.
+    A mark is two bits; one met by chance makes a token that came once count as two, which only steers the order of a set's elements.
     """
 
-    def __init__(self, bits: int = 26, held: int = 1 << 19, table: int = 1 << 20):
-        self.shift, self.room, self.held_room, self.table_room = U(64 - bits), 1 << (bits - 1), held, table
+    def __init__(self, bits: int = 27, held: int = 1 << 19, table: int = 1 << 20):
+        self.shift, self.room, self.held_room, self.table_room = U(64 - bits), 1 << (bits - 3), held, table
         self.marks = np.zeros(1 << (bits - 3), np.uint8)
         self.marked = self.size = 0
         self.held: list[np.ndarray] = []
@@ -113,9 +113,9 @@ class Repeats:
         if self.marked > self.room:
             self.marks[:] = 0
             self.marked = 0
-        at = mix(tokens) >> self.shift
+        at = np.concatenate((mix(tokens) >> self.shift, mix(tokens ^ U(0x2545F4914F6CDD1D)) >> self.shift))
         word, bit = (at >> U(3)).astype(np.int64), np.uint8(1) << (at & U(7)).astype(np.uint8)
-        known = (self.marks[word] & bit) != 0
+        known = ((self.marks[word] & bit) != 0).reshape(2, -1).all(axis=0)
         np.bitwise_or.at(self.marks, word, bit)
         self.marked += len(tokens)
         again = tokens[known]
@@ -355,13 +355,45 @@ def _overlap_bound(num: int, den: int):
     return required, sizes, places
 
 
+def set_bitmap(tokens: np.ndarray) -> np.ndarray:
+    """A set's bitmap in 64-bit words, a power of two of them and at least four bits an element; its halves laid over
+    each other are the bitmap of half the size."""
+    bits = 1 << max(6, (4 * len(tokens) - 1).bit_length())
+    marks = np.zeros(bits, bool)
+    marks[(mix(tokens ^ U(0xA5A35625E9D1F4B7)) & U(bits - 1)).astype(np.int64)] = True
+    return np.packbits(marks, bitorder="little").view("<i8")
+
+
+def _bitmaps(width: int):
+    schema = pa.schema([("doc_id", pa.int64()), ("ckey", pa.int64()), ("n", pa.int64()), ("marks", pa.list_(pa.int64()))])
+
+    @lean()
+    def run(batches):
+        for batch in by_bytes(batches, 1):
+            found = [(doc, set_key(s), len(s), set_bitmap(s)) for doc, s in zip(batch.column(0).to_pylist(), shingle_sets(column_bytes(batch.column(1)), width)) if s is not None and len(s)]
+            if found:
+                ids, keys, sizes, marks = zip(*found)
+                offsets = np.concatenate(([0], np.cumsum([len(m) for m in marks]))).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(keys, pa.int64()), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(marks)))], schema=schema)
+
+    return run
+
+
 def _checked(texts: DataFrame, pairs: DataFrame, width: int, num: int, den: int) -> DataFrame:
-    """Those of the candidate pairs (a, a_doc, b, b_doc) whose sets overlap enough, as (u, v)."""
-    ids = pairs.select(F.explode(F.array("a_doc", "b_doc")).alias("doc_id"))
-    sets = _near(texts, ids).mapInArrow(_set_rows(width), "doc_id long, ckey long, tokens array<long>")
-    one = sets.select(F.col("doc_id").alias("a_doc"), F.col("ckey").alias("a"), F.col("tokens").alias("a_set"))
-    two = sets.select(F.col("doc_id").alias("b_doc"), F.col("ckey").alias("b"), F.col("tokens").alias("b_set"))
-    both = pairs.join(one, ["a", "a_doc"]).join(two, ["b", "b_doc"])
+    """Those of the candidate pairs (a, a_doc, b, b_doc) whose sets overlap enough, as (u, v).
+
+    First bitmaps of a sixteenth of the sets' size meet: where two differ in a bit, an element lies in one set only, so
+    they bound the overlap from above. Sets move only for the pairs that the bound leaves.
+    """
+    marks = _near(texts, pairs.select(F.explode(F.array("a_doc", "b_doc")).alias("doc_id"))).mapInArrow(_bitmaps(width), "doc_id long, ckey long, n long, marks array<long>")
+    side = lambda p: marks.select(F.col("doc_id").alias(f"{p}_doc"), F.col("ckey").alias(p), F.col("n").alias(f"{p}_n"), F.col("marks").alias(f"{p}_marks"))
+    # sizes differ by a quarter at most, so bitmaps by a factor of two at most
+    folded = lambda mine, other: F.expr(f"if(size({mine}) > size({other}), zip_with(slice({mine}, 1, size({mine}) div 2), slice({mine}, size({mine}) div 2 + 1, size({mine}) div 2), (p, q) -> p | q), {mine})")
+    met = pairs.join(side("a"), ["a", "a_doc"]).join(side("b"), ["b", "b_doc"]).withColumns({"x": folded("a_marks", "b_marks"), "y": folded("b_marks", "a_marks")})
+    apart = F.expr("aggregate(zip_with(x, y, (p, q) -> bit_count(p ^ q)), 0, (s, v) -> s + v)")
+    left = materialize(met.filter((num + den) * (F.col("a_n") + F.col("b_n") - apart) >= 2 * num * (F.col("a_n") + F.col("b_n"))).select("a", "a_doc", "b", "b_doc").distinct(), "pairs")
+    sets = lambda p: _near(texts, left.select(F.col(f"{p}_doc").alias("doc_id"))).mapInArrow(_set_rows(width), "doc_id long, ckey long, tokens array<long>").select(F.col("doc_id").alias(f"{p}_doc"), F.col("ckey").alias(p), F.col("tokens").alias(f"{p}_set"))
+    both = left.join(sets("a"), ["a", "a_doc"]).join(sets("b"), ["b", "b_doc"])
     shared = F.size(F.array_intersect("a_set", "b_set"))
     return both.filter(den * shared >= num * (F.size("a_set") + F.size("b_set") - shared)).select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
 

@@ -95,8 +95,8 @@ class SubwordModel:
             sums, counts = np.zeros((hi - lo, 2)), np.diff(starts).astype(np.int64)
             full = np.flatnonzero(counts)
             if len(full):
-                sums[full] += np.add.reduceat(self.table[words] + self.table[AT_PAIRS + pairs], starts[:-1][full], axis=0)
-            sums += np.add.reduceat(self.table[AT_GRAMS + grams], begins[:-1], axis=0)
+                sums[full] += np.add.reduceat(self.table[words] + self.table[AT_PAIRS + pairs], starts[:-1][full], axis=0, dtype=np.float64)
+            sums += np.add.reduceat(self.table[AT_GRAMS + grams], begins[:-1], axis=0, dtype=np.float64)
             counts = counts + np.maximum(counts - 1, 0) + np.add.reduceat(grams > 0, begins[:-1], dtype=np.int64)
             out[lo:hi] = sums / np.maximum(counts, 1)[:, None]
         z = out + self.offset
