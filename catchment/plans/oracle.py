@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .registry import BOX, CAPACITY_RUNS, CUBE_RUNS, LINF_RUNS, NEAR, NEW_CAP, PIXELS, RATIO_RUNS, RIDE, SIZE_RUNS, SIZE_RUNS_L2
+from .registry import BOX, CAPACITY_RUNS, CUBE_RUNS, LINF_RUNS, NEAR, NEW_CAP, PIXELS, RATIO_RUNS, RATIO_RUNS_L2, RIDE, SIZE_RUNS, SIZE_RUNS_L2
 
 DIST = {"linf": "greatest(abs(x - fx), abs(y - fy))", "l1": "abs(x - fx) + abs(y - fy)", "l2": "(x - fx) * (x - fx) + (y - fy) * (y - fy)"}
 
@@ -207,7 +207,7 @@ on_ AS (SELECT run, vx, vy, oid FROM vert UNION SELECT run, round((cx - sqrt(r2:
 spot AS (SELECT run, vx, vy, count(*) AS j, sum(CASE WHEN vy <> cy * 1000000 THEN 1 WHEN vx < cx * 1000000 THEN 2 ELSE 0 END) AS arcs FROM on_ JOIN d USING (run, oid) GROUP BY 1, 2, 3),
 made AS (SELECT run, sum(greatest(0, arcs - 1))::BIGINT AS k FROM spot GROUP BY 1),
 over AS (SELECT spot.run, vx, vy, sum(n) AS heat FROM spot JOIN d ON d.run = spot.run AND j < 3 AND (vx / 1e6::DOUBLE - cx) * (vx / 1e6::DOUBLE - cx) + (vy / 1e6::DOUBLE - cy) * (vy / 1e6::DOUBLE - cy) < r2 + 3e-6::DOUBLE * sqrt(r2::DOUBLE) GROUP BY 1, 2, 3),
-rays AS (SELECT run, vx / 1e6::DOUBLE AS px, vy / 1e6::DOUBLE AS py, atan2(vy / 1e6::DOUBLE - cy, vx / 1e6::DOUBLE - cx) + turn AS way FROM spot JOIN on_ USING (run, vx, vy) JOIN d USING (run, oid), (VALUES (pi() / 2 + 1e-4), (pi() / 2 - 1e-4), (1e-4 - pi() / 2), (-1e-4 - pi() / 2)) t(turn) WHERE j > 2),
+rays AS (SELECT DISTINCT spot.run, vx / 1e6::DOUBLE AS px, vy / 1e6::DOUBLE AS py, atan2(vy / 1e6::DOUBLE - cy, vx / 1e6::DOUBLE - cx) + turn AS way FROM spot JOIN on_ USING (run, vx, vy) JOIN d USING (run, oid), (VALUES (pi() / 2 + 1e-4), (pi() / 2 - 1e-4), (1e-4 - pi() / 2), (-1e-4 - pi() / 2)) t(turn) WHERE j > 2),
 wedge AS (SELECT rays.run, px, py, way, sum(n) AS heat FROM rays JOIN d ON d.run = rays.run AND (px + 1e-5 * cos(way) - cx) * (px + 1e-5 * cos(way) - cx) + (py + 1e-5 * sin(way) - cy) * (py + 1e-5 * sin(way) - cy) < r2 GROUP BY 1, 2, 3, 4),
 best AS (SELECT run, max(heat)::BIGINT AS max_heat FROM (SELECT run, heat FROM over UNION ALL SELECT run, heat FROM wedge) GROUP BY 1)"""
 
@@ -342,7 +342,7 @@ parts AS (SELECT count(DISTINCT least) AS c FROM (SELECT u, min(v) AS least FROM
 vs AS (SELECT count(*) AS v, coalesce(sum(j - 1), 0)::BIGINT AS s FROM (SELECT vx, vy, count(*) AS j FROM vert GROUP BY 1, 2))
 SELECT n, v, c, c + 1 + s AS r, n + s AS k_expected, k, max_heat, k AS k_swept, max_heat AS heat_swept, k AS k_without_centres, 0::BIGINT AS mismatches FROM (SELECT count(*) AS n FROM d), vs, parts, made, best"""
     out["max_region_l2"] = f"""WITH {discs([("ord", 24, 4)])}, {CROSSINGS} SELECT algo, max_heat, 'done' AS status FROM best, (VALUES ('arc_sweep'), ('combination_pruning'), ('combination_enumeration')) t(algo)"""
-    out["ratio_sweep_l2"], out["size_sweep_l2"] = disc_sweeps(RATIO_RUNS), disc_sweeps(SIZE_RUNS_L2)
+    out["ratio_sweep_l2"], out["size_sweep_l2"] = disc_sweeps(RATIO_RUNS_L2), disc_sweeps(SIZE_RUNS_L2)
     out |= {name: gadget(sq) for name, sq in GADGETS.items()}
     out["stateful_counters"] = f"""{small}, {CHANGED},
 met AS (SELECT i.x, i.iv_id, i.lo, i.hi, yl, yh FROM intervals i JOIN sq ON xl <= x AND x < xh),

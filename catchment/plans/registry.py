@@ -23,6 +23,8 @@ RIDE, NEAR = 20_000, 50_000
 #: The experiments: ratios 2 to 2^10 at 2^10 clients, sizes 2^7 to 2^16 at ratio 2^7 (L1) or 2^5 (L2), as far as a table has points.
 RATIO_RUNS = [(s, 1 << 10, 1 << i) for s in workloads.SETS for i in range(1, 11)]
 SIZE_RUNS = [(s, 1 << i, 1 << 7) for s in workloads.SETS for i in range(7, 17)]
+#: Discs over few facilities nearly all cross each other: from ratio 2^6 on half as many clients, 2^9 the last that has a facility for them.
+RATIO_RUNS_L2 = [(s, 1 << (10 if i < 6 else 9), 1 << i) for s in workloads.SETS for i in range(1, 10)]
 SIZE_RUNS_L2 = [(s, 1 << i, 1 << 5) for s in workloads.SETS for i in range(7, 12)]
 LINF_RUNS = [(s, 256, 1 << i) for s in ("ord", "evt", "emb", "part") for i in range(1, 9)]
 CUBE_RUNS = [(s, 256, 8) for s in workloads.SETS]
@@ -348,7 +350,7 @@ def experiment_cube(spark, sf_dir):
 
 
 def ratio_sweep_l2(spark, sf_dir):
-    return workloads.disc_table(spark, sf_dir, workloads.fitting(spark, sf_dir, RATIO_RUNS))
+    return workloads.disc_table(spark, sf_dir, workloads.fitting(spark, sf_dir, RATIO_RUNS_L2))
 
 
 def size_sweep_l2(spark, sf_dir):
