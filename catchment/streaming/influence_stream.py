@@ -8,12 +8,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.metrics import distance
-from ..operators.sweep import changed_intervals, changed_pairs
+from ..operators.strips import label_totals
 from ..plans.tables import materialize, shared_dir
 
 
 MARKS = "newest long, late long, batch long"
 SQUARES = "oid long, xl long, xh long, yl long, yh long, tile long, batch long"
+#: Sides of a strip of a window; squares of arrivals are wide, so fewer strips hold each.
+STRIP_EVENTS = 4096
 HEAT = "window_start long, clients long, labels long, max_heat long, batch long"
 
 
@@ -45,10 +47,11 @@ def with_windows(squares: DataFrame, size: str, slide: str | None = None, sessio
 
 
 def windowed_heat(squares: DataFrame) -> DataFrame:
-    """(window_start, clients, labels, max_heat): the changed-interval sweep of every window's squares, windows in parallel."""
+    """(window_start, clients, labels, max_heat): the changed-interval sweep of every window's squares, windows and
+    strips of them in parallel. Labels are counted, not made: they grow with the square of a window's rows."""
     counts = squares.groupBy("tile").agg(F.count("*").alias("clients"))
     real = materialize(squares.filter("xl < xh").groupBy("tile", "xl", "xh", "yl", "yh").agg(F.count("*").alias("n")), "windows")
-    heat = changed_pairs(real, changed_intervals(real)).groupBy("tile").agg(F.count("*").alias("labels"), F.max("n").alias("max_heat"))
+    heat = label_totals(real, STRIP_EVENTS)
     return counts.join(heat, "tile", "left").select(F.col("tile").alias("window_start"), "clients", F.coalesce("labels", F.lit(0)).alias("labels"), F.coalesce("max_heat", F.lit(0)).alias("max_heat"))
 
 

@@ -1,5 +1,7 @@
 """The stream keeps what the batch computes, and drops what comes too late."""
 
+import random
+
 from pyspark.sql import functions as F
 
 from catchment.sources import points
@@ -45,3 +47,28 @@ def test_facility_loads(spark, tmp_path):
     query.awaitTermination()
     placed = stream.arrivals(events, f, with_facility=True).groupBy("nn_fid").count()
     assert {(r["fid"], r["clients"]) for r in spark.table("loads").collect()} == {tuple(r) for r in placed.collect()}
+
+
+def test_windowed_heat_counts_what_the_sweep_labels(spark):
+    """Strips of a few sides, ties, touching and equal squares: the totals are those of the labels themselves."""
+    from catchment.operators import strips, sweep
+
+    rng = random.Random(5)
+    rows = []
+    for i in range(160):
+        x, y, r = rng.randrange(40), rng.randrange(40), rng.randrange(1, 12)
+        rows.append((i, i % 3, x - r, x + r, y - r, y + r, rng.randrange(1, 4)))
+    real = spark.createDataFrame(rows, "oid long, tile long, xl long, xh long, yl long, yh long, n long").dropDuplicates(["tile", "xl", "xh", "yl", "yh"])
+    pairs = sweep.changed_pairs(real, sweep.changed_intervals(real)).groupBy("tile").agg(F.count("*"), F.max("n"))
+    want = {tuple(r) for r in pairs.collect()}
+    assert {tuple(r) for r in strips.label_totals(real, 8).collect()} == want == {tuple(r) for r in strips.label_totals(real).collect()}
+
+
+def test_windowed_heat_makes_no_labels(spark):
+    """A window's labels grow with the square of its rows: 3,000 squares that all meet have millions, its plan has no row for them."""
+    rng = random.Random(6)
+    rows = [(i, 0, -rng.randrange(1, 10**6), rng.randrange(1, 10**6), -rng.randrange(1, 10**6), rng.randrange(1, 10**6)) for i in range(3_000)]
+    found = stream.windowed_heat(spark.createDataFrame(rows, "oid long, tile long, xl long, xh long, yl long, yh long"))
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and "Generate" not in plan
+    assert found.first()["max_heat"] == 3_000 and found.first()["labels"] > 5_000_000
