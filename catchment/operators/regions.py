@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from ..plans.tables import materialize
 from .circles import meeting, stabbed
 from .components import components
-from .sweep import label_all_pairs, label_changed
+from .strips import heat_counts
+from .sweep import label_all_pairs
 
 #: Node of the exterior.
 EXTERIOR = -1
@@ -89,17 +90,39 @@ def euler_region_count(squares: DataFrame) -> DataFrame:
     return out.select("v", "e", "c", F.expr("e - v + c + 1").alias("r"))
 
 
-def cost_measures(squares: DataFrame, strips: int = 1) -> DataFrame:
+def counts_by_heat(squares: DataFrame) -> DataFrame:
+    """(heat, k, k_all, r): labels of both sweeps and regions, the exterior among those of heat 0, by heat; neither labels nor regions are made.
+
+    A region's parts less their links over slab borders are one less its holes. The holes of all regions are the
+    components of touching squares, each in the region that it lies in: the one left of and below its first corner.
+    """
+    swept = heat_counts(squares)
+    known = components(touch_edges(squares))
+    boxes = squares.select("oid", "xl", "xh", "yl", "yh", "n")
+    first = boxes.join(known.withColumnRenamed("node", "oid"), "oid", "left").groupBy(F.coalesce("label", "oid").alias("hole")).agg(F.min(F.struct("xl", "yl")).alias("at"))
+    at = materialize(first.select("hole", F.col("at.xl").alias("x"), F.col("at.yl").alias("y")), "holes")
+    around = stabbed(at, boxes.drop("oid"), "x", "y").filter("xl < x and yl < y").groupBy("hole").agg(F.sum("n").alias("heat"))
+    holes = at.select("hole").join(around, "hole", "left").groupBy(F.coalesce("heat", F.lit(0).cast("long")).alias("heat")).agg(F.count("*").alias("holes"))
+    out = swept.join(holes, "heat", "full").select("heat", *[F.coalesce(c, F.lit(0).cast("long")).alias(c) for c in ("k", "k_all", "chi", "holes")])
+    return materialize(out.select("heat", "k", "k_all", (F.col("chi") + F.col("holes")).alias("r")), "heats")
+
+
+def region_count(squares: DataFrame) -> DataFrame:
+    """r by the sweep, the exterior included."""
+    return counts_by_heat(squares).agg(F.coalesce(F.sum("r"), F.lit(1)).alias("r"))
+
+
+def cost_measures(squares: DataFrame) -> DataFrame:
     """One row: n, m, k_all, k, r, lambda_max, lambda_mean, sum_rnn, initial and merged intervals, events."""
     from .sweep import changed_intervals, initial_intervals
 
-    parts = subregions(squares, strips)
-    regions = region_table(parts)
-    r = regions.agg(F.count("*").alias("r"), F.max("n").alias("lambda_max"), F.sum("n").alias("sum_rnn"), F.avg("n").alias("lambda_mean"))
+    heats = counts_by_heat(squares)
+    regions = heats.filter("r > 0")
+    r = regions.agg(F.sum("r").alias("r"), F.max("heat").alias("lambda_max"), F.sum(F.col("heat") * F.col("r")).alias("sum_rnn")).withColumn("lambda_mean", F.col("sum_rnn") / F.col("r"))
     counts = squares.agg(F.count("*").alias("n"), F.count_distinct("xl").alias("_a"))
     xs = squares.select(F.explode(F.array("xl", "xh")).alias("x")).agg(F.count_distinct("x").alias("events"))
     ys = squares.select(F.explode(F.array("yl", "yh")).alias("y")).agg(F.count_distinct("y").alias("ys"))
-    k_all, k = parts.agg(F.count("*").alias("k_all")), label_changed(squares, ("n",), strips).agg(F.count("*").alias("k"))
+    k_all, k = heats.agg(F.sum("k_all").alias("k_all")), heats.agg(F.sum("k").alias("k"))
     merged = changed_intervals(squares).agg(F.count("*").alias("merged_intervals"))
     initial = initial_intervals(squares).agg(F.count("*").alias("initial_intervals"))
     out = counts.drop("_a")
