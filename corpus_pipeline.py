@@ -1,12 +1,12 @@
 """A corpus pipeline: language, quality, near copies, benchmark leaks, packed sequences.
 
 Every stage but the last returns the columns of ``documents``. Each works on all that the one before it
-kept: models are fitted on that, counts and candidates cover all of it.
+kept: models are fitted on that, counts and candidates cover all of it. Each begins with the executors' heaps as small as they can be.
 """
 
 from __future__ import annotations
 
-from catchment.llm.common import materialize
+from catchment.llm.common import hand_back, materialize
 from catchment.llm.decontaminate import drop_contaminated
 from catchment.llm.language_id import drop_unidentified
 from catchment.llm.ngram_join import keep_one
@@ -16,26 +16,31 @@ from catchment.llm.quality import drop_poor
 
 def language_id(spark, docs, sf_dir):
     """Documents without a language go."""
+    hand_back(spark)
     return drop_unidentified(docs)
 
 
 def quality_classifier(spark, docs, sf_dir):
     """Documents predicted as poor go."""
+    hand_back(spark)
     return drop_poor(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def ngram_jaccard_join(spark, docs, sf_dir):
     """The document with the least id of each near-copy group stays."""
+    hand_back(spark)
     return keep_one(docs)
 
 
 def benchmark_decontamination(spark, docs, sf_dir):
     """Documents that hold a benchmark passage go."""
+    hand_back(spark)
     return drop_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def best_fit_packing(spark, docs, sf_dir):
     """Pieces of the remaining documents and their places in sequences."""
+    hand_back(spark)
     return pack(docs.select("doc_id", "text"), vocabulary_path())
 
 

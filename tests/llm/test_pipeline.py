@@ -1,7 +1,7 @@
 """Every stage keeps columns and takes effect; the stages' decisions equal those of their operators."""
 
 import corpus_pipeline
-from catchment.llm import decontaminate, language_id, ngram_join, quality
+from catchment.llm import common, decontaminate, language_id, ngram_join, quality
 from catchment.llm.common import materialize
 
 SF = "/root/testdata/sf0.001"
@@ -41,3 +41,18 @@ def test_empty_and_odd(spark):
         ids = [r["doc_id"] for r in docs.collect()]
         # texts without a letter are no language, so they go in the first stage; what is left is packed or was poor
         assert set(ids) <= {3} and all(c in docs.columns for c in ("doc_id", "piece", "sequence_id", "offset"))
+
+
+def test_heaps_are_handed_back(spark, monkeypatch):
+    """Every stage begins with a collection in the JVMs that run tasks: their heaps would only grow from stage to stage."""
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans
+    collections = lambda: sum(max(0, b.getCollectionCount()) for b in beans())
+    before = collections()
+    common.hand_back(spark)
+    assert collections() > before
+    calls = []
+    monkeypatch.setattr(corpus_pipeline, "hand_back", calls.append)
+    docs = spark.read.parquet(f"{SF}/documents.parquet").limit(0)
+    for _, stage in corpus_pipeline.STAGES:
+        stage(spark, docs, SF)
+    assert len(calls) == len(corpus_pipeline.STAGES)
