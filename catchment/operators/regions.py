@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..plans.tables import materialize
 from .circles import meeting, stabbed
 from .components import components
-from .strips import heat_counts
+from .strips import EVENTS, face_parts, heat_counts
 from .sweep import label_all_pairs
 
 #: Node of the exterior.
@@ -50,13 +50,18 @@ def region_table(parts: DataFrame) -> DataFrame:
     return inner.unionByName(outer, allowMissingColumns=True)
 
 
-def label_by_faces(squares: DataFrame, strips: int = 1) -> DataFrame:
-    """Exact-arrangement baseline: one interior point of each region (doubled lattice) and its enclosure query."""
-    points = region_table(subregions(squares, strips)).filter("at is not null").select("region_id", (F.col("at.x0") + F.col("at.x1")).alias("qx"), (F.col("at.y0") + F.col("at.y1")).alias("qy"))
-    around = squares.select("n", *[(2 * F.col(c)).alias(c) for c in ("xl", "xh", "yl", "yh")])
-    met = stabbed(points, around, "qx", "qy").filter("xl < qx and qx < xh and yl < qy and qy < yh")
-    heat = met.groupBy("region_id").agg(F.sum("n").alias("n"))
-    return points.join(heat, "region_id", "left").select("region_id", "qx", "qy", F.coalesce("n", F.lit(0)).alias("n"))
+def label_by_faces(squares: DataFrame, events: int = EVENTS) -> DataFrame:
+    """Exact-arrangement baseline: one interior point of each region (doubled lattice) and its enclosure query.
+
+    Regions are put together inside x strips from pairs that stay over slabs, and over the strips' borders by their nodes; the
+    point is the centre of the region's least slab rectangle. A strip holds all squares around its points.
+    """
+    parts = materialize(face_parts(squares, events), "faces")
+    side = lambda kind, node: parts.filter(f"kind = {kind}").select(F.col("x0").alias("x"), F.col("y0").alias("y"), F.col("node").alias(node))
+    known = components(side(1, "u").join(side(2, "v"), ["x", "y"]).select("u", "v"))
+    named = parts.filter("kind = 0").join(known, "node", "left").withColumn("region_id", F.coalesce("label", "node")).filter(F.col("region_id") != EXTERIOR)
+    least = named.groupBy("region_id").agg(F.min(F.struct("x0", "y0", "x1", "y1", "n")).alias("at"))
+    return least.select("region_id", F.expr("at.x0 + at.x1").alias("qx"), F.expr("at.y0 + at.y1").alias("qy"), F.col("at.n").alias("n"))
 
 
 def touch_edges(squares: DataFrame) -> DataFrame:
