@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U, by_bytes, file_system, fresh_path, hashed_texts, in_batches, lean, materialize, slices, word_hashes, worker_store
+from .common import U, by_bytes, file_system, fresh_path, hashed_texts, in_batches, lean, materialize, shrink_driver, slices, word_hashes, worker_store
 
 #: The least share of its squared norm that a segment keeps in its block's basis.
 KEPT = 0.998
@@ -404,7 +404,9 @@ def with_matches(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """The documents that match no benchmark passage."""
     mark = "_benchmark_matches"
-    return with_matches(docs, benchmark, column=mark, **options).filter(F.size(mark) == 0).drop(mark)
+    found = with_matches(docs, benchmark, column=mark, **options)
+    shrink_driver(docs.sparkSession)
+    return found.filter(F.size(mark) == 0).drop(mark)
 
 
 def op1_benchmark_decontamination(spark, sf_dir: str) -> DataFrame:

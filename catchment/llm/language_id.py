@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import in_batches, lean, slices
+from .common import in_batches, lean, shrink_driver, slices
 
 BUCKETS = 1 << 16
 _LETTER = re.compile(r"[^\W\d_]")
@@ -190,6 +190,7 @@ def identify(docs: DataFrame, model: OutputCodes, text_col: str = "text", prefix
 def drop_unidentified(docs: DataFrame, least: float = 0.5, **options) -> DataFrame:
     """The documents with a language: those without a letter go, and those that stay ambiguous at a score below ``least``."""
     told = identify(docs, fit_languages(docs, **options), prefix="_lid_")
+    shrink_driver(docs.sparkSession)
     kept = told.filter("_lid_lang_pred != 'und' and not (_lid_ambiguous and _lid_score < %r)" % least)
     return kept.drop("_lid_lang_pred", "_lid_score", "_lid_ambiguous")
 

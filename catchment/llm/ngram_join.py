@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import U, bitmap_bits, by_bytes, column_bytes, id_slots, in_batches, lean, materialize, mix, release, signed, slices, slot_hit, without_ids, word_hashes
+from .common import U, bitmap_bits, by_bytes, column_bytes, id_slots, in_batches, lean, materialize, mix, release, shrink_driver, signed, slices, slot_hit, without_ids, word_hashes
 
 _ROLL = [U(0x9FB21C651E98DF25), U(0xD6E8FEB86659FD93), U(0xA0761D6478BD642F), U(0xE7037ED1A0B428DB), U(0x8EBC6AF09C88C6E3)]
 
@@ -421,6 +421,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
         tight = wide.join(low2, "u").filter("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         after = materialize(tight.unionByName(low2.select("u", F.col("m").alias("v"))).distinct(), "edges")
         release(now)
+        shrink_driver(edges.sparkSession)
         seen, state, now = state, mark(after), after
         if seen == state:
             break
@@ -443,6 +444,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     tokens, counts = top.column(0).to_numpy().view(np.uint64), np.minimum(top.column(1).to_numpy(), 1 << 30).astype(np.int32)
     order = np.argsort(tokens)
     frequent = (tokens[order], counts[order])
+    del top, tokens, counts, order
     near_light = -(-den * (largest_light + 1) // num)
     histogram = {r[0]: r[1] for r in marks.filter(f"n between 1 and {near_light}").groupBy("n").agg(F.countDistinct("ckey")).collect()}
     light = boundary(histogram, num, den, entry_cost, largest_light)
@@ -453,6 +455,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     rows = rows.withColumn("cnt", F.count("*").over(lists)).filter("cnt > 1")
     rows = rows.withColumn("band", F.when(F.col("kind") > 0, 0).otherwise(F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(den / num)))))
     rows = materialize(rows.withColumn("pivot", F.min(F.struct("odd", "n", "ckey", "doc", "pos")).over(bands)).drop("odd"), "lists")
+    shrink_driver(docs.sparkSession)
 
     required, sizes, places = _overlap_bound(num, den)
     stars = rows.filter("ckey != pivot.ckey").select("kind", F.col("ckey").alias("a"), F.col("n").alias("a_n"), F.col("doc").alias("a_doc"), F.col("pos").alias("a_pos"), F.col("pivot.ckey").alias("b"), F.col("pivot.n").alias("b_n"), F.col("pivot.doc").alias("b_doc"), F.col("pivot.pos").alias("b_pos"))
@@ -460,6 +463,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     first = stars.filter((F.col("kind") == 0) & sizes & places).groupBy("a", "b").agg(F.min("a_doc").alias("a_doc"), F.min("b_doc").alias("b_doc"))
     first = materialize(first, "pairs")
     edges = materialize(direct.unionByName(_checked(texts, first, width, num, den)).distinct(), "links")
+    shrink_driver(docs.sparkSession)
     known = components(edges)
 
     inside = rows.filter("kind = 0 and cnt > 1").join(known.withColumnRenamed("node", "ckey"), "ckey", "left").withColumn("label", F.coalesce("label", "ckey"))
@@ -469,6 +473,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     side = lambda p: inside.select("key", "i", "j", *[F.col(c).alias(f"{p}_{c}") for c in ("ckey", "n", "doc", "pos", "label", "own")], F.col("pivot.ckey").alias(f"{p}_pivot"))
     rest = side("a").join(side("b"), ["key", "i", "j"]).filter("a_ckey < b_ckey and a_label != b_label and a_pivot != b_ckey and b_pivot != a_ckey and (a_own != b_own or i = j)").filter(sizes & places)
     rest = materialize(rest.groupBy(F.col("a_ckey").alias("a"), F.col("b_ckey").alias("b")).agg(F.min("a_doc").alias("a_doc"), F.min("b_doc").alias("b_doc")), "pairs")
+    shrink_driver(docs.sparkSession)
     if rest.limit(1).count():
         more = materialize(_checked(texts, rest, width, num, den), "links")
         edges = edges.unionByName(more)
@@ -477,6 +482,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     classes = marks.filter("ckey is not null and doc_id is not null").groupBy("ckey").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies"), F.min("n").alias("n"))
     classes = materialize(classes.join(known.withColumnRenamed("node", "ckey"), "ckey", "left").withColumn("label", F.coalesce("label", "ckey")), "classes")
+    shrink_driver(docs.sparkSession)
     owners = classes.groupBy("label").agg(F.min("least").alias("component_id"))
     told = classes.join(owners, "label")
     if links:
@@ -493,6 +499,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The documents with the least id of their component, all columns as they were; rows with a null id stay."""
     found = materialize(jaccard_join(docs, id_col=id_col, links=False, **options).filter("doc_id != component_id").select(F.col("doc_id").alias(id_col)).distinct(), "copies")
+    shrink_driver(docs.sparkSession)
     return without_ids(docs, found, column=id_col)
 
 
