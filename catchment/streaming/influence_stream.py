@@ -41,7 +41,12 @@ def with_windows(squares: DataFrame, size: str, slide: str | None = None, sessio
         return squares.withColumn("tile", F.unix_timestamp(F.window("ts", size, slide or size)["start"]))
     # a session may hold any number of rows, so rows look theirs up by the hours that it spans
     second = F.unix_timestamp("ts")
-    spans = squares.groupBy(F.session_window(F.timestamp_seconds(second), size).alias("s")).agg(F.max(second).alias("last")).select(F.unix_timestamp("s.start").alias("tile"), "last")
+    # rows of one tumbling window of the gap's size are of one session, so one row for each window meets the others in the sort of all sessions
+    runs = squares.groupBy(F.window(F.timestamp_seconds(second), size)).agg(F.min(second).alias("begin"), F.max(second).alias("last"))
+    # Spark joins what touches; a pause of the gap's size ends a session, so a run reaches a millisecond less far
+    reach = F.expr(f"(unix_timestamp(timestamp_seconds(last) + interval {size}) - begin) * 1000 - 1")
+    runs = runs.withColumn("gap", F.concat(reach, F.lit(" milliseconds")))
+    spans = runs.groupBy(F.session_window(F.timestamp_seconds("begin"), F.col("gap")).alias("s")).agg(F.max("last").alias("last")).select(F.unix_timestamp("s.start").alias("tile"), "last")
     spans = materialize(spans, "sessions").withColumn("hour", F.explode(F.expr("sequence(tile div 3600, last div 3600)")))
     return squares.withColumn("at", second).withColumn("hour", F.expr("at div 3600")).join(spans, "hour").filter("at between tile and last").drop("at", "hour", "last")
 

@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from catchment.sources import points
@@ -38,6 +39,20 @@ def test_sessions(spark):
     assert len(set(starts.values())) == 3 and starts[1] == starts[2] and starts[3] == starts[4]
 
 
+def test_sessions_of_many_rows(spark):
+    """Sessions by their definition, a pause of exactly the gap included; what meets in one task are runs of rows, not rows."""
+    rng = random.Random(1)
+    for gap in (1, 60, 1800):
+        at = sorted([rng.randrange(400_000) for _ in range(900)] + [500_000, 500_000 + gap, 600_000, 600_000 + gap - 1, 600_000 + 2 * gap - 2, 600_000 + 3 * gap - 2])
+        rows = spark.createDataFrame(list(enumerate(at)), "oid long, s long").select("oid", F.timestamp_seconds("s").alias("ts"))
+        got = {r["oid"]: r["tile"] for r in stream.with_windows(rows, f"{gap} seconds", session=True).collect()}
+        want, start = {}, None
+        for i, s in enumerate(at):
+            start = s if i == 0 or s - at[i - 1] >= gap else start
+            want[i] = start
+        assert got == want
+
+
 def test_facility_loads(spark, tmp_path):
     _, f = points.sample(points.point_set(spark, SF, "evt"), 0, 8)
     events = spark.read.parquet(f"{SF}/events.parquet").orderBy("ts").limit(120)
@@ -72,3 +87,33 @@ def test_windowed_heat_makes_no_labels(spark):
     plan = found._jdf.queryExecution().optimizedPlan().toString()
     assert "MapInArrow" in plan and "Generate" not in plan
     assert found.first()["max_heat"] == 3_000 and found.first()["labels"] > 5_000_000
+
+
+def test_squares_that_span_groups_are_not_dealt_to_them(spark):
+    """Wide squares: what moves grows with the squares, and the totals are those of the labels whatever the groups."""
+    from catchment.operators import strips, sweep
+
+    rng = random.Random(9)
+    rows = []
+    for i in range(300):
+        x, y, w, h = rng.randrange(60), rng.randrange(60), rng.randrange(1, 50), rng.randrange(1, 50)
+        rows.append((i % 2, x - w, x + w, y - h, y + h, rng.randrange(1, 4)))
+    real = spark.createDataFrame(rows, "tile long, xl long, xh long, yl long, yh long, n long").dropDuplicates(["tile", "xl", "xh", "yl", "yh"])
+    pairs = sweep.changed_pairs(real, sweep.changed_intervals(real)).groupBy("tile").agg(F.count("*"), F.max("n"))
+    want = {tuple(r) for r in pairs.collect()}
+    for events, group in ((4, 4), (4, 32), (16, 64), (64, 64)):
+        assert {tuple(r) for r in strips.label_totals(real, events, group).collect()} == want
+    # 4,000 squares that all cross in 8,000 distinct sides: at most two groups and two ranges hold each, and an own side has one row of a profile
+    cuts = strips.cuts_of(spark.createDataFrame([(0, -i, i, -i, i, 1) for i in range(1, 4_001)], "tile long, xl long, xh long, yl long, yh long, n long"), 256)
+    assert len(cuts[0]) > 25
+    import pyarrow as pa
+
+    i = np.arange(1, 4_001)
+    batch = pa.RecordBatch.from_arrays([pa.array(c) for c in (0 * i, -i, i, -i, i, 0 * i + 1)], names=["tile", "xl", "xh", "yl", "yh", "n"])
+    dealt = sum(b.num_rows for b in strips._deal_ends(cuts)([batch]))
+    sides = list(strips._deal_sides(cuts, cuts)([batch]))
+    told = 0
+    for strip in range(len(cuts[0]) + 1):
+        held = [[b.column(c).to_numpy()[b.column("strip").to_numpy() == strip] for c in ("y", "span", "turn")] for b in sides]
+        told += sum(b.num_rows for b in strips._profiles(cuts)(0, [np.concatenate(c) for c in zip(*held)], None, None))
+    assert dealt <= 8_000 and sum(b.num_rows for b in sides) == 8_000 and told <= 16_000 + (len(cuts[0]) + 1) ** 2
