@@ -348,6 +348,25 @@ def test_packing_where_partitions_hold_one_kind(spark):
     assert len({r["sequence_id"] for r in out}) <= 1.03 * len(fills)
 
 
+def test_packing_makes_the_sequences(spark):
+    """Every sequence stands whole, once, as the ids of its pieces in order, also where it is made of bins of several nodes."""
+    rng = random.Random(8)
+    texts = [None, "", "word " * 9000] + [" ".join(f"t{rng.randrange(500)}" for _ in range(rng.randrange(1, 1500))) for _ in range(120)]
+    ids = library_ids(texts)
+    for options in ({}, {"node_pieces": 5, "fan": 3}, {"node_pieces": 5, "fan": 3, "carry": 1}):
+        found = {}
+        for r in packing.pack(docs(spark, texts), packing.vocabulary_path(), **options).collect():
+            found.setdefault(r["sequence_id"], []).append(r)
+        for rows in found.values():
+            rows.sort(key=lambda r: r["offset"])
+            want = np.concatenate([ids[r["doc_id"]][r["start"] : r["start"] + r["length"]] for r in rows])
+            assert np.frombuffer(rows[0]["sequence_ids"], "<u2").tolist() == want.tolist() and len(want) == rows[0]["sequence_fill"]
+            assert all(r["sequence_ids"] is None for r in rows[1:])
+        assert sum(r["length"] for rows in found.values() for r in rows) == sum(map(len, ids))
+        # level bits: sequences that the tree has put together
+        assert any(s >> 58 for s in found) == bool(options)
+
+
 def test_packing_hands_up_few_bins(spark):
     """A node that may hand up only some bins still loses no sequence where fewer nodes than that lie below it."""
     rng = random.Random(7)
